@@ -6,10 +6,12 @@ their Jaccard similarity and the pair has less variance than two minima of one p
 the signature choose candidates, and every link is confirmed on the full shingle sets.
 
 Plan: documents with the same set of shingles become one representative. Representatives meet in
-band buckets. A bucket is settled once all its members are in one component or every pair in it has
-been compared: round by round more members act as pivots and are compared with the members of other
-components only, so a bucket of copies costs one comparison a member and no pair of texts in different
-components goes untested. Rounds exchange ids; shingle sets are written once, for candidates only.
+band buckets. The members that share most buckets with others come first, as what copies were made from does. Each member is compared with the first
+of its bucket, one comparison a member, which joins groups of copies. In the few buckets that still hold more than one
+component, the members of different components are compared in blocks of BLOCK: bitmaps of the sets bound what two of
+them can share, pairs below the bound are left out, the others are compared exactly, and only links that join
+components leave the task. So no pair of candidates in different components goes untested, none are emitted as rows, and a
+task holds two blocks. Passes exchange ids; shingle sets are written once, for candidates only.
 
 Defined cases: null or empty text has no shingles, is alone and kept. Repeated rows and equal texts
 share a component. Rows with a null doc_id get a null component and are kept. An empty table gives an empty
@@ -27,6 +29,9 @@ from pyspark.sql import functions as F
 
 from wavemotif.llm.common import Workspace, WordHashes, connected_components, documents, map_batches, mix64, semi_by_id, shingle_hashes, utf8
 
+#: Members of a bucket that a task compares with as many others.
+BLOCK = 512
+BITMAP = 4096
 SIGNATURE_SCHEMA = "doc_id long, n_shingles long, hi long, lo long, bands array<long>"
 
 
@@ -97,6 +102,52 @@ def _sets(words: int):
     return fn
 
 
+def _block_links(threshold_pct: int):
+    """Links between members of two blocks of one bucket, as many as connect what is linked."""
+
+    def fn(group: pa.Table) -> pa.Table:
+        rep, comp, block, sets, bits, bands, here = _unpack(group)
+        root = {c: c for c in comp.tolist()}
+
+        def find(c: int) -> int:
+            while root[c] != c:
+                root[c] = c = root[root[c]]
+            return c
+
+        n = np.array([len(s) for s in sets])
+        i0, j0 = group.column("i")[0].as_py(), group.column("j")[0].as_py()
+        order = np.flatnonzero(block == i0)
+        out = []
+        for x in order:
+            y = np.flatnonzero((block == j0) & ((rep > rep[x]) if i0 == j0 else True) & (comp != comp[x]) & (100 * np.minimum(n, n[x]) >= threshold_pct * np.maximum(n, n[x])))
+            need = -(-threshold_pct * (n[x] + n[y]) // (100 + threshold_pct))
+            y = y[n[x] - np.bitwise_count(bits[x] & ~bits[y]).sum(axis=1, dtype=np.int64) >= need]  # no less can be common
+            y = y[(bands[y] == bands[x]).argmax(axis=1) == here] if len(y) else y  # a pair is tested in the first bucket that it shares
+            for k in y.tolist():
+                a, b = find(int(comp[x])), find(int(comp[k]))
+                if a != b:
+                    common = len(np.intersect1d(sets[x], sets[k], assume_unique=True))
+                    if 100 * common >= threshold_pct * (n[x] + n[k] - common):
+                        out.append((int(rep[x]), int(rep[k])))
+                        root[max(a, b)] = min(a, b)
+        return pa.table({"a": pa.array([a for a, _ in out], pa.int64()), "b": pa.array([b for _, b in out], pa.int64())})
+
+    return fn
+
+
+def _unpack(group: pa.Table) -> tuple:
+    """Columns of a group as arrays, and a bitmap of each set: bits that one has and the other lacks bound what is common."""
+    sets = [np.asarray(s, np.int64) for s in (x.values.to_numpy(zero_copy_only=False) for x in group.column("shingles"))]
+    words = np.zeros((len(sets), BITMAP // 64), np.uint64)
+    for k, s in enumerate(sets):
+        mark = np.zeros(BITMAP, np.uint8)
+        mark[s.view(np.uint64) & np.uint64(BITMAP - 1)] = 1
+        words[k] = np.packbits(mark).view(np.uint64)
+    bands = np.stack([x.values.to_numpy(zero_copy_only=False) for x in group.column("bands")])
+    here = int((bands[0] == group.column("bucket")[0].as_py()).argmax())
+    return group.column("rep").to_numpy(), group.column("comp").to_numpy(), group.column("block").to_numpy(), sets, words, bands, here
+
+
 def near_duplicates(docs: DataFrame, threshold_pct: int = 80, words: int = 5, miss: float = 1e-6, seed: int = 1) -> DataFrame:
     """doc_id, n_shingles, component_id, kept for every row of docs.
 
@@ -113,32 +164,28 @@ def near_duplicates(docs: DataFrame, threshold_pct: int = 80, words: int = 5, mi
     # of equal sets one row, the smallest, takes part in the search
     first = keyed.join(reps, ["hi", "lo", "n_shingles"]).where("doc_id = rep").dropDuplicates(["rep"])
     spread = first.select(F.col("doc_id").alias("rep"), F.col("n_shingles").alias("n"), F.explode("bands").alias("bucket"))
-    shared = spread.groupBy("bucket").agg(F.count("*").alias("c")).where("c > 1").select("bucket")
+    shared = spread.groupBy("bucket").agg(F.count("*").alias("c")).where("c > 1")
     members = ws.save(spread.join(shared, "bucket"), "members")
+    popular = members.groupBy("rep").agg(F.sum("c").alias("popularity"))
+    members = ws.save(members.drop("c").join(popular, "rep"), "members")
     ids = ws.save(members.select(F.col("rep").alias("doc_id")).distinct(), "candidates")
     sets = ws.save(map_batches(semi_by_id(docs, ids, ids.count()), _sets(words), "doc_id long, shingles array<long>").dropDuplicates(["doc_id"]), "sets")
-    links, parts, low, high = None, None, 1, 2
-    tested = None
-    while True:
-        at = members.withColumn("comp", F.col("rep")) if parts is None else members.join(parts, members.rep == parts.id, "left").select("bucket", "rep", "n", F.coalesce("component", "rep").alias("comp"))
-        open_ = at.groupBy("bucket").agg(F.count("*").alias("c"), F.min("comp").alias("x"), F.max("comp").alias("y")).where((F.col("x") != F.col("y")) & (F.col("c") > low)).select("bucket")
-        ranked = at.join(open_, "bucket").withColumn("rank", F.row_number().over(Window.partitionBy("bucket").orderBy("rep")))
-        pivots = ranked.where(F.col("rank").between(low, high - 1)).select("bucket", F.col("rep").alias("p"), F.col("n").alias("pn"), F.col("comp").alias("pc"), F.col("rank").alias("pr"))
-        pairs = ranked.join(pivots, "bucket").where((F.col("rank") > F.col("pr")) & (F.col("comp") != F.col("pc")))
-        pairs = pairs.where(100 * F.least("n", "pn") >= threshold_pct * F.greatest("n", "pn")).select("rep", "p", "n", "pn").distinct()
-        if tested is not None:
-            pairs = pairs.join(tested, ["rep", "p"], "left_anti")
-        pairs = ws.save(pairs, "pairs")
-        if parts is not None and pairs.isEmpty() and open_.isEmpty():
-            break
-        found = pairs.join(sets.select(F.col("doc_id").alias("rep"), F.col("shingles").alias("a")), "rep").join(sets.select(F.col("doc_id").alias("p"), F.col("shingles").alias("b")), "p")
-        common = F.size(F.array_intersect("a", "b"))
-        found = found.withColumn("i", common).where(100 * F.col("i") >= threshold_pct * (F.col("n") + F.col("pn") - F.col("i"))).select(F.col("rep").alias("a"), F.col("p").alias("b"))
-        found = ws.save(found, "links")
-        links = found if links is None else links.unionByName(found)
-        tested = pairs.select("rep", "p") if tested is None else tested.unionByName(pairs.select("rep", "p"))
-        parts = ws.save(connected_components(links, ws), "parts")
-        low, high = high, high + 4 * (high - low)
+    # first pass: each member with the first of its bucket
+    first_of = members.groupBy("bucket").agg(F.min(F.struct(-F.col("popularity"), "rep", F.col("n").alias("pn"))).alias("m")).select("bucket", F.col("m.rep").alias("p"), F.col("m.pn").alias("pn"))
+    pairs = members.join(first_of, "bucket").where("rep <> p").where(100 * F.least("n", "pn") >= threshold_pct * F.greatest("n", "pn")).select("rep", "p", "n", "pn").distinct()
+    pairs = pairs.join(sets.select(F.col("doc_id").alias("rep"), F.col("shingles").alias("a")), "rep").join(sets.select(F.col("doc_id").alias("p"), F.col("shingles").alias("b")), "p")
+    pairs = pairs.withColumn("i", F.size(F.array_intersect("a", "b"))).where(100 * F.col("i") >= threshold_pct * (F.col("n") + F.col("pn") - F.col("i")))
+    links = ws.save(pairs.select(F.col("rep").alias("a"), F.col("p").alias("b")), "links")
+    parts = ws.save(connected_components(links, ws), "parts")
+    # second pass: buckets that still hold more than one component, all pairs of different components, in blocks
+    at = members.join(parts, members.rep == parts.id, "left").select("bucket", "rep", F.coalesce("component", "rep").alias("comp"))
+    rest = at.groupBy("bucket").agg(F.count("*").alias("c"), F.min("comp").alias("x"), F.max("comp").alias("y")).where("x <> y and c > 2").select("bucket", "c")
+    rest = at.join(rest, "bucket").withColumn("block", F.floor((F.row_number().over(Window.partitionBy("bucket").orderBy("rep")) - 1) / BLOCK).cast("int"))
+    others = F.transform(F.sequence(F.lit(0), F.floor((F.col("c") - 1) / BLOCK).cast("int")), lambda j: F.struct(F.least("block", j).alias("i"), F.greatest("block", j).alias("j")))
+    rest = rest.select("bucket", "rep", "comp", "block", F.explode(others).alias("to")).select("bucket", "rep", "comp", "block", "to.i", "to.j")
+    rest = rest.join(sets.withColumnRenamed("doc_id", "rep"), "rep").join(first.select(F.col("doc_id").alias("rep"), "bands"), "rep")
+    more = ws.save(rest.groupBy("bucket", "i", "j").applyInArrow(_block_links(threshold_pct), "a long, b long"), "more")
+    parts = ws.save(connected_components(links.unionByName(more), ws), "parts")
     ws.drop(sets, members, ids)
     of_rep = parts.select(F.col("id").alias("rep"), "component")
     classes = reps.join(of_rep, "rep", "left").select("hi", "lo", "n_shingles", F.coalesce("component", "rep").alias("component_id"))
