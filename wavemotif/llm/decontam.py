@@ -32,6 +32,7 @@ STEP = 2
 RATIO = 1.25
 SHINGLE = 5
 BLOCK_ITEMS = 20_000
+BATCH_WORDS = 16_384
 TRIM = b"".join(bytes([c]) for c in range(33, 127) if not chr(c).isalnum())
 SLIDE = (0, -1, 1, -2, 2, -3, 3)
 
@@ -139,29 +140,44 @@ class Benchmark:
                 extra += self.weight.get(h, self.unseen)
         return both / (self.total[item] + extra)
 
-    def matches(self, words: np.ndarray, least: float) -> dict[int, tuple[float, int]]:
-        """Item number to (best similarity, word at which its window starts)."""
-        found: dict[int, tuple[float, int]] = {}
-        if not len(words):
+    def matches(self, texts: list[np.ndarray], least: float) -> list[dict[int, tuple[float, int]]]:
+        """For each text, item number to (best similarity, word at which its window starts). Texts are fingerprinted together."""
+        found: list[dict[int, tuple[float, int]]] = [{} for _ in texts]
+        ends = np.cumsum([len(t) for t in texts])
+        if not len(ends) or not ends[-1]:
             return found
-        sums = running(words)
+        sums = running(np.concatenate(texts))
+        begins = ends - [len(t) for t in texts]
         for c, (index, item, offset) in self.classes.items():
-            starts = np.arange(0, len(words) - c + 1, self.step)
-            if not len(starts):
+            if ends[-1] < c:
                 continue
-            q, p = index.near(fingerprints(sums, starts, c))
-            if not len(q):
-                continue
-            places = set(zip(item[p].tolist(), (starts[q] - offset[p]).tolist(), strict=True))
-            for k, start in sorted(places):
+            starts = np.arange(0, ends[-1] - c + 1, self.step)
+            of = np.searchsorted(ends, starts, "right")
+            q, p = index.near(np.packbits(sums[c :: self.step][: len(starts)] > sums[: len(starts) * self.step : self.step], axis=1).view(np.uint64).ravel())
+            inside = starts[q] + c <= ends[of[q]]  # a window across two texts is none
+            q, p = q[inside], p[inside]
+            places = set(zip(of[q].tolist(), item[p].tolist(), (starts[q] - begins[of[q]] - offset[p]).tolist(), strict=True))
+            for doc, k, start in sorted(places):
                 for slide in SLIDE:
-                    if (s := self.similarity(words, start + slide, k)) >= least and s > found.get(k, (0.0, 0))[0]:
-                        found[k] = (s, start + slide)
+                    if (s := self.similarity(texts[doc], start + slide, k)) >= least and s > found[doc].get(k, (0.0, 0))[0]:
+                        found[doc][k] = (s, start + slide)
                     if s == 1.0:
                         break
         return found
 
 
+def batches_of(texts: list[np.ndarray], words: int = BATCH_WORDS) -> Iterator[list[np.ndarray]]:
+    """Consecutive texts with about so many words together."""
+    part, n = [], 0
+    for t in texts:
+        part.append(t)
+        n += len(t)
+        if n >= words:
+            yield part
+            part, n = [], 0
+    yield part
+
+
 def item_blocks(benchmark: DataFrame, size: int = BLOCK_ITEMS) -> Iterator[list[tuple[int, bytes]]]:
     """Items in blocks of a bounded number; only one block is on the driver at a time."""
     rows = benchmark.select(F.col("item_id").cast("long"), F.col("text").cast("string")).where("item_id is not null and text is not null")
@@ -187,8 +203,8 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, least: float = 0.8, radi
                 nonlocal made
                 made = made or Benchmark(shared.value, radius, step)
                 rows = []
-                for doc, text in zip(batch.column("doc_id").to_pylist(), utf8(batch), strict=True):
-                    found = made.matches(hashes.array(text.lower().split()), least)
+                every = [f for part in batches_of([hashes.array(t.lower().split()) for t in utf8(batch)]) for f in made.matches(part, least)]
+                for doc, found in zip(batch.column("doc_id").to_pylist(), every, strict=True):
                     rows += [(doc, made.ids[k], round(s, 6), a) for k, (s, a) in sorted(found.items())]
                 cols = list(zip(*rows, strict=True)) or [()] * 4
                 kinds = (pa.int64(), pa.int64(), pa.float64(), pa.int64())
