@@ -56,9 +56,15 @@ def word_signs(hashes: np.ndarray) -> np.ndarray:
 
 
 def running(hashes: np.ndarray) -> np.ndarray:
-    out = np.zeros((len(hashes) + 1, 64), np.int32)
-    np.cumsum(word_signs(hashes), axis=0, out=out[1:])
-    return out
+    """Sums of the vectors of all words before each word, and of all of them; blocks of rows are added side by side."""
+    n = len(hashes)
+    out = np.zeros((-(-n // 64) * 64 + 1, 64), np.int32)
+    out[1 : n + 1] = word_signs(hashes)
+    rows = out[1:].reshape(-1, 64, 64)
+    for i in range(1, 64):
+        rows[:, i] += rows[:, i - 1]
+    rows[1:] += np.cumsum(rows[:, -1], axis=0)[:-1, None]
+    return out[: n + 1]
 
 
 def fingerprints(sums: np.ndarray, starts: np.ndarray, length: int) -> np.ndarray:
