@@ -44,7 +44,9 @@ def feistel(x: Column, bits: int, seed: int) -> Column:
 def permute(number: Column, n: int, seed: int) -> Column:
     """A permutation of 0 .. n - 1. The domain is under twice n, so a walk over WALK steps ends but for a chance of 2**-64, which raises an error."""
     bits = max(2, (n - 1).bit_length())
-    walk = F.aggregate(F.sequence(F.lit(1), F.lit(WALK)), feistel(number, bits, seed), lambda acc, _: F.when(acc < n, acc).otherwise(feistel(acc, bits, seed)))
+    once = feistel(number, bits, seed)
+    walk = F.aggregate(F.sequence(F.lit(1), F.lit(WALK)), once, lambda acc, _: F.when(acc < n, acc).otherwise(feistel(acc, bits, seed)))
+    walk = F.when(once < n, once).otherwise(walk)  # most rows need one step, which is compiled
     return F.when(walk < n, walk).otherwise(F.raise_error(F.lit("cycle walk did not end")).cast("long"))
 
 
