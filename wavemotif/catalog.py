@@ -1,19 +1,383 @@
-"""The registered queries of the engine and their DuckDB counterparts."""
+"""The registered queries of the engine and their DuckDB counterparts, side by side."""
 
 from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from wavemotif import oracles as O
+from wavemotif.functions import vectors as VEC
+from wavemotif.operators import baselines as B
+from wavemotif.operators import cluster as C
+from wavemotif.operators import extract as X
+from wavemotif.operators import matching as M
+from wavemotif.operators import measures as S
+from wavemotif.operators import prep as P
+from wavemotif.operators import relational as R
+from wavemotif.plans import pipeline as PL
+from wavemotif.sources import views as V
+from wavemotif.streaming import stream as ST
+
+W, D = O.W, O.D
+Query = Callable[[SparkSession, str], DataFrame]
+_QUERIES: dict[str, Query] = {}
+_SQL: dict[str, str] = {}
+
+
+def query(name: str, sql: str | None = None) -> Callable[[Query], Query]:
+    def put(f: Query) -> Query:
+        _QUERIES[name] = f
+        if sql:
+            _SQL[name] = sql
+        return f
+
+    return put
+
+
+def both(name: str, sql: str) -> None:
+    """A query whose statement is the same in both engines; tables stand in braces."""
+    tables = [t for t in ("lineitem", "orders", "customer", "supplier", "nation", "region", "events", "part", "embeddings", "labels", "conversations", "pages") if f"{{{t}}}" in sql]
+    _QUERIES[name] = lambda spark, sf_dir: spark.sql(sql, **{t: V.load(spark, sf_dir, t) for t in tables})
+    _SQL[name] = sql.format(**{t: t for t in tables})
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    raise NotImplementedError
+    return PL.discover(V.planted_view(spark, sf_dir), W, 8).motifs
 
 
-def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {}
+def queries() -> dict[str, Query]:
+    return dict(_QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return dict(_SQL)
+
+
+# ---------------------------------------------------------------- views
+for _name, _f in V.VIEWS.items():
+    query(f"series_{_name}_view", {"run": O.RUN, "clock": O.CLOCK, "flag": O.FLAG, "region": O.REGION, "fleet": O.FLEET, "text": O.TEXT, "planted": O.PLANTED}[_name] if _name != "fleet" else f"SELECT sensor, series_id, t, v::BIGINT AS v FROM ({O.FLEET.replace('UNPIVOT f ON', 'FROM (UNPIVOT f ON').replace('VALUE v', 'VALUE v)')})")(_f)
+query("series_cumulative_view", O.CUMULATIVE)(lambda s, d: V.cumulative(V.run_view(s, d)))
+query("series_smoothed_view", O.SMOOTHED)(lambda s, d: V.smoothed(V.flag_view(s, d)))
+query("resample_fill_previous", f"SELECT sensor, count(*) AS steps, min(t) AS first, sum(v)::BIGINT AS total FROM ({O.CLOCK}) GROUP BY 1")(lambda s, d: V.clock_view(s, d).groupBy("sensor").agg(F.count("*").alias("steps"), F.min("t").alias("first"), F.sum("v").alias("total")))
+
+
+# ---------------------------------------------------------------- pre-processing
+def _run(s: SparkSession, d: str) -> DataFrame:
+    return V.run_view(s, d)
+
+
+def _reduced(s: SparkSession, d: str, w: int = W, dims: int = D, f: float | None = None, **k) -> DataFrame:
+    return P.reduced_windows(P.znormalize(_run(s, d)), w, dims, f, **k)
+
+
+def _cand(s: SparkSession, d: str) -> DataFrame:
+    return P.candidates(_run(s, d), W, D)
+
+
+def _rounded(df: DataFrame, dims: int) -> DataFrame:
+    return df.select("sensor", "series_id", "t", F.round("level", 6).alias("level"), *[F.round(F.col("x")[j], 6).alias(f"p{j}") for j in range(dims)])
+
+
+def _rounded_sql(rows: str, dims: int = D) -> str:
+    return f"SELECT sensor, series_id, t, round(level, 6) AS level, {', '.join(f'round(p{j}, 6) AS p{j}' for j in range(dims))} FROM ({rows})"
+
+
+query("znorm_run", f"SELECT sensor, series_id, t, round(z, 6) AS z FROM ({O.z(O.RUN)})")(lambda s, d: P.znormalize(_run(s, d)).select("sensor", "series_id", "t", F.round("z", 6).alias("z")))
+query("znorm_sensor", f"SELECT sensor, series_id, t, round(z, 6) AS z FROM ({O.z(O.RUN, 'sensor')})")(lambda s, d: P.znormalize(_run(s, d), "sensor").select("sensor", "series_id", "t", F.round("z", 6).alias("z")))
+query("window_count_identity", f"SELECT sensor, sum(greatest(n - {W - 1}, 0))::BIGINT AS windows FROM (SELECT sensor, series_id, count(*) AS n FROM ({O.RUN}) GROUP BY 1, 2) GROUP BY 1")(lambda s, d: P.expected_windows(_run(s, d), W))
+query("windows_materialized", f"SELECT series_id, t, round(a, 6) AS first, round(b, 6) AS last FROM (SELECT series_id, t, z AS a, lead(z, {W - 1}) OVER (PARTITION BY series_id ORDER BY t) AS b FROM ({O.z(O.RUN)})) WHERE b IS NOT NULL")(lambda s, d: P.materialized_windows(P.znormalize(_run(s, d)), W).select("series_id", "t", F.round(F.col("win")[0], 6).alias("first"), F.round(F.col("win")[W - 1], 6).alias("last")))
+query("flat_filter_range", f"SELECT series_id, t FROM ({O.reduced(O.RUN)}) WHERE dev >= 3.5")(lambda s, d: _reduced(s, d, f=3.5).select("series_id", "t"))
+query("flat_filter_from_mean", f"SELECT series_id, t FROM ({O.reduced(O.RUN)}) WHERE dev2 >= 2.5")(lambda s, d: _reduced(s, d, f=2.5, deviation="from_mean").select("series_id", "t"))
+query("merge_levels", _rounded_sql(O.reduced(O.RUN)))(lambda s, d: _rounded(_reduced(s, d), D))
+query("merge_levels_fractional", _rounded_sql(O.reduced(O.RUN, 14, 5), 5))(lambda s, d: _rounded(_reduced(s, d, 14, 5), 5))
+query("sax_words", f"SELECT series_id, t, word FROM ({O.words(O.reduced(O.RUN))})")(lambda s, d: _reduced(s, d).select("series_id", "t", VEC.sax_word(F.col("x"), D).alias("word")))
+query("drop_repeated_words", f"SELECT series_id, t, word FROM ({O.candidates(O.CLOCK)})")(lambda s, d: P.candidates(V.clock_view(s, d), W, D).select("series_id", "t", "word"))
+query("drop_repeated_words_adjacent", f"SELECT series_id, t, word FROM ({O.candidates(O.RUN, adjacency='step')})")(lambda s, d: P.drop_repeated_words(_reduced(s, d, f=1.0), D, adjacency="step").select("series_id", "t", "word"))
+query("candidate_matrix", f"SELECT sensor, series_id, count(*) AS candidates, count(DISTINCT word) AS words FROM ({O.candidates(O.PLANTED)}) GROUP BY 1, 2")(lambda s, d: P.candidates(V.planted_view(s, d), W, D).groupBy("sensor", "series_id").agg(F.count("*").alias("candidates"), F.count_distinct("word").alias("words")))
+
+# ---------------------------------------------------------------- clustering
+_ids = ("series_id", "t", "cluster_id")
+_per_run = {"group": ("sensor", "series_id")}
+query("cluster_all_per_run", O.sequential(O.RUN, 2.0))(lambda s, d: C.cluster(_cand(s, d), 2.0, "all", **_per_run).select(*_ids))
+query("cluster_point_link_per_run", O.sequential(O.RUN, 1.5, link="point"))(lambda s, d: C.cluster(_cand(s, d), 1.5, "point", **_per_run).select(*_ids))
+query("cluster_frozen_centre", O.sequential(O.RUN, 2.0, frozen=True))(lambda s, d: C.cluster(_cand(s, d), 2.0, "all", frozen=True, **_per_run).select(*_ids))
+query("cluster_random_order_per_run", O.sequential(O.RUN, 2.0, order="(t * 7919 + 13) % 104729"))(lambda s, d: C.cluster(_cand(s, d), 2.0, "all", order="hash", **_per_run).select(*_ids))
+
+_ONE_EACH = f"SELECT series_id, count(*) AS members, count(*) AS assigned FROM ({O.candidates(O.RUN)}) GROUP BY 1"
+
+
+def _one_each(cand: DataFrame, assigned: DataFrame) -> DataFrame:
+    got = assigned.groupBy("series_id").agg(F.count_distinct("t").alias("assigned"))
+    return cand.groupBy("series_id").agg(F.count("*").alias("members")).join(got, "series_id")
+
+
+for _m in ("cftree", "hash"):
+    query("cluster_cftree" if _m == "cftree" else "cluster_hashed", _ONE_EACH)(lambda s, d, m=_m: _one_each(_cand(s, d), C.cluster(_cand(s, d), 1.0, m, **({} if m == "hash" else {"refine": True}))))
+query("cluster_parallel_dominating", _ONE_EACH)(lambda s, d: _one_each(_cand(s, d), C.cluster_parallel(_cand(s, d), 1.0, D, sets=5, per_set=6)))
+query("cluster_parallel_components", _ONE_EACH)(lambda s, d: _one_each(_cand(s, d), C.cluster_parallel(_cand(s, d), 1.0, D, sets=5, per_set=6, merge="components")))
+
+
+def _bucket_rows(s: SparkSession, d: str, family: str) -> DataFrame:
+    planes = VEC.fixed_planes(5, 3, D)
+    keys = F.array(*[VEC.bucket_key(F.col("x"), p, family) for p in planes])
+    return _cand(s, d).select("sensor", "series_id", "t", F.posexplode(keys).alias("set", "bucket"))
+
+
+for _fam in ("sign", "quantised"):
+    query(f"hash_bucket_ids_{_fam}", O.bucket_rows(O.RUN, _fam))(lambda s, d, f=_fam: _bucket_rows(s, d, f))
+query("hash_candidate_pairs", f"WITH b AS ({O.bucket_rows(O.RUN, 'quantised')}) SELECT a.series_id, count(DISTINCT (a.t, b.t)) AS pairs FROM b a JOIN b ON a.series_id = b.series_id AND a.set = b.set AND a.bucket = b.bucket AND a.t < b.t GROUP BY 1")(lambda s, d: (lambda a: a.join(a.select("series_id", "set", "bucket", F.col("t").alias("t2")), ["series_id", "set", "bucket"]).where("t < t2").groupBy("series_id").agg(F.count_distinct("t", "t2").alias("pairs")))(_bucket_rows(s, d, "quantised")))
+
+_NEAR = f"SELECT series_id, t, [{', '.join(f'p{j}' for j in range(D))}] AS x FROM ({O.candidates(O.RUN)})"
+query("hash_tradeoff", " UNION ALL ".join(f"SELECT '{f}' AS family, count(*) AS near, count(h.t) AS found FROM (SELECT a.series_id, a.t, b.t AS u FROM ({_NEAR}) a JOIN ({_NEAR}) b ON a.series_id = b.series_id AND a.t < b.t WHERE {O.sq('a.x', 'b.x')} < 4) p LEFT JOIN (SELECT DISTINCT a.series_id, a.t, b.t AS u FROM ({O.bucket_rows(O.RUN, f)}) a JOIN ({O.bucket_rows(O.RUN, f)}) b ON a.series_id = b.series_id AND a.set = b.set AND a.bucket = b.bucket AND a.t < b.t) h ON h.series_id = p.series_id AND h.t = p.t AND h.u = p.u" for f in ("sign", "quantised")))(lambda s, d: _hash_tradeoff(s, d))
+
+
+def _hash_tradeoff(s: SparkSession, d: str) -> DataFrame:
+    c = _cand(s, d).select("series_id", "t", "x")
+    near = c.join(c.select("series_id", F.col("t").alias("u"), F.col("x").alias("y")), "series_id").where("t < u").where(VEC.sq_dist("x", "y", D) < 4).select("series_id", "t", "u")
+    out = None
+    for f in ("sign", "quantised"):
+        b = _bucket_rows(s, d, f)
+        hit = b.join(b.select("series_id", "set", "bucket", F.col("t").alias("u")), ["series_id", "set", "bucket"]).where("t < u").select("series_id", "t", "u").distinct().withColumn("hit", F.lit(1))
+        row = near.join(hit, ["series_id", "t", "u"], "left").agg(F.lit(f).alias("family"), F.count("*").alias("near"), F.count("hit").alias("found"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+query("grid_eps_join", f"SELECT a.series_id, a.t, b.t AS u FROM ({_NEAR}) a JOIN ({_NEAR}) b ON a.series_id = b.series_id AND a.t < b.t WHERE {O.sq('a.x', 'b.x')} <= 2.25")(lambda s, d: C.eps_join(_cand(s, d).select(F.col("series_id").alias("sensor"), F.col("t").alias("id"), "x"), 1.5, D).select(F.col("sensor").alias("series_id"), F.col("aid").alias("t"), F.col("bid").alias("u")))
+_CF = f"SELECT series_id, count(*) AS n, {', '.join(f'round(sum(p{j}), 6) AS ls{j}' for j in range(3))}, round(sum({' + '.join(f'p{j} * p{j}' for j in range(D))}), 6) AS ss FROM ({O.candidates(O.RUN)}) GROUP BY 1"
+_cf_cols = lambda: ["series_id", F.col("cf.n").alias("n"), *[F.round(F.col("cf.ls")[j], 6).alias(f"ls{j}") for j in range(3)], F.round("cf.ss", 6).alias("ss")]
+query("cf_triples", _CF)(lambda s, d: _cand(s, d).groupBy("series_id").agg(VEC.cf_sum(F.col("x"), D).alias("cf")).select(*_cf_cols()))
+
+
+@query("cf_merge", _CF)
+def _cf_merge(s: SparkSession, d: str) -> DataFrame:
+    parts = _cand(s, d).groupBy("series_id", (F.col("t") % 2).alias("half")).agg(VEC.cf_sum(F.col("x"), D).alias("cf"))
+    a, b = (parts.where(f"half = {i}").select("series_id", F.col("cf").alias(f"c{i}")) for i in (0, 1))
+    return a.join(b, "series_id").withColumn("cf", VEC.cf_merge(F.col("c0"), F.col("c1"))).select(*_cf_cols())
+
+
+query("adjusted_radius_table", O.RADII)(lambda s, d: s.createDataFrame([(w, VEC.adjusted_radius(w)) for w in (10, 20, 40, 80, 200)], "w int, r double"))
+_ALL_X = f"SELECT series_id, t, [{', '.join(f'p{j}' for j in range(D))}] AS x FROM ({O.reduced(O.RUN)})"
+query("nontrivial_pairs", f"WITH w AS MATERIALIZED ({_ALL_X}), p AS (SELECT a.series_id, a.t, b.t AS u, a.x, b.x AS y FROM w a JOIN w b ON a.series_id = b.series_id AND a.t < b.t WHERE a.series_id < 20 AND {O.sq('a.x', 'b.x')} <= 4) SELECT series_id, t, u, EXISTS (SELECT 1 FROM w m WHERE m.series_id = p.series_id AND m.t > p.t AND m.t < p.u AND {O.sq('m.x', 'p.x')} > 4 AND {O.sq('m.x', 'p.y')} > 4) AS nontrivial FROM p")(lambda s, d: nontrivial_pairs(_reduced(s, d).where("series_id < 20"), 2.0, D).select("series_id", "t", "u", "nontrivial"))
+
+
+def nontrivial_pairs(win: DataFrame, delta: float, d: int) -> DataFrame:
+    """Pairs of windows of one run within delta, and whether a window between them is farther than delta from both."""
+    w = win.select("series_id", "t", "x")
+    p = w.join(w.select("series_id", F.col("t").alias("u"), F.col("x").alias("y")), "series_id").where("t < u").where(VEC.sq_dist("x", "y", d) <= delta**2)
+    m = win.select(F.col("series_id").alias("s"), F.col("t").alias("tm"), F.col("x").alias("z"))
+    apart = (VEC.sq_dist("z", "x", d) > delta**2) & (VEC.sq_dist("z", "y", d) > delta**2)
+    return p.join(m, (F.col("series_id") == F.col("s")) & (F.col("tm") > F.col("t")) & (F.col("tm") < F.col("u")) & apart, "left").groupBy("series_id", "t", "u").agg((F.count("s") > 0).alias("nontrivial"))
+
+
+# ---------------------------------------------------------------- extraction, over a coarse deterministic grouping
+def _coarse(s: SparkSession, d: str) -> DataFrame:
+    c = P.candidates(V.planted_view(s, d), W, D)
+    return C.word_clusters(c.withColumn("word", F.concat(*[F.when(F.col("x")[j] < 0, "0").otherwise("1") for j in range(0, D, 2)])), D).where("series_id <= 30")
+
+
+_COARSE = f"SELECT * FROM ({O.first_letters(O.PLANTED)}) WHERE series_id <= 30"
+_HIGH = O.supported(_COARSE, 200)
+
+
+def _high(s: SparkSession, d: str) -> DataFrame:
+    return X.high_support(_coarse(s, d), 200)
+
+
+query("high_support", f"SELECT cluster_id, count(*) AS n FROM ({_HIGH}) GROUP BY 1")(lambda s, d: _high(s, d).groupBy("cluster_id").agg(F.count("*").alias("n")))
+query("high_support_runs", f"SELECT cluster_id, count(DISTINCT series_id) AS runs FROM ({O.supported(_COARSE, 28, 'count(DISTINCT series_id)')}) GROUP BY 1")(lambda s, d: X.high_support(_coarse(s, d), 28, "runs").groupBy("cluster_id").agg(F.count_distinct("series_id").alias("runs")))
+query("shift_diff_list", O.shift_diffs(_HIGH))(lambda s, d: X.shift_diffs(_high(s, d), 10))
+query("drop_shifted", f"WITH h AS MATERIALIZED ({_HIGH}) SELECT DISTINCT cluster_id FROM h WHERE cluster_id NOT IN (SELECT small FROM ({O.matches('SELECT * FROM h')}))")(lambda s, d: X.drop_shifted(_high(s, d), cascade="independent").select("cluster_id").distinct())
+query("drop_shifted_share", f"WITH h AS MATERIALIZED ({_HIGH}) SELECT DISTINCT cluster_id FROM h WHERE cluster_id NOT IN (SELECT small FROM ({O.matches('SELECT * FROM h', 'share')}))")(lambda s, d: X.drop_shifted(_high(s, d), cascade="independent", rule="share").select("cluster_id").distinct())
+query("drop_shifted_greedy", O.greedy(_HIGH))(lambda s, d: X.drop_shifted(_high(s, d)).select("cluster_id").distinct())
+_LEVELS = f"""WITH g AS (SELECT series_id, t, cluster_id, round(level * 1e9)::BIGINT AS lv FROM ({_HIGH})),
+ c AS (SELECT *, count(*) OVER (PARTITION BY cluster_id ORDER BY lv RANGE BETWEEN 20000000 PRECEDING AND 20000000 FOLLOWING) >= 3 AS core FROM g),
+ k AS (SELECT cluster_id, lv, sum(j) OVER (PARTITION BY cluster_id ORDER BY lv) AS level_id FROM (SELECT *, CASE WHEN lv - lag(lv) OVER (PARTITION BY cluster_id ORDER BY lv) > 20000000 THEN 1 ELSE 0 END AS j FROM (SELECT DISTINCT cluster_id, lv FROM c WHERE core)))
+ SELECT c.cluster_id, k.level_id::BIGINT AS level_id, count(*) AS n FROM c, LATERAL (SELECT level_id FROM k WHERE k.cluster_id = c.cluster_id AND abs(k.lv - c.lv) <= 20000000 ORDER BY abs(k.lv - c.lv), k.lv LIMIT 1) k GROUP BY 1, 2 HAVING count(*) > 5"""
+query("level_dbscan", _LEVELS)(lambda s, d: X.split_levels(_high(s, d), 0.02, 3, 5).groupBy("cluster_id", "level_id").agg(F.count("*").alias("n")))
+
+
+# ---------------------------------------------------------------- whole procedure: accuracy on planted shapes
+def _support(spark: SparkSession, d: str) -> int:
+    return max(2, int(0.85 * V.load(spark, d, "supplier").count()))
+
+
+def _accuracy(method: str, **options) -> Query:
+    def run(s: SparkSession, d: str) -> DataFrame:
+        r = PL.discover(V.planted_view(s, d).where("series_id <= 30"), W, 25, method=method, **options)
+        q = S.match_quality(r.occurrences, V.planted_truth(s, d).where("series_id <= 30"))
+        return q.select("shape", "instances", (F.col("recall") >= 0.8).alias("found"), F.when(F.col("shape") == "held_step", F.col("precision") >= 0.8).alias("precise"))  # two pulses look like themselves 12 steps on
+
+    return run
+
+
+_FOUND = "SELECT shape, 5 * count(DISTINCT l_suppkey) AS instances, true AS found, CASE WHEN shape = 'held_step' THEN true END AS precise FROM lineitem, (VALUES ('held_step'), ('two_pulses')) s(shape) WHERE l_suppkey <= 30 GROUP BY 1"
+query("motifs_pipeline_all", _FOUND)(_accuracy("all"))
+query("motifs_pipeline_cftree", _FOUND)(_accuracy("cftree"))
+query("motifs_pipeline_hash", _FOUND)(_accuracy("hash"))
+query("motifs_pipeline_parallel", _FOUND)(_accuracy("parallel"))
+query("motifs_multi_width")(lambda s, d: PL.discover_many(V.planted_view(s, d).where("series_id <= 20"), (14, 20, 40), 8).select("w", "sensor", "motif_id", "level_id", "support", "runs"))
+query("funnel")(lambda s, d: PL.discover(V.planted_view(s, d).where("series_id <= 20"), W, 17).funnel())
+query("ablation_no_shift_no_trivial")(lambda s, d: PL.discover(V.planted_view(s, d).where("series_id <= 20"), W, 17, skip=("flat", "words", "shifted", "trivial")).funnel())
+
+# ---------------------------------------------------------------- measures, over sequential clusters of runs
+_SEQ = O.sequential(O.RUN, 2.0)
+
+
+def _seq(s: SparkSession, d: str) -> DataFrame:
+    """Clusters of runs side by side: the run is the sensor, so that measures are taken for each."""
+    return C.cut(C.cluster(_cand(s, d), 2.0, "all", group=("sensor", "series_id")).withColumn("sensor", F.col("series_id").cast("string")))
+
+
+_SEQ_X = f"SELECT s.series_id::VARCHAR AS sensor, s.series_id, s.t, s.cluster_id, w.x FROM seq s JOIN ({_ALL_X}) w ON w.series_id = s.series_id AND w.t = s.t"
+_CENT = f"SELECT sensor, cluster_id, [{', '.join(f'avg(x[{i}])' for i in range(1, D + 1))}] AS c, count(*) AS n FROM m GROUP BY 1, 2"
+
+
+def _measure(body: str) -> str:
+    head, tail = _SEQ.rsplit(" SELECT series_id, t, cluster_id FROM s", 1)
+    return f"{head}, seq AS MATERIALIZED (SELECT series_id, t, cluster_id FROM s), m AS MATERIALIZED ({_SEQ_X}), k AS MATERIALIZED ({_CENT}) {body}"
+
+
+query("radius_outliers", _measure(f"SELECT sensor, count(*) FILTER ({O.sq('x', 'c')} > 4) AS outliers, count(DISTINCT cluster_id) AS clusters, count(*) FILTER ({O.sq('x', 'c')} > 4) < 2 * count(DISTINCT cluster_id) AS below_twice FROM m JOIN k USING (sensor, cluster_id) GROUP BY 1"))(lambda s, d: S.radius_outliers(_seq(s, d), 2.0, D))
+query("cluster_diameter", _measure(f"SELECT a.sensor, a.cluster_id, count(*) FILTER (a.t = b.t) AS n, round(sqrt(max({O.sq('a.x', 'b.x')})), 6) AS diameter, max({O.sq('a.x', 'b.x')}) <= 16 AS within FROM m a JOIN m b ON a.sensor = b.sensor AND a.cluster_id = b.cluster_id AND a.t <= b.t GROUP BY 1, 2"))(lambda s, d: S.cluster_diameter(_seq(s, d), 2.0, D))
+query("misplacement", _measure(f"SELECT sensor, count(*) AS members, count(*) FILTER (best <> cluster_id) AS misplaced FROM (SELECT m.sensor, m.t, m.cluster_id, min_by(k.cluster_id, {O.sq('m.x', 'k.c')}) AS best FROM m JOIN k USING (sensor) GROUP BY 1, 2, 3) GROUP BY 1".replace("JOIN k USING (sensor)", "JOIN k ON k.sensor = m.sensor")))(lambda s, d: S.misplacement(_seq(s, d), D))
+query("tightness", _measure(f"SELECT m.sensor, m.cluster_id, count(*) AS n, round(avg(sqrt({O.sq('x', 'c')})), 6) AS mean_dist, round(max(sqrt({O.sq('x', 'c')})), 6) AS max_dist FROM m JOIN k ON k.sensor = m.sensor AND k.cluster_id = m.cluster_id GROUP BY 1, 2"))(lambda s, d: S.tightness(_seq(s, d), D))
+query("overlap_share", _measure(f"SELECT sensor, count(*) AS members, count(*) FILTER (c > 1) AS shared FROM (SELECT m.sensor, m.t, count(*) FILTER ({O.sq('m.x', 'k.c')} < 4) AS c FROM m JOIN k ON k.sensor = m.sensor GROUP BY 1, 2) GROUP BY 1"))(lambda s, d: S.overlap_share(_seq(s, d), 2.0, D))
+query("candidate_set_size")(lambda s, d: (lambda c: C.cluster(c, 1.0, "all").select(F.lit("all").alias("method"), "evals").distinct().unionByName(C.cluster(c, 1.0, "cftree").select(F.lit("cftree").alias("method"), "evals").distinct()).unionByName(C.cluster(c, 1.0, "hash").select(F.lit("hash").alias("method"), "evals").distinct()))(C.cut(P.candidates(V.planted_view(s, d).where("series_id <= 10"), W, D))))
+
+
+@query("purity_embeddings")
+def _purity(s: SparkSession, d: str) -> DataFrame:
+    rows = V.load(s, d, "embeddings").select(F.lit("embedding").alias("sensor"), F.col("label").cast("long").alias("series_id"), F.col("vec_id").alias("t"), F.transform("embedding", lambda e: e.cast("double")).alias("x"), F.lit(0.0).alias("level"))
+    return S.purity(C.cluster(rows, 0.9, "all"))
+
+
+@query("motif_agreement")
+def _agreement(s: SparkSession, d: str) -> DataFrame:
+    a, b = (PL.discover(V.planted_view(s, d).where("series_id <= 20"), W, 17, method=m).motifs for m in ("cftree", "all"))
+    return S.motif_agreement(a, b, 1.0, D)
+
+
+# ---------------------------------------------------------------- baselines
+_PAIRS = f"SELECT a.series_id AS series_a, a.t AS t_a, b.series_id AS series_b, b.t AS t_b, {O.sq('a.x', 'b.x')} AS d2 FROM w a JOIN w b ON a.series_id < b.series_id OR (a.series_id = b.series_id AND b.t - a.t >= 20)"
+_PAIR_SQL = f"WITH w AS MATERIALIZED (SELECT * FROM ({_ALL_X}) WHERE series_id <= 40) SELECT series_a, t_a, series_b, t_b, round(d2, 6) AS d2 FROM ({_PAIRS}) ORDER BY d2, series_a, t_a, series_b, t_b LIMIT 1"
+for _m in ("brute", "reference"):
+    query(f"closest_pair_{_m}", _PAIR_SQL)(lambda s, d, m=_m: B.closest_pair(C.cut(_reduced(s, d).where("series_id <= 40")), D, W, m).select("series_a", "t_a", "series_b", "t_b", F.round("d2", 6).alias("d2")))
+for _m in ("radius", "description_length"):
+    query(f"closest_pair_grouping_{'dl' if _m != 'radius' else _m}")(lambda s, d, m=_m: B.closest_pair_grouping(_reduced(s, d).where("series_id <= 15"), D, W, m, r=1.5, max_groups=3))
+query("agglomerate_small")(lambda s, d: B.agglomerate(_cand(s, d), 2.0).select(*_ids))
+query("kmeans_lloyd3")(lambda s, d: B.kmeans_lloyd(_cand(s, d), 8, 3, D))
+query("kmeans_ml")(lambda s, d: B.kmeans_ml(_cand(s, d), 8).select("series_id", "t", "cluster_id"))
+_DB = f"""WITH RECURSIVE w AS MATERIALIZED (SELECT series_id * 1000 + t AS id, x FROM ({_NEAR}) WHERE series_id <= 30),
+ e AS MATERIALIZED (SELECT a.id AS a, b.id AS b FROM w a JOIN w b ON a.id <> b.id AND {O.sq('a.x', 'b.x')} <= 2.25),
+ c AS MATERIALIZED (SELECT a AS id FROM e GROUP BY 1 HAVING count(*) + 1 >= 4), l AS MATERIALIZED (SELECT e.a, e.b FROM e JOIN c x ON x.id = e.a JOIN c y ON y.id = e.b),
+ r AS (SELECT id, id AS root FROM c UNION SELECT l.a, r.root FROM r JOIN l ON l.b = r.id WHERE r.root < l.a), k AS MATERIALIZED (SELECT id, min(root) AS root FROM r GROUP BY 1)
+ SELECT w.id, coalesce(k.root, (SELECT min(k2.root) FROM e JOIN k k2 ON k2.id = e.b WHERE e.a = w.id)) AS cluster_id FROM w LEFT JOIN k ON k.id = w.id"""
+query("dbscan_windows", _DB)(lambda s, d: B.dbscan(_cand(s, d).where("series_id <= 30").select("sensor", (F.col("series_id") * 1000 + F.col("t")).alias("id"), "x"), 1.5, 4, D))
+
+# ---------------------------------------------------------------- use of motifs
+_MEANS = f"SELECT cluster_id AS motif_id, [{', '.join(f'avg(x[{i}])' for i in range(1, D + 1))}] AS c FROM (SELECT * FROM h) GROUP BY 1"
+_ALL_P = f"SELECT series_id, t, [{', '.join(f'p{j}' for j in range(D))}] AS x FROM ({O.reduced(O.PLANTED)}) WHERE series_id <= 30"
+
+
+def _means(s: SparkSession, d: str) -> DataFrame:
+    return C.centers(_high(s, d), D).select("sensor", F.col("cluster_id").alias("motif_id"), "centroid")
+
+
+def _planted_windows(s: SparkSession, d: str) -> DataFrame:
+    return P.reduced_windows(P.znormalize(V.planted_view(s, d)), W, D, None).where("series_id <= 30")
+
+
+query("match_motifs", f"WITH h AS MATERIALIZED ({_HIGH}), k AS MATERIALIZED ({_MEANS}) SELECT series_id, t, min_by(motif_id, d2) AS motif_id FROM (SELECT w.series_id, w.t, k.motif_id, {O.sq('w.x', 'k.c')} AS d2 FROM ({_ALL_P}) w, k) WHERE d2 < 4 GROUP BY 1, 2")(lambda s, d: M.match(_planted_windows(s, d), _means(s, d), 2.0, D).select("series_id", "t", "motif_id"))
+_OCC = f"SELECT sensor, series_id, t, cluster_id AS motif_id FROM ({_HIGH})"
+_occ = lambda s, d: _high(s, d).select("sensor", "series_id", "t", F.col("cluster_id").alias("motif_id"))
+query("expand_occurrences", f"SELECT o.motif_id, o.series_id, o.t, v.t - o.t AS step, v.v FROM ({_OCC}) o JOIN ({O.PLANTED}) v ON v.series_id = o.series_id AND v.t BETWEEN o.t AND o.t + 19")(lambda s, d: M.expand(_occ(s, d), V.planted_view(s, d), W).select("motif_id", "series_id", "t", "step", "v"))
+_EV = "SELECT *, row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) - 1 AS t FROM events"
+_HIST = f"""SELECT DISTINCT user_id AS series_id, t - 12 AS start, 1 AS positive FROM ({_EV}) WHERE event_type = 'error' AND t - 12 >= 0 UNION ALL
+ SELECT series_id, start, 0 FROM (SELECT user_id AS series_id, unnest(range(0, max(t) - 8, 10)) AS start FROM ({_EV}) GROUP BY 1 HAVING max(t) >= 10) p
+ WHERE NOT EXISTS (SELECT 1 FROM ({_EV}) f WHERE f.event_type = 'error' AND f.user_id = p.series_id AND f.t BETWEEN p.start - 2 AND p.start + 11)"""
+
+
+def _faults(s: SparkSession, d: str) -> DataFrame:
+    order = Window.partitionBy("user_id").orderBy("ts", "event_id")
+    return V.load(s, d, "events").withColumn("t", (F.row_number().over(order) - 1).cast("long")).where("event_type = 'error'").select(F.col("user_id").alias("series_id"), "t")
+
+
+_hist = lambda s, d: M.fault_histories(_run(s, d), _faults(s, d), 10, 2, 2)
+query("fault_histories", _HIST)(_hist)
+_RUN_OCC = f"SELECT series_id, t, cluster_id % 4 AS motif_id FROM ({O.first_letters(O.RUN)})"
+
+
+def _run_occ(s: SparkSession, d: str) -> DataFrame:
+    c = _cand(s, d).withColumn("word", F.concat(*[F.when(F.col("x")[j] < 0, "0").otherwise("1") for j in range(0, D, 2)]))
+    return C.word_clusters(c, D).select("series_id", "t", (F.col("cluster_id") % 4).alias("motif_id"))
+
+
+_FEAT = f"SELECT h.series_id, h.start, h.positive, {', '.join(f'count(*) FILTER (o.motif_id = {i}) AS m{i}' for i in range(4))} FROM ({_HIST}) h LEFT JOIN ({_RUN_OCC}) o ON o.series_id = h.series_id AND o.t BETWEEN h.start AND h.start + 9 GROUP BY 1, 2, 3"
+_feat = lambda s, d: M.motif_features(_hist(s, d), _run_occ(s, d), [0, 1, 2, 3], 10).withColumnsRenamed({str(i): f"m{i}" for i in range(4)})
+query("motif_features", _FEAT)(_feat)
+query("positive_motifs", f"SELECT positive, count(*) AS histories, {', '.join(f'count(*) FILTER (m{i} > 0) AS with{i}' for i in range(4))} FROM ({_FEAT}) GROUP BY 1")(lambda s, d: _feat(s, d).groupBy("positive").agg(F.count("*").alias("histories"), *[F.count_if(F.col(f"m{i}") > 0).alias(f"with{i}") for i in range(4)]))
+query("temporal_rules", f"WITH o AS ({_RUN_OCC}), h AS (SELECT DISTINCT a.motif_id AS motif_a, 'error' AS event_b, a.series_id, a.t FROM o a JOIN ({_EV}) b ON b.user_id = a.series_id AND b.event_type = 'error' AND b.t > a.t AND b.t <= a.t + 5) SELECT motif_a, event_b, (SELECT count(*) FROM o WHERE o.motif_id = h.motif_a) AS support, count(*) AS followed, round(count(*) / (SELECT count(*) FROM o WHERE o.motif_id = h.motif_a), 6) AS confidence FROM h GROUP BY 1, 2")(lambda s, d: M.temporal_rules(_run_occ(s, d), _faults(s, d).withColumn("motif_id", F.lit("error")), 5).withColumn("confidence", F.round("confidence", 6)))
+query("known_events", f"WITH c AS (SELECT series_id, t, abs(v - lag(v) OVER (PARTITION BY series_id ORDER BY t)) AS ch FROM ({O.RUN})), h AS (SELECT *, t - row_number() OVER (PARTITION BY series_id ORDER BY t) AS g FROM c WHERE ch >= 8000) SELECT series_id, min(t) AS start, max(t) AS stop, count(*) AS hits FROM h GROUP BY series_id, g")(lambda s, d: M.known_events(_run(s, d), 8000).select("series_id", "start", "stop", "hits"))
+query("rare_windows", f"WITH h AS MATERIALIZED ({_HIGH}), k AS MATERIALIZED ({_MEANS}), r AS (SELECT * FROM ({_COARSE}) WHERE cluster_id IN (SELECT cluster_id FROM ({_COARSE}) GROUP BY 1 HAVING count(*) <= 100)) SELECT r.series_id, r.t FROM r, k GROUP BY 1, 2 HAVING min({O.sq('r.x', 'k.c')}) > 4")(lambda s, d: M.rare_windows(_coarse(s, d), _means(s, d), 100, 2.0, D).select("series_id", "t"))
+
+
+@query("fault_classifier")
+def _classifier(s: SparkSession, d: str) -> DataFrame:
+    f = C.cut(_feat(s, d))
+    return M.train_fault_classifier(f, [f"m{i}" for i in range(4)]).transform(f).groupBy("positive", F.col("prediction").cast("int").alias("predicted")).agg(F.count("*").alias("n"))
+
+
+# ---------------------------------------------------------------- operators
+both("op_semi", "SELECT o_orderkey FROM {orders} WHERE EXISTS (SELECT 1 FROM {lineitem} WHERE l_orderkey = o_orderkey AND l_quantity > 49)")
+both("op_anti", "SELECT c_custkey FROM {customer} WHERE NOT EXISTS (SELECT 1 FROM {orders} WHERE o_custkey = c_custkey)")
+both("op_full_outer", "SELECT coalesce(s_nationkey, c_nationkey) AS nation, s, c FROM (SELECT s_nationkey, count(*) AS s FROM {supplier} GROUP BY 1) a FULL OUTER JOIN (SELECT c_nationkey, count(*) AS c FROM {customer} WHERE c_mktsegment = 'BUILDING' GROUP BY 1) b ON s_nationkey = c_nationkey")
+for _n, _g in (("rollup", "ROLLUP (o_orderpriority, o_orderstatus)"), ("cube", "CUBE (o_orderpriority, o_orderstatus)"), ("grouping_sets", "GROUPING SETS ((o_orderpriority), (o_orderstatus), ())")):
+    both(f"op_{_n}", f"SELECT o_orderpriority, o_orderstatus, count(*) AS n, CAST(sum(CAST(round(o_totalprice * 100) AS BIGINT)) AS BIGINT) AS cents FROM {{orders}} GROUP BY {_g}")
+both("op_rank_family", "SELECT o_custkey, o_orderkey, CAST(row_number() OVER w AS BIGINT) AS rn, CAST(rank() OVER w AS BIGINT) AS rk, CAST(dense_rank() OVER w AS BIGINT) AS dr, CAST(ntile(4) OVER w AS BIGINT) AS q FROM {orders} WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey)")
+both("op_frames", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 3 PRECEDING AND CURRENT ROW) AS last4, max(value) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS upto, lead(value, 2) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS ahead FROM {events}")
+both("op_intersect_all", "SELECT s_nationkey AS k FROM {supplier} INTERSECT ALL SELECT c_nationkey FROM {customer}")
+both("op_except_all", "SELECT c_nationkey AS k FROM {customer} EXCEPT ALL SELECT s_nationkey FROM {supplier}")
+both("op_star_join", "SELECT r_name, o_orderpriority, count(*) AS n FROM {lineitem} JOIN {orders} ON l_orderkey = o_orderkey JOIN {customer} ON o_custkey = c_custkey JOIN {nation} ON c_nationkey = n_nationkey JOIN {region} ON n_regionkey = r_regionkey GROUP BY 1, 2")
+both("op_recursive_grid", "WITH RECURSIVE g AS (SELECT 0 AS i UNION ALL SELECT i + 1 FROM g WHERE i < 20) SELECT i, (SELECT count(*) FROM {region}) AS regions FROM g")
+both("op_scalar_subquery", "SELECT o_orderkey FROM {orders} WHERE o_totalprice > (SELECT 1.9 * avg(o_totalprice) FROM {orders})")
+both("op_union_distinct", "SELECT c_nationkey AS k FROM {customer} UNION SELECT s_nationkey FROM {supplier}")
+query("op_union_by_name", "SELECT s_suppkey AS key, s_nationkey AS nation, NULL AS segment FROM supplier UNION ALL SELECT c_custkey, c_nationkey, c_mktsegment FROM customer")(lambda s, d: V.load(s, d, "supplier").select(F.col("s_suppkey").alias("key"), F.col("s_nationkey").alias("nation")).unionByName(V.load(s, d, "customer").select(F.col("c_custkey").alias("key"), F.col("c_nationkey").alias("nation"), F.col("c_mktsegment").alias("segment")), allowMissingColumns=True))
+query("op_topk_per_group", "SELECT o_custkey, o_orderkey, CAST(row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS INTEGER) AS rank FROM orders QUALIFY rank <= 3")(lambda s, d: R.top_per_group(V.load(s, d, "orders"), ["o_custkey"], [F.desc("o_totalprice"), F.col("o_orderkey")], 3).select("o_custkey", "o_orderkey", "rank"))
+_T = "SELECT user_id, event_id, epoch_us(ts) // 60000000 AS m, event_type FROM events"
+
+
+def _minutes(s: SparkSession, d: str) -> DataFrame:
+    return V.load(s, d, "events").select("user_id", "event_id", F.floor(F.unix_micros(F.col("ts").cast("timestamp")) / 60_000_000).alias("m"), "event_type")
+
+
+_ASOF = f"SELECT l.user_id, l.event_id, (SELECT max(m) FROM ({_T}) r WHERE r.event_type = 'error' AND r.user_id = l.user_id AND r.m <= l.m) AS m_matched FROM ({_T}) l WHERE l.event_type <> 'error'"
+query("op_asof_backward", _ASOF)(lambda s, d: (lambda e: R.asof_join(e.where("event_type <> 'error'").select("user_id", "event_id", "m"), e.where("event_type = 'error'"), "m", ["user_id"], ["event_type"]).select("user_id", "event_id", "m_matched"))(_minutes(s, d)))
+query("op_asof_nearest", f"SELECT l.user_id, l.event_id, (SELECT arg_min(m, abs(m - l.m) * 2 + CASE WHEN m > l.m THEN 1 ELSE 0 END) FROM ({_T}) r WHERE r.event_type = 'error' AND r.user_id = l.user_id) AS m_matched FROM ({_T}) l WHERE l.event_type <> 'error'")(lambda s, d: (lambda e: R.asof_join(e.where("event_type <> 'error'").select("user_id", "event_id", "m"), e.where("event_type = 'error'"), "m", ["user_id"], ["event_type"], "nearest").select("user_id", "event_id", "m_matched"))(_minutes(s, d)))
+query("op_range_join", f"SELECT a.event_id, b.event_id AS other FROM ({_T}) a JOIN ({_T}) b ON a.user_id = b.user_id AND b.event_type = 'error' AND a.m BETWEEN b.m - 120 AND b.m")(lambda s, d: (lambda e: R.range_join(e.select("user_id", "event_id", "m"), e.where("event_type = 'error'").select("user_id", F.col("event_id").alias("other"), (F.col("m") - 120).alias("lo"), F.col("m").alias("hi")), "m", "lo", "hi", ["user_id"], 240).select("event_id", "other"))(_minutes(s, d)))
+query("op_islands", f"SELECT user_id, event_id, CAST(sum(n) OVER (PARTITION BY user_id ORDER BY m, event_id) AS BIGINT) AS island FROM (SELECT *, CASE WHEN m - lag(m) OVER (PARTITION BY user_id ORDER BY m, event_id) > 600 THEN 1 ELSE 0 END AS n FROM ({_T}))")(lambda s, d: _islands(s, d))
+
+
+def _islands(s: SparkSession, d: str) -> DataFrame:
+    order = Window.partitionBy("user_id").orderBy("m", "event_id")
+    new = F.when(F.col("m") - F.lag("m").over(order) > 600, 1).otherwise(0)
+    return _minutes(s, d).withColumn("n", new).select("user_id", "event_id", F.sum("n").over(order).alias("island"))
+
+
+query("op_pivot", "SELECT user_id, count(*) FILTER (event_type = 'error') AS error, count(*) FILTER (event_type = 'click') AS click FROM events GROUP BY 1")(lambda s, d: V.load(s, d, "events").groupBy("user_id").pivot("event_type", ["error", "click"]).count().fillna(0))
+query("op_unpivot", "SELECT l_orderkey, l_linenumber, kind, amount FROM (UNPIVOT (SELECT l_orderkey, l_linenumber, l_discount, l_tax FROM lineitem) ON l_discount, l_tax INTO NAME kind VALUE amount)")(lambda s, d: V.load(s, d, "lineitem").unpivot(["l_orderkey", "l_linenumber"], ["l_discount", "l_tax"], "kind", "amount"))
+query("op_json_props", "SELECT event_id, CAST(props->>'$.k' AS INTEGER) AS k FROM events")(lambda s, d: V.load(s, d, "events").select("event_id", F.from_json("props", "k int")["k"].alias("k")))
+query("op_percentiles", "SELECT event_type, round(quantile_cont(value, 0.5), 6) AS p50, round(quantile_cont(value, 0.9), 6) AS p90 FROM events GROUP BY 1")(lambda s, d: V.load(s, d, "events").groupBy("event_type").agg(F.round(F.percentile("value", 0.5), 6).alias("p50"), F.round(F.percentile("value", 0.9), 6).alias("p90")))
+query("op_sample_hash", "SELECT event_id FROM events WHERE (event_id * 7919 + 13) % 104729 % 100 < 10")(lambda s, d: R.sample_rows(V.load(s, d, "events"), "event_id", 10).select("event_id"))
+query("op_approx_distinct")(lambda s, d: V.load(s, d, "events").agg(F.approx_count_distinct("user_id", 0.02).alias("users")))
+query("op_map_features", "SELECT user_id, count(*) FILTER (event_type = 'error') AS errors FROM events GROUP BY 1")(lambda s, d: V.load(s, d, "events").groupBy("user_id", "event_type").agg(F.count("*").alias("n")).groupBy("user_id").agg(F.map_from_entries(F.collect_list(F.struct("event_type", "n"))).alias("m")).select("user_id", F.coalesce(F.try_element_at("m", F.lit("error")), F.lit(0)).cast("long").alias("errors")))
+query("op_string_words", r"SELECT conv_id, turn, len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+'))::BIGINT AS words FROM conversations")(lambda s, d: V.load(s, d, "conversations").select("conv_id", "turn", F.size(F.regexp_extract_all(F.coalesce("text", F.lit("")), F.lit(r"[^\x20\x09-\x0D]+"), F.lit(0))).cast("long").alias("words")))
+query("op_date_gaps", "SELECT o_custkey, max(g) AS longest FROM (SELECT o_custkey, date_diff('day', lag(o_orderdate::DATE) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey), o_orderdate::DATE) AS g FROM orders) GROUP BY 1")(lambda s, d: V.load(s, d, "orders").withColumn("g", F.datediff(F.to_date("o_orderdate"), F.lag(F.to_date("o_orderdate")).over(Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey"))).cast("long")).groupBy("o_custkey").agg(F.max("g").alias("longest")))
+
+# ---------------------------------------------------------------- streaming
+_HOUR = "SELECT event_type, date_trunc('hour', ts) AS start, count(*) AS n FROM events GROUP BY 1, 2"
+query("stream_tumbling", _HOUR)(ST.tumbling)
+query("stream_dedup", "SELECT DISTINCT event_id, user_id FROM events")(ST.dedup)
+query("stream_windows_batch_equal", f"SELECT series_id, t, word FROM ({O.words(O.reduced(O.RUN))})")(ST.windows_equal)

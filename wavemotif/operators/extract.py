@@ -91,7 +91,8 @@ def drop_trivial(assigned: DataFrame, reduced: DataFrame, r: float, delta: float
         return m.loc[keep].drop(columns="c")
 
     keys = ["sensor", "series_id"]
-    return members.groupBy(*keys).cogroup(reduced.select(*keys, "t", "x").groupBy(*keys)).applyInPandas(fn, assigned.schema)
+    members, windows = (df.select(*[F.col(c).alias(c) for c in columns]) for df, columns in ((members, members.columns), (reduced, [*keys, "t", "x"])))
+    return members.groupBy(*keys).cogroup(windows.groupBy(*keys)).applyInPandas(fn, assigned.schema)
 
 
 def _dims(df: DataFrame) -> int:
