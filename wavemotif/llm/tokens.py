@@ -70,12 +70,18 @@ class Transducer(dict):
             return chunk, None, None
         tail = b"" if not words or chunk[-1:] in SPACE_SET else words[-1]
         inner = words[bool(head) : len(words) - bool(tail)]
-        self.missing(inner)
-        return head, int(np.fromiter(map(self.__getitem__, inner), np.int64, len(inner)).sum()), tail
-
-    def missing(self, words: list[bytes]) -> None:
-        if new := set(words).difference(self):
-            self.compile(set(words) if len(self) + len(new) > STATES else new)
+        try:
+            counts = np.fromiter(map(self.__getitem__, inner), np.int64, len(inner))
+        except KeyError:
+            self.missing(inner)
+            counts = np.fromiter(map(self.__getitem__, inner), np.int64, len(inner))
+        return head, int(counts.sum()), tail
+
+    def missing(self, words: list[bytes] | set[bytes]) -> None:
+        wanted = set(words)
+        new = {w for w in wanted if w not in self}
+        if new:
+            self.compile(wanted if len(self) + len(new) > STATES else new)
 
     def emit(self, word: bytes) -> int:
         if not word:
