@@ -17,7 +17,6 @@ import functools
 import math
 import random
 import re
-from collections import Counter
 
 import numpy as np
 import pyarrow as pa
@@ -35,6 +34,7 @@ HEX = re.compile(r"[0-9a-f]{24,}")
 
 TOKEN = re.compile(r"[A-Za-z0-9+/_.=~-]+|[^\sA-Za-z0-9+/_.=~-]+")
 CUE = {"password": "pw", "passwd": "pw", "pwd": "pw", "pass": "pw", "secret": "sec", "token": "tok", "bearer": "tok", "apikey": "key", "api_key": "key", "key": "key", "access_key": "key", "private_key": "key", "auth": "tok", "authorization": "tok", "credential": "sec", "credentials": "sec", "client_secret": "sec", "user": "usr", "login": "usr"}
+LOWER, UPPER, DIGIT, MARK = re.compile("[a-z]"), re.compile("[A-Z]"), re.compile("[0-9]"), re.compile(r"[+/=_~.-]")
 STATES = 3  # O, B, I
 O, B, I = range(STATES)
 
@@ -48,33 +48,39 @@ def base_spans(text: str) -> list[Span]:
 ASSIGN_HINT = re.compile(r"[:=]")
 
 
-@functools.lru_cache(maxsize=200_000)
 def shape(token: str) -> tuple[str, ...]:
     """Features of a token by itself."""
     n = len(token)
     if not (token[0].isascii() and (token[0].isalnum() or token[0] in "+/_.=~-")):
         return ("p:" + token[:1],)
-    kinds = ("l" if any("a" <= c <= "z" for c in token) else "") + ("U" if any("A" <= c <= "Z" for c in token) else "") + ("9" if any("0" <= c <= "9" for c in token) else "") + ("+" if any(c in "+/=_~-." for c in token.strip(".")) else "")
-    entropy = -sum(c / n * math.log2(c / n) for c in Counter(token).values())
+    if token.isalpha():  # TOKEN makes such tokens ASCII
+        kinds = "l" if token.islower() else "U" if token.isupper() else "lU"
+    else:
+        kinds = ("l" if LOWER.search(token) else "") + ("U" if UPPER.search(token) else "") + ("9" if DIGIT.search(token) else "") + ("+" if MARK.search(token.strip(".")) else "")
+    entropy = -sum(c / n * math.log2(c / n) for c in map(token.count, set(token)))
     size = "1" if n < 4 else "4" if n < 8 else "8" if n < 14 else "14" if n < 20 else "20" if n < 32 else "32"
     feats = [f"n:{size}", f"k:{kinds}", f"nk:{size}{kinds}", f"h:{int(entropy * 2)}", f"hn:{int(entropy)}{size}"]
-    switches = sum((a.isdigit() != b.isdigit()) or (a.islower() != b.islower() and a.isalpha() and b.isalpha()) for a, b in zip(token[1:], token[2:], strict=False))
+    switches = 0 if kinds in ("l", "U", "9") else sum((a.isdigit() != b.isdigit()) or (a.islower() != b.islower() and a.isalpha() and b.isalpha()) for a, b in zip(token[1:], token[2:], strict=False))
     feats.append(f"sw:{min(6, switches)}")
     if token[:4] in ("ghp_", "sk_l", "sk-p", "xoxb", "eyJh", "glpa", "AIza", "npm_"):
         feats.append("known")
     return (*feats, *cue(token))
 
 
-@functools.lru_cache(maxsize=200_000)
 def cue(token: str) -> tuple[str, ...]:
     """What a token says to its neighbours."""
     word = token.lower().strip("=:._-")
-    kind = CUE.get(word) or next((CUE[w] for w in reversed(re.split(r"[_.=-]", word)) if w in CUE), None)
+    kind = CUE.get(word)
+    if kind is None and not word.isalpha() and SPLIT.search(word):
+        kind = next((CUE[w] for w in reversed(SPLIT.split(word)) if w in CUE), None)
     if kind:
         return (f"c:{kind}",)
     return ("c:sep",) if token and token[0] in ":=\"'`" or token in ("=", "==") else ("c:url",) if token.startswith(":/") else ("c:w",)
 
 
+SPLIT = re.compile(r"[_.=-]")
+
+
 def features(tokens: list[str]) -> list[list[str]]:
     cues = [cue(t)[0] for t in tokens]
     whole = f"f:{min(3, sum(c not in ('c:w', 'c:sep') for c in cues))}"
@@ -174,6 +180,20 @@ def fit(n: int = 1500, epochs: int = 6, seed: int = 5) -> tuple[dict[str, tuple[
 CUES = ("c:pw", "c:sec", "c:tok", "c:key", "c:usr", "c:sep", "c:url", "c:w", "^", "$")
 
 
+class Codes(dict):
+    """Token to code, remembered for the tokens seen last."""
+
+    def __init__(self, of):
+        super().__init__()
+        self.of = of
+
+    def __missing__(self, token: str) -> int:
+        if len(self) > 2 * WORD_CACHE:
+            self.clear()
+        got = self[token] = self.of(token)
+        return got
+
+
 class Tagger:
     """Scores and decodes with given weights.
 
@@ -189,7 +209,7 @@ class Tagger:
         k = len(CUES)
         self.left = np.array([[np.add(self.of(f"-1{p1}"), self.of(f"-2{p2}{p1}")) for p1 in CUES] for p2 in CUES]).reshape(k * k, STATES)
         self.right = np.array([self.of(f"+1{n}") for n in CUES])
-        self.codes: dict[str, int] = {}
+        self.codes = Codes(self.code)
         self.shapes: dict[tuple[str, ...], int] = {}
         self.own: list[np.ndarray] = []
         self.table = np.empty((0, 4, k * k, STATES))
@@ -204,14 +224,10 @@ class Tagger:
             self.shapes[s] = len(self.shapes)
             pair = np.array([self.of(f"-2{p2}{p1}{s[2]}") if len(s) > 2 else np.zeros(STATES) for p2 in CUES for p1 in CUES])
             self.own.append(np.array([self.of(*s, f"f:{whole}{s[0]}") + pair for whole in range(4)]))
-        if len(self.codes) > WORD_CACHE:
-            self.codes.clear()
-        got = self.codes[token] = self.shapes[s] * 16 + CUES.index(cue(token)[0])
-        return got
+        return self.shapes[s] * 16 + CUES.index(s[-1] if s[-1] in CUES else cue(token)[0])
 
     def scores(self, tokens: list[str]) -> np.ndarray:
-        known = self.codes
-        codes = np.fromiter([known[t] if t in known else self.code(t) for t in tokens], np.int64, len(tokens))
+        codes = np.fromiter(map(self.codes.__getitem__, tokens), np.int64, len(tokens))
         if len(self.own) > len(self.table):
             self.table = np.concatenate([self.table, np.stack(self.own[len(self.table) :])])
         cues, shapes = codes & 15, codes >> 4
