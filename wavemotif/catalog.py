@@ -381,3 +381,37 @@ _HOUR = "SELECT event_type, date_trunc('hour', ts) AS start, count(*) AS n FROM
 query("stream_tumbling", _HOUR)(ST.tumbling)
 query("stream_dedup", "SELECT DISTINCT event_id, user_id FROM events")(ST.dedup)
 query("stream_windows_batch_equal", f"SELECT series_id, t, word FROM ({O.words(O.reduced(O.RUN))})")(ST.windows_equal)
+
+# ---------------------------------------------------------------- later steps and robustness, without a DuckDB form
+query("drop_trivial")(lambda s, d: X.drop_trivial(_high(s, d), _planted_windows(s, d), 1.0).select(*_ids))
+query("drop_trivial_closest")(lambda s, d: X.drop_trivial_closest(_high(s, d), W).select(*_ids))
+
+
+def _planted(s: SparkSession, d: str, **options) -> PL.MotifResult:
+    return PL.discover(V.planted_view(s, d).where("series_id <= 20"), W, 17, **options)
+
+
+query("group_motifs")(lambda s, d: _planted(s, d).stages["groups"].groupBy("sensor", "cluster_id").agg(F.count("*").alias("n")))
+query("final_motifs")(lambda s, d: _planted(s, d).motifs.select("sensor", "motif_id", "level_id", "support", "runs"))
+
+
+@query("order_sensitivity")
+def _order(s: SparkSession, d: str) -> DataFrame:
+    """Motifs of a random insertion order that agree with those of time order."""
+    a, b = (_planted(s, d, method="all", **o).motifs for o in ({"order": "random", "seed": 1}, {}))
+    return S.motif_agreement(a, b, 1.0, D)
+
+
+@query("growth_slope")
+def _growth(s: SparkSession, d: str) -> DataFrame:
+    """Slope of log distances on log candidates over growing numbers of runs, by method."""
+    cand = C.cut(P.candidates(V.planted_view(s, d).where("series_id <= 16"), W, D))
+    parts = []
+    for method in ("all", "cftree", "hash"):
+        for n in (2, 4, 8, 16):
+            part = C.cluster(cand.where(F.col("series_id") <= n), 1.0, method)
+            parts.append(part.agg(F.lit(method).alias("method"), F.count("*").alias("n"), F.max("evals").alias("evals")))
+    rows = parts[0]
+    for p in parts[1:]:
+        rows = rows.unionByName(p)
+    return rows.groupBy("method").agg(F.round(F.regr_slope(F.log("evals"), F.log("n")), 3).alias("slope"))
