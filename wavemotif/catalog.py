@@ -379,6 +379,7 @@ query("op_date_gaps", "SELECT o_custkey, max(g) AS longest FROM (SELECT o_custke
 # ---------------------------------------------------------------- streaming
 _HOUR = "SELECT event_type, date_trunc('hour', ts) AS start, count(*) AS n FROM events GROUP BY 1, 2"
 query("stream_tumbling", _HOUR)(ST.tumbling)
+query("stream_sliding", "SELECT event_type, date_trunc('hour', ts) - INTERVAL 1 HOUR * k AS start, count(*) AS n FROM events, (VALUES (0), (1)) s(k) GROUP BY 1, 2")(lambda s, d: ST.tumbling(s, d, "2 hours", "1 hour"))
 query("stream_dedup", "SELECT DISTINCT event_id, user_id FROM events")(ST.dedup)
 query("stream_windows_batch_equal", f"SELECT series_id, t, word FROM ({O.words(O.reduced(O.RUN))})")(ST.windows_equal)
 

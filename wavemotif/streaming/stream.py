@@ -50,8 +50,9 @@ def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
     return out.where(F.col("batch") == out.agg(F.max("batch")).first()[0]).drop("batch")
 
 
-def tumbling(spark: SparkSession, sf_dir: str, length: str = "1 hour") -> DataFrame:
-    rows = source(spark, sf_dir).groupBy("event_type", F.window("ts", length).alias("w")).agg(F.count("*").alias("n"))
+def tumbling(spark: SparkSession, sf_dir: str, length: str = "1 hour", slide: str | None = None) -> DataFrame:
+    """Counts by event time; windows overlap if slide is shorter than length."""
+    rows = source(spark, sf_dir).groupBy("event_type", F.window("ts", length, slide).alias("w")).agg(F.count("*").alias("n"))
     return drain(rows.select("event_type", F.col("w.start").alias("start"), "n"), "complete")
 
 
