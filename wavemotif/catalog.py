@@ -160,7 +160,7 @@ def _cf_merge(s: SparkSession, d: str) -> DataFrame:
 
 query("adjusted_radius_table", O.RADII)(lambda s, d: s.createDataFrame([(w, VEC.adjusted_radius(w)) for w in (10, 20, 40, 80, 200)], "w int, r double"))
 _ALL_X = f"SELECT series_id, t, [{', '.join(f'p{j}' for j in range(D))}] AS x FROM ({O.reduced(O.RUN)})"
-query("nontrivial_pairs", f"WITH w AS MATERIALIZED ({_ALL_X}), p AS (SELECT a.series_id, a.t, b.t AS u, a.x, b.x AS y FROM w a JOIN w b ON a.series_id = b.series_id AND a.t < b.t WHERE a.series_id < 20 AND {O.sq('a.x', 'b.x')} <= 4) SELECT series_id, t, u, EXISTS (SELECT 1 FROM w m WHERE m.series_id = p.series_id AND m.t > p.t AND m.t < p.u AND {O.sq('m.x', 'p.x')} > 4 AND {O.sq('m.x', 'p.y')} > 4) AS nontrivial FROM p")(lambda s, d: nontrivial_pairs(_reduced(s, d).where("series_id < 20"), 2.0, D).select("series_id", "t", "u", "nontrivial"))
+query("nontrivial_pairs", f"WITH w AS MATERIALIZED ({_ALL_X}), p AS (SELECT a.series_id, a.t, b.t AS u, a.x, b.x AS y FROM w a JOIN w b ON a.series_id = b.series_id AND a.t < b.t WHERE {O.sq('a.x', 'b.x')} <= 4) SELECT series_id, t, u, EXISTS (SELECT 1 FROM w m WHERE m.series_id = p.series_id AND m.t > p.t AND m.t < p.u AND {O.sq('m.x', 'p.x')} > 4 AND {O.sq('m.x', 'p.y')} > 4) AS nontrivial FROM p")(lambda s, d: nontrivial_pairs(_reduced(s, d), 2.0, D).select("series_id", "t", "u", "nontrivial"))
 
 
 def nontrivial_pairs(win: DataFrame, delta: float, d: int) -> DataFrame:
@@ -175,10 +175,10 @@ def nontrivial_pairs(win: DataFrame, delta: float, d: int) -> DataFrame:
 # ---------------------------------------------------------------- extraction, over a coarse deterministic grouping
 def _coarse(s: SparkSession, d: str) -> DataFrame:
     c = P.candidates(V.planted_view(s, d), W, D)
-    return C.word_clusters(c.withColumn("word", F.concat(*[F.when(F.col("x")[j] < 0, "0").otherwise("1") for j in range(0, D, 2)])), D).where("series_id <= 30")
+    return C.word_clusters(c.withColumn("word", F.concat(*[F.when(F.col("x")[j] < 0, "0").otherwise("1") for j in range(0, D, 2)])), D)
 
 
-_COARSE = f"SELECT * FROM ({O.first_letters(O.PLANTED)}) WHERE series_id <= 30"
+_COARSE = O.first_letters(O.PLANTED)
 _HIGH = O.supported(_COARSE, 200)
 
 
@@ -262,24 +262,24 @@ def _agreement(s: SparkSession, d: str) -> DataFrame:
 
 # ---------------------------------------------------------------- baselines
 _PAIRS = f"SELECT a.series_id AS series_a, a.t AS t_a, b.series_id AS series_b, b.t AS t_b, {O.sq('a.x', 'b.x')} AS d2 FROM w a JOIN w b ON a.series_id < b.series_id OR (a.series_id = b.series_id AND b.t - a.t >= 20)"
-_PAIR_SQL = f"WITH w AS MATERIALIZED (SELECT * FROM ({_ALL_X}) WHERE series_id <= 40) SELECT series_a, t_a, series_b, t_b, round(d2, 6) AS d2 FROM ({_PAIRS}) ORDER BY d2, series_a, t_a, series_b, t_b LIMIT 1"
+_PAIR_SQL = f"WITH w AS MATERIALIZED (SELECT * FROM ({_ALL_X})) SELECT series_a, t_a, series_b, t_b, round(d2, 6) AS d2 FROM ({_PAIRS}) ORDER BY d2, series_a, t_a, series_b, t_b LIMIT 1"
 for _m in ("brute", "reference"):
-    query(f"closest_pair_{_m}", _PAIR_SQL)(lambda s, d, m=_m: B.closest_pair(C.cut(_reduced(s, d).where("series_id <= 40")), D, W, m).select("series_a", "t_a", "series_b", "t_b", F.round("d2", 6).alias("d2")))
+    query(f"closest_pair_{_m}", _PAIR_SQL)(lambda s, d, m=_m: B.closest_pair(C.cut(_reduced(s, d)), D, W, m).select("series_a", "t_a", "series_b", "t_b", F.round("d2", 6).alias("d2")))
 for _m in ("radius", "description_length"):
-    query(f"closest_pair_grouping_{'dl' if _m != 'radius' else _m}")(lambda s, d, m=_m: B.closest_pair_grouping(_reduced(s, d).where("series_id <= 15"), D, W, m, r=1.5, max_groups=3))
+    query(f"closest_pair_grouping_{'dl' if _m != 'radius' else _m}")(lambda s, d, m=_m: B.closest_pair_grouping(_reduced(s, d), D, W, m, r=1.5, max_groups=3))
 query("agglomerate_small")(lambda s, d: B.agglomerate(_cand(s, d), 2.0).select(*_ids))
 query("kmeans_lloyd3")(lambda s, d: B.kmeans_lloyd(_cand(s, d), 8, 3, D))
 query("kmeans_ml")(lambda s, d: B.kmeans_ml(_cand(s, d), 8).select("series_id", "t", "cluster_id"))
-_DB = f"""WITH RECURSIVE w AS MATERIALIZED (SELECT series_id * 1000 + t AS id, x FROM ({_NEAR}) WHERE series_id <= 30),
+_DB = f"""WITH RECURSIVE w AS MATERIALIZED (SELECT series_id * 1000 + t AS id, x FROM ({_NEAR})),
  e AS MATERIALIZED (SELECT a.id AS a, b.id AS b FROM w a JOIN w b ON a.id <> b.id AND {O.sq('a.x', 'b.x')} <= 2.25),
  c AS MATERIALIZED (SELECT a AS id FROM e GROUP BY 1 HAVING count(*) + 1 >= 4), l AS MATERIALIZED (SELECT e.a, e.b FROM e JOIN c x ON x.id = e.a JOIN c y ON y.id = e.b),
  r AS (SELECT id, id AS root FROM c UNION SELECT l.a, r.root FROM r JOIN l ON l.b = r.id WHERE r.root < l.a), k AS MATERIALIZED (SELECT id, min(root) AS root FROM r GROUP BY 1)
  SELECT w.id, coalesce(k.root, (SELECT min(k2.root) FROM e JOIN k k2 ON k2.id = e.b WHERE e.a = w.id)) AS cluster_id FROM w LEFT JOIN k ON k.id = w.id"""
-query("dbscan_windows", _DB)(lambda s, d: B.dbscan(_cand(s, d).where("series_id <= 30").select("sensor", (F.col("series_id") * 1000 + F.col("t")).alias("id"), "x"), 1.5, 4, D))
+query("dbscan_windows", _DB)(lambda s, d: B.dbscan(_cand(s, d).select("sensor", (F.col("series_id") * 1000 + F.col("t")).alias("id"), "x"), 1.5, 4, D))
 
 # ---------------------------------------------------------------- use of motifs
 _MEANS = f"SELECT cluster_id AS motif_id, [{', '.join(f'avg(x[{i}])' for i in range(1, D + 1))}] AS c FROM (SELECT * FROM h) GROUP BY 1"
-_ALL_P = f"SELECT series_id, t, [{', '.join(f'p{j}' for j in range(D))}] AS x FROM ({O.reduced(O.PLANTED)}) WHERE series_id <= 30"
+_ALL_P = f"SELECT series_id, t, [{', '.join(f'p{j}' for j in range(D))}] AS x FROM ({O.reduced(O.PLANTED)})"
 
 
 def _means(s: SparkSession, d: str) -> DataFrame:
@@ -287,7 +287,7 @@ def _means(s: SparkSession, d: str) -> DataFrame:
 
 
 def _planted_windows(s: SparkSession, d: str) -> DataFrame:
-    return P.reduced_windows(P.znormalize(V.planted_view(s, d)), W, D, None).where("series_id <= 30")
+    return P.reduced_windows(P.znormalize(V.planted_view(s, d)), W, D, None)
 
 
 query("match_motifs", f"WITH h AS MATERIALIZED ({_HIGH}), k AS MATERIALIZED ({_MEANS}) SELECT series_id, t, min_by(motif_id, d2) AS motif_id FROM (SELECT w.series_id, w.t, k.motif_id, {O.sq('w.x', 'k.c')} AS d2 FROM ({_ALL_P}) w, k) WHERE d2 < 4 GROUP BY 1, 2")(lambda s, d: M.match(_planted_windows(s, d), _means(s, d), 2.0, D).select("series_id", "t", "motif_id"))
