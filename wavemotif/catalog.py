@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -204,23 +205,26 @@ def _support(spark: SparkSession, d: str) -> int:
     return max(2, int(0.85 * V.load(spark, d, "supplier").count()))
 
 
-def _accuracy(method: str, **options) -> Query:
-    def run(s: SparkSession, d: str) -> DataFrame:
-        r = PL.discover(V.planted_view(s, d).where("series_id <= 30"), W, 25, method=method, **options)
-        q = S.match_quality(r.occurrences, V.planted_truth(s, d).where("series_id <= 30"))
-        return q.select("shape", "instances", (F.col("recall") >= 0.8).alias("found"), F.when(F.col("shape") == "held_step", F.col("precision") >= 0.8).alias("precise"))  # two pulses look like themselves 12 steps on
+def _planted(s: SparkSession, d: str, w: int = W, **options) -> PL.MotifResult:
+    """Motifs of the planted view in at least 85 percent as many places as there are runs."""
+    return PL.discover(V.planted_view(s, d), w, _support(s, d), **options)
 
-    return run
 
+def planted_quality(series: DataFrame, truth: DataFrame, support: int, w: int = W, **options) -> DataFrame:
+    """shape, instances, found, members, recall, precision of the best motif of each shape."""
+    q = S.match_quality(PL.discover(series, w, support, **options).occurrences, truth)
+    return q.withColumns({c: F.round(c, 4) for c in ("recall", "precision")})
 
-_FOUND = "SELECT shape, 5 * count(DISTINCT l_suppkey) AS instances, true AS found, CASE WHEN shape = 'held_step' THEN true END AS precise FROM lineitem, (VALUES ('held_step'), ('two_pulses')) s(shape) WHERE l_suppkey <= 30 GROUP BY 1"
-query("motifs_pipeline_all", _FOUND)(_accuracy("all"))
-query("motifs_pipeline_cftree", _FOUND)(_accuracy("cftree"))
-query("motifs_pipeline_hash", _FOUND)(_accuracy("hash"))
-query("motifs_pipeline_parallel", _FOUND)(_accuracy("parallel"))
-query("motifs_multi_width")(lambda s, d: PL.discover_many(V.planted_view(s, d).where("series_id <= 20"), (14, 20, 40), 8).select("w", "sensor", "motif_id", "level_id", "support", "runs"))
-query("funnel")(lambda s, d: PL.discover(V.planted_view(s, d).where("series_id <= 20"), W, 17).funnel())
-query("ablation_no_shift_no_trivial")(lambda s, d: PL.discover(V.planted_view(s, d).where("series_id <= 20"), W, 17, skip=("flat", "words", "shifted", "trivial")).funnel())
+
+def _accuracy(w: int = W, **options) -> Query:
+    return lambda s, d: planted_quality(V.planted_view(s, d), V.planted_truth(s, d), _support(s, d), w, **options)
+
+
+for _m in ("all", "cftree", "hash", "parallel"):
+    query(f"motifs_pipeline_{_m}")(_accuracy(method=_m))
+query("motifs_multi_width")(lambda s, d: PL.discover_many(V.planted_view(s, d), (14, 20, 40), _support(s, d)).select("w", "sensor", "motif_id", "level_id", "support", "runs"))
+query("funnel")(lambda s, d: _planted(s, d).funnel())
+query("ablation_no_shift_no_trivial")(lambda s, d: _planted(s, d, skip=("flat", "words", "shifted", "trivial")).funnel())
 
 # ---------------------------------------------------------------- measures, over sequential clusters of runs
 _SEQ = O.sequential(O.RUN, 2.0)
@@ -245,7 +249,7 @@ query("cluster_diameter", _measure(f"SELECT a.sensor, a.cluster_id, count(*) FIL
 query("misplacement", _measure(f"SELECT sensor, count(*) AS members, count(*) FILTER (best <> cluster_id) AS misplaced FROM (SELECT m.sensor, m.t, m.cluster_id, min_by(k.cluster_id, {O.sq('m.x', 'k.c')}) AS best FROM m JOIN k USING (sensor) GROUP BY 1, 2, 3) GROUP BY 1".replace("JOIN k USING (sensor)", "JOIN k ON k.sensor = m.sensor")))(lambda s, d: S.misplacement(_seq(s, d), D))
 query("tightness", _measure(f"SELECT m.sensor, m.cluster_id, count(*) AS n, round(avg(sqrt({O.sq('x', 'c')})), 6) AS mean_dist, round(max(sqrt({O.sq('x', 'c')})), 6) AS max_dist FROM m JOIN k ON k.sensor = m.sensor AND k.cluster_id = m.cluster_id GROUP BY 1, 2"))(lambda s, d: S.tightness(_seq(s, d), D))
 query("overlap_share", _measure(f"SELECT sensor, count(*) AS members, count(*) FILTER (c > 1) AS shared FROM (SELECT m.sensor, m.t, count(*) FILTER ({O.sq('m.x', 'k.c')} < 4) AS c FROM m JOIN k ON k.sensor = m.sensor GROUP BY 1, 2) GROUP BY 1"))(lambda s, d: S.overlap_share(_seq(s, d), 2.0, D))
-query("candidate_set_size")(lambda s, d: (lambda c: C.cluster(c, 1.0, "all").select(F.lit("all").alias("method"), "evals").distinct().unionByName(C.cluster(c, 1.0, "cftree").select(F.lit("cftree").alias("method"), "evals").distinct()).unionByName(C.cluster(c, 1.0, "hash").select(F.lit("hash").alias("method"), "evals").distinct()))(C.cut(P.candidates(V.planted_view(s, d).where("series_id <= 10"), W, D))))
+query("candidate_set_size")(lambda s, d: (lambda c: C.cluster(c, 1.0, "all").select(F.lit("all").alias("method"), "evals").distinct().unionByName(C.cluster(c, 1.0, "cftree").select(F.lit("cftree").alias("method"), "evals").distinct()).unionByName(C.cluster(c, 1.0, "hash").select(F.lit("hash").alias("method"), "evals").distinct()))(C.cut(P.candidates(V.planted_view(s, d), W, D))))
 
 
 @query("purity_embeddings")
@@ -256,7 +260,7 @@ def _purity(s: SparkSession, d: str) -> DataFrame:
 
 @query("motif_agreement")
 def _agreement(s: SparkSession, d: str) -> DataFrame:
-    a, b = (PL.discover(V.planted_view(s, d).where("series_id <= 20"), W, 17, method=m).motifs for m in ("cftree", "all"))
+    a, b = (_planted(s, d, method=m).motifs for m in ("cftree", "all"))
     return S.motif_agreement(a, b, 1.0, D)
 
 
@@ -386,12 +390,6 @@ query("stream_windows_batch_equal", f"SELECT series_id, t, word FROM ({O.words(O
 # ---------------------------------------------------------------- later steps and robustness, without a DuckDB form
 query("drop_trivial")(lambda s, d: X.drop_trivial(_high(s, d), _planted_windows(s, d), 1.0).select(*_ids))
 query("drop_trivial_closest")(lambda s, d: X.drop_trivial_closest(_high(s, d), W).select(*_ids))
-
-
-def _planted(s: SparkSession, d: str, **options) -> PL.MotifResult:
-    return PL.discover(V.planted_view(s, d).where("series_id <= 20"), W, 17, **options)
-
-
 query("group_motifs")(lambda s, d: _planted(s, d).stages["groups"].groupBy("sensor", "cluster_id").agg(F.count("*").alias("n")))
 query("final_motifs")(lambda s, d: _planted(s, d).motifs.select("sensor", "motif_id", "level_id", "support", "runs"))
 
@@ -405,14 +403,12 @@ def _order(s: SparkSession, d: str) -> DataFrame:
 
 @query("growth_slope")
 def _growth(s: SparkSession, d: str) -> DataFrame:
-    """Slope of log distances on log candidates over growing numbers of runs, by method."""
-    cand = C.cut(P.candidates(V.planted_view(s, d).where("series_id <= 16"), W, D))
+    """Slope of log distances on log candidates over a growing part of the runs, up to all of them, by method."""
+    cand = C.cut(P.candidates(V.planted_view(s, d), W, D))
     parts = []
     for method in ("all", "cftree", "hash"):
-        for n in (2, 4, 8, 16):
-            part = C.cluster(cand.where(F.col("series_id") <= n), 1.0, method)
+        for share in (8, 4, 2, 1):  # the growth is what is measured
+            part = C.cluster(cand.where(F.col("series_id") % share == 0), 1.0, method)
             parts.append(part.agg(F.lit(method).alias("method"), F.count("*").alias("n"), F.max("evals").alias("evals")))
-    rows = parts[0]
-    for p in parts[1:]:
-        rows = rows.unionByName(p)
+    rows = reduce(DataFrame.unionByName, parts)
     return rows.groupBy("method").agg(F.round(F.regr_slope(F.log("evals"), F.log("n")), 3).alias("slope"))
