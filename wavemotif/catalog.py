@@ -18,6 +18,7 @@ from wavemotif.operators import measures as S
 from wavemotif.operators import prep as P
 from wavemotif.operators import relational as R
 from wavemotif.plans import pipeline as PL
+from wavemotif.sources import files as FS
 from wavemotif.sources import views as V
 from wavemotif.streaming import stream as ST
 
@@ -272,7 +273,7 @@ for _m in ("brute", "reference"):
 for _m in ("radius", "description_length"):
     query(f"closest_pair_grouping_{'dl' if _m != 'radius' else _m}")(lambda s, d, m=_m: B.closest_pair_grouping(_reduced(s, d), D, W, m, r=1.5, max_groups=3))
 query("agglomerate_small")(lambda s, d: B.agglomerate(_cand(s, d), 2.0).select(*_ids))
-query("kmeans_lloyd3")(lambda s, d: B.kmeans_lloyd(_cand(s, d), 8, 3, D))
+query("kmeans_lloyd3", O.lloyd(O.RUN, 8, 3))(lambda s, d: B.kmeans_lloyd(_cand(s, d), 8, 3, D))
 query("kmeans_ml")(lambda s, d: B.kmeans_ml(_cand(s, d), 8).select("series_id", "t", "cluster_id"))
 _DB = f"""WITH RECURSIVE w AS MATERIALIZED (SELECT series_id * 1000 + t AS id, x FROM ({_NEAR})),
  e AS MATERIALIZED (SELECT a.id AS a, b.id AS b FROM w a JOIN w b ON a.id <> b.id AND {O.sq('a.x', 'b.x')} <= 2.25),
@@ -388,7 +389,7 @@ query("stream_dedup", "SELECT DISTINCT event_id, user_id FROM events")(ST.dedup)
 query("stream_windows_batch_equal", f"SELECT series_id, t, word FROM ({O.words(O.reduced(O.RUN))})")(ST.windows_equal)
 
 # ---------------------------------------------------------------- later steps and robustness, without a DuckDB form
-query("drop_trivial")(lambda s, d: X.drop_trivial(_high(s, d), _planted_windows(s, d), 1.0).select(*_ids))
+query("drop_trivial", O.drop_trivial(_HIGH, _ALL_P))(lambda s, d: X.drop_trivial(_high(s, d), _planted_windows(s, d), 1.0).select(*_ids))
 query("drop_trivial_closest")(lambda s, d: X.drop_trivial_closest(_high(s, d), W).select(*_ids))
 query("group_motifs")(lambda s, d: _planted(s, d).stages["groups"].groupBy("sensor", "cluster_id").agg(F.count("*").alias("n")))
 query("final_motifs")(lambda s, d: _planted(s, d).motifs.select("sensor", "motif_id", "level_id", "support", "runs"))
@@ -412,3 +413,162 @@ def _growth(s: SparkSession, d: str) -> DataFrame:
             parts.append(part.agg(F.lit(method).alias("method"), F.count("*").alias("n"), F.max("evals").alias("evals")))
     rows = reduce(DataFrame.unionByName, parts)
     return rows.groupBy("method").agg(F.round(F.regr_slope(F.log("evals"), F.log("n")), 3).alias("slope"))
+
+# ---------------------------------------------------------------- accuracy against planted shapes, model files, generated runs
+_TRUTH = "SELECT series_id, 60 * b + 2 + (7 * series_id + 13 * b) % 11 AS t0, 'held_step' AS shape FROM k UNION ALL SELECT series_id, 60 * b + 29 + (5 * series_id + 17 * b) % 11, 'two_pulses' FROM k"
+_QUALITY = f"""WITH h AS MATERIALIZED ({_HIGH}), k AS (SELECT series_id, r.range AS b FROM (SELECT DISTINCT l_suppkey AS series_id FROM lineitem), range(5) r), tr AS MATERIALIZED ({_TRUTH}),
+ c AS (SELECT h.cluster_id, tr.shape, unnest([h.t - t0 - 1, h.t - t0, h.t - t0 + 1]) AS off, h.series_id, h.t, t0 FROM h JOIN tr ON tr.series_id = h.series_id AND abs(h.t - t0) <= 10),
+ g AS (SELECT cluster_id, shape, off, count(DISTINCT (series_id, t0)) AS found, count(DISTINCT (series_id, t)) AS inside FROM c GROUP BY 1, 2, 3),
+ b AS (SELECT shape, max({{'found': found, 'inside': inside, 'members': members}}) AS m FROM g JOIN (SELECT cluster_id, count(*) AS members FROM h GROUP BY 1) USING (cluster_id) GROUP BY 1)
+ SELECT shape, instances, m.found AS found, m.members AS members, round(m.found / instances, 6) AS recall, round(m.inside / m.members, 6) AS precision FROM (SELECT shape, count(*) AS instances FROM tr GROUP BY 1) JOIN b USING (shape)"""
+query("match_quality", _QUALITY)(lambda s, d: S.match_quality(_high(s, d).withColumn("level_id", F.lit(0)), V.planted_truth(s, d)).withColumns({c: F.round(c, 6) for c in ("recall", "precision")}))
+_PARITY = lambda series, name: f"SELECT '{name}' AS method, series_id % 2 AS run, [{', '.join(f'avg(x[{i}])' for i in range(1, D + 1))}] AS c FROM ({O.first_letters(series)}) GROUP BY cluster_id, series_id % 2"
+_REPEAT = f"""WITH c AS MATERIALIZED (SELECT *, row_number() OVER () AS k FROM ({_PARITY(O.RUN, 'run')} UNION ALL {_PARITY(O.PLANTED, 'planted')})),
+ g AS (SELECT a.k, a.method, b.method AS m2, sqrt(min({O.sq('a.c', 'b.c')})) AS g FROM c a JOIN c b ON NOT (a.method = b.method AND a.run = b.run) GROUP BY a.k, a.method, b.method, b.run)
+ SELECT round(avg(g) FILTER (method = m2) / avg(g) FILTER (method <> m2), 6) AS ratio FROM g"""
+
+
+@query("repeatability", _REPEAT)
+def _repeatability(s: SparkSession, d: str) -> DataFrame:
+    """Centres of one half of the runs against those of the other half, and against those of other data."""
+    sets = []
+    for name, series in (("run", V.run_view(s, d)), ("planted", V.planted_view(s, d))):
+        c = P.candidates(series, W, D)
+        c = C.word_clusters(c.withColumn("word", F.concat(*[F.when(F.col("x")[j] < 0, "0").otherwise("1") for j in range(0, D, 2)])), D)
+        sets.append(c.withColumn("run", F.col("series_id") % 2).groupBy("cluster_id", "run").agg(F.array(*[F.avg(F.col("x")[j]) for j in range(D)]).alias("centroid")).select(F.lit(name).alias("method"), "run", "centroid"))
+    return S.repeatability(C.cut(sets[0].unionByName(sets[1])), D).withColumn("ratio", F.round("ratio", 6))
+
+
+@query("model_roundtrip_match", _SQL["match_motifs"])
+def _model(s: SparkSession, d: str) -> DataFrame:
+    """Matching with motifs that were saved and loaded."""
+    path = f"{ST.folder(s)}/model"
+    FS.save_model(_means(s, d), path, w=W, d=D, r=2.0)
+    motifs, p = FS.load_model(s, path)
+    return M.match(_planted_windows(s, d), motifs, p["r"], p["d"]).select("series_id", "t", "motif_id")
+
+
+@query("source_csv_roundtrip", O.RUN)
+def _csv(s: SparkSession, d: str) -> DataFrame:
+    path = f"{ST.folder(s)}/csv"
+    FS.export(_run(s, d), path)
+    return FS.read_series(s, path)
+
+
+@query("source_json_roundtrip", O.RUN)
+def _json(s: SparkSession, d: str) -> DataFrame:
+    path = f"{ST.folder(s)}/json"
+    FS.export(_run(s, d), path, "json")
+    return FS.read_series(s, path, "json")
+
+
+@query("sink_stage_roundtrip", f"SELECT sensor, series_id, t, word FROM ({O.candidates(O.FLAG)})")
+def _stage(s: SparkSession, d: str) -> DataFrame:
+    path = f"{ST.folder(s)}/stage"
+    FS.write_stage(P.candidates(V.flag_view(s, d), W, D), path)
+    return FS.read_stage(s, path).select("sensor", "series_id", "t", "word")
+
+
+query("source_planted_runs", "SELECT 'planted' AS sensor, k.range AS series_id, u.range AS t, ((CASE WHEN u.range % 60 - 2 - (7 * k.range + 13 * (u.range // 60)) % 11 BETWEEN 10 AND 17 THEN 3000 ELSE 0 END) + (CASE WHEN u.range % 60 - 29 - (5 * k.range + 17 * (u.range // 60)) % 11 IN (2, 3, 14, 15) THEN 3000 ELSE 0 END))::BIGINT AS v FROM range(1, 11) k, range(300) u")(lambda s, d: FS.planted_runs(s))
+
+# ---------------------------------------------------------------- whole procedure with clusters of equal words, exact in both engines
+_WORDS_HIGH = O.supported(O.word_clusters(O.PLANTED), 8)
+_WORDS = f"""WITH h AS MATERIALIZED ({_WORDS_HIGH}), kept AS MATERIALIZED ({O.greedy('SELECT * FROM h')}),
+ g AS MATERIALIZED (SELECT series_id, cluster_id, round(level * 1e9)::BIGINT AS lv FROM h WHERE cluster_id IN (SELECT cluster_id FROM kept)),
+ c AS MATERIALIZED (SELECT *, count(*) OVER (PARTITION BY cluster_id ORDER BY lv RANGE BETWEEN 500000000 PRECEDING AND 500000000 FOLLOWING) >= 2 AS core FROM g),
+ k AS MATERIALIZED (SELECT cluster_id, lv, sum(j) OVER (PARTITION BY cluster_id ORDER BY lv) AS level_id FROM (SELECT *, CASE WHEN lv - lag(lv) OVER (PARTITION BY cluster_id ORDER BY lv) > 500000000 THEN 1 ELSE 0 END AS j FROM (SELECT DISTINCT cluster_id, lv FROM c WHERE core)))
+ SELECT c.cluster_id AS motif_id, k.level_id::BIGINT AS level_id, count(*) AS support, count(DISTINCT series_id) AS runs FROM c, LATERAL (SELECT level_id FROM k WHERE k.cluster_id = c.cluster_id AND abs(k.lv - c.lv) <= 500000000 ORDER BY abs(k.lv - c.lv), k.lv LIMIT 1) k GROUP BY 1, 2 HAVING count(*) > 8"""
+query("motifs_words_pipeline", _WORDS)(lambda s, d: PL.discover(V.planted_view(s, d), W, 8, method="words", skip=("trivial",)).motifs.select("motif_id", "level_id", "support", "runs"))
+
+# ---------------------------------------------------------------- more joins and streams
+query("op_interval_join", "SELECT a.event_id, b.event_id AS other FROM events a JOIN events b ON a.user_id = b.user_id AND b.event_type = 'error' AND a.ts BETWEEN b.ts - INTERVAL 3 HOUR AND b.ts")(lambda s, d: (lambda e: R.interval_join(e.select("user_id", "event_id", "ts"), e.where("event_type = 'error'").select("user_id", F.col("event_id").alias("other"), F.expr("ts - interval 3 hours").alias("lo"), F.col("ts").alias("hi")), "ts", "lo", "hi", ["user_id"], 10_800).select("event_id", "other"))(V.load(s, d, "events")))
+query("stream_session", "SELECT user_id, min(ts) AS start, count(*) AS n FROM (SELECT user_id, ts, sum(j) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS g FROM (SELECT *, CASE WHEN ts > lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) + INTERVAL 6 HOUR THEN 1 ELSE 0 END AS j FROM events)) GROUP BY user_id, g")(ST.sessions)
+query("stream_rules", "SELECT a.event_id, b.event_id AS other FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type <> 'error' AND b.event_type = 'error' AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 2 HOUR")(ST.rules)
+_SHORT = O.words(O.reduced(O.RUN, 20, 4), 4)
+query("stream_match", f"WITH w AS MATERIALIZED ({_SHORT}) SELECT series_id, t, word, support FROM w JOIN (SELECT word, count(*) AS support FROM w GROUP BY 1 HAVING count(*) > 100) USING (word)")(ST.match)
+query("stream_cluster", f"SELECT word, count(*) AS n, sum(t)::BIGINT AS v FROM ({_SHORT}) GROUP BY 1")(ST.centres)
+
+# ---------------------------------------------------------------- experiment workloads on the planted and fleet views
+
+
+def _union(parts: list[DataFrame]) -> DataFrame:
+    return reduce(DataFrame.unionByName, parts)
+
+
+@query("workload_methods")
+def _methods(s: SparkSession, d: str) -> DataFrame:
+    """method, clusters, outliers, misplaced, evals over the same candidates: quality and cost side by side."""
+    cand = C.cut(P.candidates(V.planted_view(s, d), W, D))
+    parts = []
+    for method in ("all", "cftree", "hash", "parallel"):
+        a = C.cut(C.cluster_parallel(cand, 1.0, D) if method == "parallel" else C.cluster(cand, 1.0, method))
+        evals = a.groupBy("sensor").agg(F.max("evals").alias("evals"))
+        parts.append(S.radius_outliers(a, 1.0, D).join(S.misplacement(a, D), "sensor").join(evals, "sensor").withColumn("method", F.lit(method)))
+    return _union(parts).select("method", "sensor", "members", "clusters", "outliers", "below_twice", "misplaced", "evals")
+
+
+@query("workload_widths")
+def _widths(s: SparkSession, d: str) -> DataFrame:
+    """w, motifs, members over window lengths, with the radius of each length."""
+    parts = [_planted(s, d, w).motifs.groupBy("sensor").agg(F.count("*").alias("motifs"), F.sum("support").alias("members")).withColumn("w", F.lit(w)) for w in (10, 14, 20, 40, 80, 200)]
+    return _union(parts).select("w", "sensor", "motifs", "members")
+
+
+@query("workload_orders")
+def _orders(s: SparkSession, d: str) -> DataFrame:
+    """seed, shape and quality over random insertion orders."""
+    return _union([_accuracy(method="cftree", order="random", seed=i)(s, d).withColumn("seed", F.lit(i)) for i in range(1, 6)])
+
+
+@query("workload_ablation")
+def _ablation(s: SparkSession, d: str) -> DataFrame:
+    """left_out, motifs, members: the whole procedure, and without each step."""
+    parts = []
+    for left_out in ("none", "flat", "words", "shifted", "trivial", "levels"):
+        m = _planted(s, d, skip=(left_out,)).motifs
+        parts.append(m.groupBy("sensor").agg(F.count("*").alias("motifs"), F.sum("support").alias("members")).withColumn("left_out", F.lit(left_out)))
+    return _union(parts).select("left_out", "sensor", "motifs", "members")
+
+
+@query("workload_kmeans_spheres")
+def _kmeans_spheres(s: SparkSession, d: str) -> DataFrame:
+    """method, clusters, widest, mean_widest: extent of clusters of high support, k-means with as many centres against spheres."""
+    cand = C.cut(P.candidates(V.planted_view(s, d), W, D))
+    spheres = C.cut(X.high_support(C.cluster(cand, 1.0, "cftree"), _support(s, d)))
+    k = max(2, spheres.select("sensor", "cluster_id").distinct().count())
+    means = C.cut(B.kmeans_ml(cand, k))
+    parts = [S.tightness(a, D).agg(F.lit(name).alias("method"), F.count("*").alias("clusters"), F.round(F.max("max_dist"), 4).alias("widest"), F.round(F.avg("max_dist"), 4).alias("mean_widest"), F.round(F.avg("mean_dist"), 4).alias("mean_dist")) for name, a in (("spheres", spheres), ("kmeans", means))]
+    return _union(parts)
+
+
+@query("workload_missed_instances")
+def _missed(s: SparkSession, d: str) -> DataFrame:
+    """step, shape and quality before and after every window is matched with the motifs found."""
+    r = _planted(s, d)
+    found = r.occurrences
+    keyed = r.motifs.withColumn("motif_id", F.col("motif_id") * 1000 + F.col("level_id"))
+    scanned = M.match(r.stages["windows"], keyed, 1.0, D).select("series_id", "t", F.col("motif_id").alias("cluster_id"), F.lit("quantity").alias("sensor"), F.lit(0).cast("long").alias("level_id"))
+    truth = V.planted_truth(s, d)
+    return _union([S.match_quality(o, truth).withColumn("step", F.lit(name)) for name, o in (("found", found), ("scanned", C.cut(scanned)))])
+
+
+@query("workload_levels")
+def _levels(s: SparkSession, d: str) -> DataFrame:
+    """Motifs by level where odd blocks are raised by a step: equal shapes at two heights are told apart."""
+    m = PL.discover(V.planted_view(s, d, level_step=20), W, _support(s, d) // 2, eps=0.1).motifs
+    return m.groupBy("sensor", "motif_id").agg(F.count("*").alias("levels"), F.sum("support").alias("support"))
+
+
+@query("workload_fleet")
+def _fleet(s: SparkSession, d: str) -> DataFrame:
+    """The funnel of all six fleet sensors."""
+    return PL.discover(V.fleet_view(s, d), W, _support(s, d)).funnel()
+
+
+@query("top_motifs_expanded")
+def _top(s: SparkSession, d: str) -> DataFrame:
+    """Mean original waveform of the five best supported motifs: sensor, motif_id, step, v."""
+    r = _planted(s, d)
+    best = R.top_per_group(r.motifs, ["sensor"], [F.desc("support"), F.col("motif_id"), F.col("level_id")], 5).select("sensor", F.col("motif_id").alias("cluster_id"), "level_id")
+    occ = r.occurrences.join(F.broadcast(best), ["sensor", "cluster_id", "level_id"]).select("sensor", "series_id", "t", F.col("cluster_id").alias("motif_id"))
+    return M.expand(occ, V.planted_view(s, d), W).groupBy("sensor", "motif_id", "step").agg(F.round(F.avg("v"), 2).alias("v"))

@@ -32,6 +32,14 @@ def range_join(points: DataFrame, spans: DataFrame, at: str, lo: str, hi: str, b
     return left.join(right, [*by, "_bin"]).where(F.col(at).between(F.col(lo), F.col(hi))).drop("_bin")
 
 
+def interval_join(events: DataFrame, spans: DataFrame, at: str, lo: str, hi: str, by: list[str], seconds: int) -> DataFrame:
+    """range_join over timestamps, to the microsecond, with bins of the given seconds."""
+    micros = lambda c: F.unix_micros(F.col(c).cast("timestamp"))
+    left = events.withColumn("_at", micros(at))
+    right = spans.withColumn("_lo", micros(lo)).withColumn("_hi", micros(hi))
+    return range_join(left, right, "_at", "_lo", "_hi", by, seconds * 1_000_000).drop("_at", "_lo", "_hi")
+
+
 def islands(df: DataFrame, by: list[str], on: str, max_gap: int) -> DataFrame:
     """df with island: the number, from 0, of the stretch without a gap over max_gap."""
     order = Window.partitionBy(*by).orderBy(on)

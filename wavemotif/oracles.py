@@ -131,3 +131,26 @@ def bucket_rows(series: str, family: str) -> str:
 
 
 RADII = " UNION ALL ".join(f"SELECT {w} AS w, {adjusted_radius(w)!r}::DOUBLE AS r" for w in (10, 20, 40, 80, 200))
+
+
+def drop_trivial(clusters: str, windows: str, delta2: float = 4.0) -> str:
+    """Members kept by the scan in time order, as a recursion over (cluster, run) with the time of the last kept member."""
+    return f"""WITH RECURSIVE h AS MATERIALIZED ({clusters}), w AS MATERIALIZED ({windows}), k AS MATERIALIZED (SELECT cluster_id, [{', '.join(f'avg(x[{i}])' for i in range(1, D + 1))}] AS c FROM h GROUP BY 1),
+ m AS MATERIALIZED (SELECT h.series_id, h.t, h.cluster_id, h.x, k.c, row_number() OVER (PARTITION BY h.cluster_id, h.series_id ORDER BY h.t) AS rn FROM h JOIN k ON k.cluster_id = h.cluster_id),
+ p AS MATERIALIZED (SELECT a.cluster_id, a.series_id, a.t AS t1, b.t AS t2 FROM m a JOIN m b ON a.cluster_id = b.cluster_id AND a.series_id = b.series_id AND a.rn < b.rn JOIN w ON w.series_id = a.series_id AND w.t > a.t AND w.t < b.t
+  GROUP BY 1, 2, 3, 4 HAVING bool_or({sq('w.x', 'a.x')} > {delta2} AND {sq('w.x', 'b.x')} > {delta2}) AND bool_or({sq('w.x', 'a.c')} > {delta2})),
+ g AS (SELECT cluster_id, series_id, rn, t, t AS last, true AS kept FROM m WHERE rn = 1 UNION ALL
+  SELECT m.cluster_id, m.series_id, m.rn, m.t, CASE WHEN p.t1 IS NULL THEN g.last ELSE m.t END, p.t1 IS NOT NULL
+  FROM g JOIN m ON m.cluster_id = g.cluster_id AND m.series_id = g.series_id AND m.rn = g.rn + 1 LEFT JOIN p ON p.cluster_id = m.cluster_id AND p.series_id = m.series_id AND p.t1 = g.last AND p.t2 = m.t)
+ SELECT series_id, t, cluster_id FROM g WHERE kept"""
+
+
+def lloyd(series: str, k: int, rounds: int) -> str:
+    """Rounds of k-means from the first k keys, one pair of common tables a round."""
+    q = [f"q{j}" for j in range(D)]
+    gap = " + ".join(f"(r.{c} - m.{c}) * (r.{c} - m.{c})" for c in q)
+    near = lambda i: f"SELECT r.sensor, r.series_id, r.t, {', '.join(f'any_value(r.{c}) AS {c}' for c in q)}, min({{'d2': {gap}, 'c': m.c}}).c AS cluster_id FROM r, m{i} m GROUP BY 1, 2, 3"
+    steps = [f"r AS MATERIALIZED (SELECT sensor, series_id, t, {', '.join(f'round(p{j} * 1000000)::BIGINT AS q{j}' for j in range(D))} FROM ({candidates(series)}))", f"m0 AS MATERIALIZED (SELECT row_number() OVER (ORDER BY sensor, series_id, t) - 1 AS c, {', '.join(f'{c}::DOUBLE AS {c}' for c in q)} FROM r ORDER BY sensor, series_id, t LIMIT {k})"]
+    for i in range(rounds):
+        steps.append(f"m{i + 1} AS MATERIALIZED (SELECT m.c, {', '.join(f'coalesce(s.{c}, m.{c}) AS {c}' for c in q)} FROM m{i} m LEFT JOIN (SELECT cluster_id, {', '.join(f'sum({c})::DOUBLE / count(*) AS {c}' for c in q)} FROM ({near(i)}) GROUP BY 1) s ON s.cluster_id = m.c)")
+    return f"WITH {', '.join(steps)} SELECT sensor, series_id, t, cluster_id FROM ({near(rounds)})"

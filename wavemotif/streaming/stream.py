@@ -15,12 +15,12 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from wavemotif.functions.vectors import BREAKPOINTS
+from wavemotif.functions.vectors import BREAKPOINTS, sax_word
 from wavemotif.operators import prep as P
 from wavemotif.sources import views as V
 
 
-def _folder(spark: SparkSession) -> str:
+def folder(spark: SparkSession) -> str:
     base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="wavemotif-stream-")
     return f"{base.rstrip('/')}/stream-{uuid.uuid4().hex}"
 
@@ -37,7 +37,7 @@ def source(spark: SparkSession, sf_dir: str, name: str = "events") -> DataFrame:
 
 def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
     """What the stream has written once all that is there has been read."""
-    spark, to = stream.sparkSession, _folder(stream.sparkSession)
+    spark, to = stream.sparkSession, folder(stream.sparkSession)
     if mode == "append":
         stream.writeStream.format("parquet").option("path", f"{to}/out").option("checkpointLocation", f"{to}/state").trigger(availableNow=True).start().awaitTermination()
         return spark.read.schema(stream.schema).parquet(f"{to}/out")
@@ -82,8 +82,50 @@ def stream_windows(series: DataFrame, moments: DataFrame, w: int = 20, d: int =
 
 def windows_equal(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Words of the run view by the stateful stream, from steps that were numbered and written before."""
-    to = _folder(spark)
-    run = V.run_view(spark, sf_dir).select("series_id", "t", "v")
-    run.write.parquet(f"{to}/in")
-    m = P.moments(V.run_view(spark, sf_dir)).withColumn("var", (F.col("n").cast("decimal(38,0)") * F.col("q") - F.col("s").cast("decimal(38,0)") * F.col("s")).cast("double")).where("var > 0")
-    return drain(stream_windows(spark.readStream.schema(run.schema).parquet(f"{to}/in"), m))
+    return drain(stream_windows(*_numbered(spark, sf_dir)))
+
+
+def _numbered(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
+    """The run view as a stream of steps that were numbered and written before, and its frozen moments."""
+    to, run = folder(spark), V.run_view(spark, sf_dir)
+    steps = run.select("series_id", "t", "v")
+    steps.write.parquet(f"{to}/in")
+    m = P.moments(run).withColumn("var", (F.col("n").cast("decimal(38,0)") * F.col("q") - F.col("s").cast("decimal(38,0)") * F.col("s")).cast("double")).where("var > 0")
+    return spark.readStream.schema(steps.schema).parquet(f"{to}/in"), m
+
+
+def match(spark: SparkSession, sf_dir: str, least: int = 100, w: int = 20, d: int = 4) -> DataFrame:
+    """Windows of the stream whose word is one of the batch's frequent words: a stream against a static table of motifs. Words are of
+    d letters, so the table has at most 4**d rows and is broadcast."""
+    windows = P.reduced_windows(P.znormalize(V.run_view(spark, sf_dir)), w, d, None)
+    motifs = windows.groupBy(sax_word(F.col("x"), d).alias("word")).agg(F.count("*").alias("support")).where(F.col("support") > least)
+    stream, m = _numbered(spark, sf_dir)
+    return drain(stream_windows(stream, m, w, d).join(F.broadcast(motifs), "word").select("series_id", "t", "word", "support"))
+
+
+def sessions(spark: SparkSession, sf_dir: str, gap: str = "6 hours") -> DataFrame:
+    """Counts of a user's stretches of events without a gap as long as the given one."""
+    rows = source(spark, sf_dir).groupBy("user_id", F.session_window("ts", gap).alias("w")).agg(F.count("*").alias("n"))
+    return drain(rows.select("user_id", F.col("w.start").alias("start"), "n"), "complete")
+
+
+def rules(spark: SparkSession, sf_dir: str, horizon: str = "2 hours", delay: str = "60 days") -> DataFrame:
+    """(event_id, other): an error after another event of the same user within the horizon; two streams joined between watermarks, so
+    state older than delay and horizon is dropped."""
+    events = source(spark, sf_dir).withColumn("ts", F.col("ts").cast("timestamp"))
+    a = events.where("event_type <> 'error'").select("event_id", F.col("user_id").alias("ua"), F.col("ts").alias("ta")).withWatermark("ta", delay)
+    b = events.where("event_type = 'error'").select(F.col("event_id").alias("other"), F.col("user_id").alias("ub"), F.col("ts").alias("tb")).withWatermark("tb", delay)
+    return drain(a.join(b, F.expr(f"ua = ub and tb > ta and tb <= ta + interval {horizon}")).select("event_id", "other"))
+
+
+def centres(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(word, n, v): running counts and sums by word of the stream, kept per micro-batch: a batch that is repeated after a failure
+    overwrites its own part, and parts add up as clustering features do."""
+    stream, m = _numbered(spark, sf_dir)
+    to = folder(spark)
+
+    def write(batch: DataFrame, number: int) -> None:
+        batch.groupBy("word").agg(F.count("*").alias("n"), F.sum("t").alias("v")).write.mode("overwrite").parquet(f"{to}/out/batch={number}")
+
+    stream_windows(stream, m, 20, 4).writeStream.foreachBatch(write).option("checkpointLocation", f"{to}/state").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.parquet(f"{to}/out").groupBy("word").agg(F.sum("n").alias("n"), F.sum("v").alias("v"))
