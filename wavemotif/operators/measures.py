@@ -9,6 +9,17 @@ from wavemotif.functions.vectors import sq_dist
 from wavemotif.operators.cluster import centers
 
 CLUSTER = ["sensor", "cluster_id"]
+#: Largest number of centres (some 100 bytes each) that is broadcast; beyond it rows and centres meet in salted parts of a sensor.
+BROADCAST_CENTRES = 100_000
+SALTS = 64
+
+
+def beside_centres(rows: DataFrame, centres: DataFrame, how: str = "inner", limit: int = BROADCAST_CENTRES) -> DataFrame:
+    """rows with every centre of their sensor. A sensor may hold most rows, so it is never the only key of a shuffle."""
+    if centres.limit(limit + 1).count() <= limit:
+        return rows.join(F.broadcast(centres), "sensor", how)
+    everywhere = centres.withColumn("_salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    return rows.withColumn("_salt", F.pmod(F.xxhash64("series_id", "t"), F.lit(SALTS)).cast("int")).join(everywhere, ["sensor", "_salt"], how).drop("_salt")
 
 
 def with_centroid(assigned: DataFrame, d: int) -> DataFrame:
@@ -32,7 +43,7 @@ def cluster_diameter(assigned: DataFrame, r: float, d: int) -> DataFrame:
 def misplacement(assigned: DataFrame, d: int) -> DataFrame:
     """sensor, members, misplaced: members whose own centroid is not the nearest one of the sensor."""
     c = centers(assigned, d)
-    near = assigned.select("sensor", "series_id", "t", "x", "cluster_id").join(c.select("sensor", F.col("cluster_id").alias("other"), "centroid"), "sensor")
+    near = beside_centres(assigned.select("sensor", "series_id", "t", "x", "cluster_id"), c.select("sensor", F.col("cluster_id").alias("other"), "centroid"))
     best = near.groupBy("sensor", "series_id", "t", "cluster_id").agg(F.min(F.struct(sq_dist("x", "centroid", d).alias("d2"), "other")).alias("m"))
     return best.groupBy("sensor").agg(F.count("*").alias("members"), F.count_if(F.col("m.other") != F.col("cluster_id")).alias("misplaced"))
 
@@ -55,7 +66,7 @@ def tightness(assigned: DataFrame, d: int) -> DataFrame:
 
 def overlap_share(assigned: DataFrame, r: float, d: int) -> DataFrame:
     """sensor, members, shared: members within r of more than one centroid."""
-    near = assigned.select("sensor", "series_id", "t", "x").join(centers(assigned, d).select("sensor", "centroid"), "sensor")
+    near = beside_centres(assigned.select("sensor", "series_id", "t", "x"), centers(assigned, d).select("sensor", "centroid"))
     per = near.groupBy("sensor", "series_id", "t").agg(F.count_if(sq_dist("x", "centroid", d) < r * r).alias("c"))
     return per.groupBy("sensor").agg(F.count("*").alias("members"), F.count_if(F.col("c") > 1).alias("shared"))
 
