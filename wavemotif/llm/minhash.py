@@ -32,6 +32,9 @@ from wavemotif.llm.common import Workspace, WordHashes, connected_components, do
 #: Members of a bucket that a task compares with as many others.
 BLOCK = 512
 BITMAP = 4096
+#: Columns that tell equal sets, and the number of parts that a group of them is split into.
+SAME = ["hi", "lo", "n_shingles"]
+PARTS = 4096
 SIGNATURE_SCHEMA = "doc_id long, n_shingles long, hi long, lo long, bands array<long>"
 
 
@@ -159,10 +162,12 @@ def near_duplicates(docs: DataFrame, threshold_pct: int = 80, words: int = 5, mi
     docs = documents(docs)
     rows, bands = choose_bands(threshold_pct / 100, miss)
     signed = ws.save(map_batches(docs, _signatures(words, Signer(rows, bands, seed)), SIGNATURE_SCHEMA), "signed")
-    keyed = signed.where("doc_id is not null and n_shingles > 0")
-    reps = keyed.groupBy("hi", "lo", "n_shingles").agg(F.min("doc_id").alias("rep"))
+    keyed = signed.where("doc_id is not null and n_shingles > 0").withColumn("part", F.pmod(F.xxhash64("doc_id"), F.lit(PARTS)))
+    # equal sets are never joined as a whole: a group is split into parts, and only a row a part meets the group's representative
+    parted = keyed.groupBy(*SAME, "part").agg(F.min("doc_id").alias("least"))
+    reps = parted.groupBy(*SAME).agg(F.min("least").alias("rep"))
     # of equal sets one row, the smallest, takes part in the search
-    first = keyed.join(reps, ["hi", "lo", "n_shingles"]).where("doc_id = rep").dropDuplicates(["rep"])
+    first = keyed.join(reps.withColumnRenamed("rep", "doc_id"), [*SAME, "doc_id"], "left_semi").dropDuplicates(["doc_id"])
     spread = first.select(F.col("doc_id").alias("rep"), F.col("n_shingles").alias("n"), F.explode("bands").alias("bucket"))
     shared = spread.groupBy("bucket").agg(F.count("*").alias("c")).where("c > 1")
     members = ws.save(spread.join(shared, "bucket"), "members")
@@ -188,9 +193,10 @@ def near_duplicates(docs: DataFrame, threshold_pct: int = 80, words: int = 5, mi
     parts = ws.save(connected_components(links.unionByName(more), ws), "parts")
     ws.drop(sets, members, ids)
     of_rep = parts.select(F.col("id").alias("rep"), "component")
-    classes = reps.join(of_rep, "rep", "left").select("hi", "lo", "n_shingles", F.coalesce("component", "rep").alias("component_id"))
+    classes = reps.join(of_rep, "rep", "left").select(*SAME, F.coalesce("component", "rep").alias("component_id"))
+    classes = parted.select(*SAME, "part").join(classes, SAME)
     alone = signed.where("doc_id is null or n_shingles = 0").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))
-    out = keyed.join(classes, ["hi", "lo", "n_shingles"]).select("doc_id", "n_shingles", "component_id").unionByName(alone)
+    out = keyed.join(classes, [*SAME, "part"]).select("doc_id", "n_shingles", "component_id").unionByName(alone)
     return out.withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
 
 
