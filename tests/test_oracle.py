@@ -37,9 +37,10 @@ def test_same_rows(spark, con, name):
 
 @pytest.mark.parametrize("method", ["all", "cftree", "hash", "parallel"])
 def test_planted_shapes_are_found(spark, method):
-    """A fixture of 30 runs: both shapes are found; two pulses look like themselves 12 steps on, so only the step is precise."""
+    """A fixture of the runs up to 30: both shapes are found; two pulses look like themselves 12 steps on, so only the step is precise."""
     big = "/root/testdata/sf0.01"
     rows, truth = (v(spark, big).where("series_id <= 30") for v in (V.planted_view, V.planted_truth))
+    runs = rows.select("series_id").distinct().count()
     got = {r["shape"]: r for r in catalog.planted_quality(rows, truth, 25, method=method).collect()}
     assert set(got) == {"held_step", "two_pulses"}
-    assert all(r.instances == 150 and r.recall >= 0.8 for r in got.values()) and got["held_step"].precision >= 0.8
+    assert all(r.instances == 5 * runs and r.recall >= 0.8 for r in got.values()) and got["held_step"].precision >= 0.8
