@@ -8,7 +8,7 @@ the Hamming distance decides. Each hit places an item in a text; there the weigh
 shingles of the item and of the item-sized window, tried at the place and a few words to both sides, decides. A shingle weighs
 more the fewer items it occurs in.
 
-The benchmark is read in blocks of BLOCK_ITEMS items, each block a bounded table sent to the executors and run against all
+The benchmark is read in blocks of BLOCK_ITEMS items and BLOCK_BYTES of text at most, each block a bounded table sent to the executors and run against all
 documents; documents are never shuffled. Words: A-Z lower-cased, cut at ASCII white space, outer punctuation removed.
 
 Defined cases: null or empty texts match nothing, nor do items without words; items of fewer words than a shingle are matched
@@ -32,6 +32,7 @@ STEP = 2
 RATIO = 1.25
 SHINGLE = 5
 BLOCK_ITEMS = 20_000
+BLOCK_BYTES = 32 << 20
 BATCH_WORDS = 16_384
 TRIM = b"".join(bytes([c]) for c in range(33, 127) if not chr(c).isalnum())
 SLIDE = (0, -1, 1, -2, 2, -3, 3)
@@ -184,15 +185,18 @@ def batches_of(texts: list[np.ndarray], words: int = BATCH_WORDS) -> Iterator[li
     yield part
 
 
-def item_blocks(benchmark: DataFrame, size: int = BLOCK_ITEMS) -> Iterator[list[tuple[int, bytes]]]:
-    """Items in blocks of a bounded number; only one block is on the driver at a time."""
+def item_blocks(benchmark: DataFrame, size: int = BLOCK_ITEMS, limit: int = BLOCK_BYTES) -> Iterator[list[tuple[int, bytes]]]:
+    """Items in blocks of a bounded number and bounded bytes (a longer item is alone); only one block is on the driver at a time."""
     rows = benchmark.select(F.col("item_id").cast("long"), F.col("text").cast("string")).where("item_id is not null and text is not null")
     block: list[tuple[int, bytes]] = []
+    held = 0
     for item, text in rows.toLocalIterator():
-        block.append((item, text.encode()))
-        if len(block) == size:
+        raw = text.encode()
+        if block and (len(block) == size or held + len(raw) > limit):
             yield block
-            block = []
+            block, held = [], 0
+        block.append((item, raw))
+        held += len(raw)
     yield block
 
 
