@@ -132,3 +132,43 @@ def test_asof_ties_and_tolerance(spark):
     got = lambda **o: [r.name for r in R.asof_join(left, right, "t", ["k"], ["name"], **o).orderBy("t").collect()]
     assert got() == ["a", "b"] and got(direction="forward") == ["b", None]
     assert got(direction="nearest") == ["a", "b"] and got(tolerance=5) == ["a", None]
+
+
+def test_shards_of_cf_trees(spark):
+    """One shard is the plain tree after its features met again; several keep every window once, near its centre."""
+    cand = P.candidates(V.planted_view(spark, SF), 20, 10)
+    assert C.cluster_cf_shards(cand.where("false"), 1.0, 10).isEmpty()
+    rows = C.cluster_cf_shards(cand, 1.0, 10, shards=8)
+    assert rows.select("sensor", "series_id", "t").exceptAll(cand.select("sensor", "series_id", "t")).isEmpty() and rows.count() == cand.count()
+    k = rows.select("cluster_id").distinct().count()
+    plain = C.cluster(cand, 1.0, "cftree").select("cluster_id").distinct().count()
+    assert 0.5 * plain < k < 2 * plain
+    assert rows.where("dist >= 1").count() < 2 * k
+
+
+def test_features_inserted_whole_add_up():
+    rng = np.random.default_rng(3)
+    x = rng.normal(0, 1, (300, 4))
+    cf = np.column_stack([np.ones(300), x, (x * x).sum(axis=1)])
+    assert (C.insert_cftree(x, 0.8)[0] == C.insert_cftree(x, 0.8, features=cf)[0]).all()
+
+
+def test_reclustering_leaves_fewer_outliers(spark):
+    cand = P.candidates(V.planted_view(spark, SF), 20, 10)
+    before, after = (C.cluster(cand, 1.0, "cftree", recluster=n).where("dist >= 1").count() for n in (0, 3))
+    assert after <= before and C.cluster(cand, 1.0, "cftree", recluster=3).count() == cand.count()
+
+
+def test_raw_radius_gives_the_clusters_of_z_scores(spark):
+    from wavemotif import catalog
+
+    rows = catalog.queries()["cluster_raw_radius"](spark, SF).collect()
+    assert rows and all(r.windows == r.same for r in rows)
+
+
+def test_measures_of_distance(spark):
+    rows = spark.createDataFrame([([1.0, -1.0], 5.0), ([0.0, 0.0], 2.0)], "x array<double>, level double")
+    got = {m: [r.x for r in P.for_measure(rows, 2, m).collect()] for m in ("euclidean_centred", "euclidean", "euclidean_znorm")}
+    assert got == {"euclidean_centred": [[1, -1], [0, 0]], "euclidean": [[6, 4], [2, 2]], "euclidean_znorm": [[1, -1], [0, 0]]}
+    with pytest.raises(ValueError):
+        P.for_measure(rows, 2, "other")

@@ -120,6 +120,29 @@ for _m in ("cftree", "hash"):
 query("cluster_parallel_dominating", _ONE_EACH)(lambda s, d: _one_each(_cand(s, d), C.cluster_parallel(_cand(s, d), 1.0, D, sets=5, per_set=6)))
 query("cluster_parallel_components", _ONE_EACH)(lambda s, d: _one_each(_cand(s, d), C.cluster_parallel(_cand(s, d), 1.0, D, sets=5, per_set=6, merge="components")))
 
+query("cluster_cf_shards", _ONE_EACH)(lambda s, d: _one_each(_cand(s, d), C.cluster_cf_shards(_cand(s, d), 1.0, D, shards=8)))
+query("cluster_recluster_outliers", _ONE_EACH)(lambda s, d: _one_each(_cand(s, d), C.cluster(_cand(s, d), 1.0, "cftree", recluster=3)))
+
+
+@query("cluster_raw_radius")
+def _raw_radius(s: SparkSession, d: str) -> DataFrame:
+    """Clusters of raw windows with the radius of the sensor's deviation beside those of z-scores with radius 2: the same ones."""
+    raw = C.cluster(P.reduced_windows(P.raw_values(_run(s, d)), W, D, None), P.sensor_radius(_run(s, d), 2.0), **_per_run).select(*_ids)
+    z = C.cluster(P.reduced_windows(P.znormalize(_run(s, d), "sensor"), W, D, None), 2.0, **_per_run).select("series_id", "t", F.col("cluster_id").alias("z_id"))
+    return raw.join(z, ["series_id", "t"]).groupBy("series_id").agg(F.count("*").alias("windows"), F.count_if(F.col("cluster_id") == F.col("z_id")).alias("same"))
+
+
+_MEASURED = {"euclidean_centred": "p{j}", "euclidean": "p{j} + level", "euclidean_znorm": "p{j} / nullif(sqrt((" + " + ".join(f"p{j} * p{j}" for j in range(D)) + f") / {float(D)}::DOUBLE), 0)"}
+for _m, _e in _MEASURED.items():
+    _xs = ", ".join(_e.format(j=j) for j in range(D))
+    query(f"distance_{_m}", f"SELECT series_id, count(*) FILTER ({O.sq('x', 'y')} < 4)::BIGINT AS near, count(*) AS pairs FROM (SELECT series_id, x, lead(x) OVER (PARTITION BY series_id ORDER BY t) AS y FROM (SELECT series_id, t, [{_xs}] AS x FROM ({O.reduced(O.RUN)}))) WHERE y IS NOT NULL GROUP BY 1")(lambda s, d, m=_m: neighbours_near(P.for_measure(_reduced(s, d), D, m), 2.0, D))
+
+
+def neighbours_near(win: DataFrame, r: float, d: int) -> DataFrame:
+    """How many windows of a run lie within r of the next one."""
+    rows = win.select("series_id", "x", F.lead("x").over(Window.partitionBy("sensor", "series_id").orderBy("t")).alias("y")).where("y is not null")
+    return rows.groupBy("series_id").agg(F.count_if(VEC.sq_dist("x", "y", d) < r * r).alias("near"), F.count("*").alias("pairs"))
+
 
 def _bucket_rows(s: SparkSession, d: str, family: str) -> DataFrame:
     planes = VEC.fixed_planes(5, 3, D)
@@ -198,6 +221,9 @@ _LEVELS = f"""WITH g AS (SELECT series_id, t, cluster_id, round(level * 1e9)::BI
  c AS (SELECT *, count(*) OVER (PARTITION BY cluster_id ORDER BY lv RANGE BETWEEN 20000000 PRECEDING AND 20000000 FOLLOWING) >= 3 AS core FROM g),
  k AS (SELECT cluster_id, lv, sum(j) OVER (PARTITION BY cluster_id ORDER BY lv) AS level_id FROM (SELECT *, CASE WHEN lv - lag(lv) OVER (PARTITION BY cluster_id ORDER BY lv) > 20000000 THEN 1 ELSE 0 END AS j FROM (SELECT DISTINCT cluster_id, lv FROM c WHERE core)))
  SELECT c.cluster_id, k.level_id::BIGINT AS level_id, count(*) AS n FROM c, LATERAL (SELECT level_id FROM k WHERE k.cluster_id = c.cluster_id AND abs(k.lv - c.lv) <= 20000000 ORDER BY abs(k.lv - c.lv), k.lv LIMIT 1) k GROUP BY 1, 2 HAVING count(*) > 5"""
+_M = f"SELECT series_id AS sid, count(*)::DOUBLE AS n, sum(v)::BIGINT AS s, sqrt((count(*)::DECIMAL(38,0) * sum(v::DECIMAL(18,0) * v::DECIMAL(18,0))::DECIMAL(38,0) - sum(v)::DECIMAL(38,0) * sum(v))::DOUBLE) AS dev FROM ({O.PLANTED}) GROUP BY 1"
+_RAW_HIGH = f"(SELECT h.* REPLACE ((level * dev + s::DOUBLE) / n AS level) FROM ({_HIGH}) h JOIN ({_M}) m ON h.series_id = m.sid)"
+query("level_dbscan_raw", _LEVELS.replace(f"({_HIGH})", _RAW_HIGH).replace("20000000", "5000000000"))(lambda s, d: X.split_levels(X.raw_levels(_high(s, d), P.moments(V.planted_view(s, d))), 5.0, 3, 5).groupBy("cluster_id", "level_id").agg(F.count("*").alias("n")))
 query("level_dbscan", _LEVELS)(lambda s, d: X.split_levels(_high(s, d), 0.02, 3, 5).groupBy("cluster_id", "level_id").agg(F.count("*").alias("n")))
 
 
@@ -390,6 +416,7 @@ query("stream_windows_batch_equal", f"SELECT series_id, t, word FROM ({O.words(O
 
 # ---------------------------------------------------------------- later steps and robustness, without a DuckDB form
 query("drop_trivial", O.drop_trivial(_HIGH, _ALL_P))(lambda s, d: X.drop_trivial(_high(s, d), _planted_windows(s, d), 1.0).select(*_ids))
+query("frequent_motif_test", f"SELECT sensor, cluster_id, count(*) AS support, count(*) > 150 AS frequent FROM ({O.drop_trivial(_HIGH, _ALL_P)}) JOIN (SELECT DISTINCT sensor FROM ({O.PLANTED})) ON true GROUP BY 1, 2")(lambda s, d: X.is_frequent(X.drop_trivial(_high(s, d), _planted_windows(s, d), 1.0), 150))
 query("drop_trivial_closest")(lambda s, d: X.drop_trivial_closest(_high(s, d), W).select(*_ids))
 query("group_motifs")(lambda s, d: _planted(s, d).stages["groups"].groupBy("sensor", "cluster_id").agg(F.count("*").alias("n")))
 query("final_motifs")(lambda s, d: _planted(s, d).motifs.select("sensor", "motif_id", "level_id", "support", "runs"))

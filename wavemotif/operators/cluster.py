@@ -106,8 +106,9 @@ class Node:
         self.leaf, self.children, self.cf = leaf, [], np.zeros(d + 2)  # n, vector sum, squared sum
 
 
-def insert_cftree(x: np.ndarray, r: float, branching: int = 50, absorb: str = "centroid", **_) -> tuple[np.ndarray, int]:
-    """Descends by the nearest child centroid to one leaf entry; absorbs there, or opens an entry and splits full nodes."""
+def insert_cftree(x: np.ndarray, r: float, branching: int = 50, absorb: str = "centroid", features: np.ndarray | None = None, **_) -> tuple[np.ndarray, int]:
+    """Descends by the nearest child centroid to one leaf entry; absorbs there, or opens an entry and splits full nodes.
+    features: rows (n, vector sum, squared sum) to insert whole, with x their centroids; else each vector counts once."""
     d = x.shape[1]
     root, evals, opened = Node(d, True), 0, 0
     ids = np.zeros(len(x), np.int64)
@@ -128,7 +129,7 @@ def insert_cftree(x: np.ndarray, r: float, branching: int = 50, absorb: str = "c
         return left, right
 
     for i, v in enumerate(x):
-        one = np.concatenate([[1.0], v, [float(v @ v)]])
+        one = np.concatenate([[1.0], v, [float(v @ v)]]) if features is None else features[i]
         path, node = [], root
         while not node.leaf:
             c = centroids(node)
@@ -169,9 +170,23 @@ def insert_cftree(x: np.ndarray, r: float, branching: int = 50, absorb: str = "c
 METHODS: dict[str, Callable[..., tuple[np.ndarray, int]]] = {"all": insert_all, "point": insert_point_link, "hash": insert_hashed, "cftree": insert_cftree}
 
 
-def cluster(cand: DataFrame, r: float = 1.0, method: str = "all", group: tuple[str, ...] = ("sensor",), order: str = "time", seed: int = 0, refine: bool = False, **options) -> DataFrame:
-    """ASSIGNED: cluster_id and distance to the final centroid of every candidate; evals is the group's number of distances."""
+def means_of(x: np.ndarray, ids: np.ndarray) -> np.ndarray:
+    """The mean of each cluster 0, 1, ..."""
+    k = int(ids.max()) + 1
+    c = np.zeros((k, x.shape[1]))
+    np.add.at(c, ids, x)
+    return c / np.bincount(ids, minlength=k)[:, None]
+
+
+def cluster(cand: DataFrame, r: float | DataFrame = 1.0, method: str = "all", group: tuple[str, ...] = ("sensor",), order: str = "time", seed: int = 0, refine: bool = False, recluster: int = 0, **options) -> DataFrame:
+    """ASSIGNED: cluster_id and distance to the final centroid of every candidate; evals is the group's number of distances.
+
+    r: one radius, or a table (sensor, r); sensors without a row are left out. recluster: passes in which members r or farther from
+    the final centroid leave their cluster and are clustered among themselves. refine: each vector ends at the nearest centroid.
+    """
     insert = METHODS[method]
+    rows = cand.select("sensor", "series_id", "t", "x", "level")
+    rows = rows.join(r.select("sensor", "r"), "sensor") if isinstance(r, DataFrame) else rows.withColumn("r", F.lit(float(r)))
 
     def fn(rows: pd.DataFrame) -> pd.DataFrame:
         rows = rows.sort_values(["series_id", "t"], ignore_index=True)
@@ -179,19 +194,23 @@ def cluster(cand: DataFrame, r: float = 1.0, method: str = "all", group: tuple[s
             rows = rows.iloc[np.random.default_rng(seed).permutation(len(rows))].reset_index(drop=True)
         elif order == "hash":
             rows = rows.iloc[np.lexsort((rows.t, (rows.t * 7919 + 13) % 104_729))].reset_index(drop=True)
-        x = np.array(rows.x.tolist(), float)
-        ids, evals = insert(x, r, **options)
-        k = int(ids.max()) + 1
-        n = np.bincount(ids, minlength=k)[:, None]
-        c = np.zeros((k, x.shape[1]))
-        np.add.at(c, ids, x)
-        c /= n
+        x, radius = np.array(rows.x.tolist(), float), float(rows.r.iloc[0])
+        ids, evals = insert(x, radius, **options)
+        c = means_of(x, ids)
+        for _ in range(recluster):
+            out = ((x - c[ids]) ** 2).sum(axis=1) >= radius * radius
+            if not out.any():
+                break
+            again, more = insert(x[out], radius, **options)
+            ids[out] = again + len(c)
+            ids, evals = np.unique(ids, return_inverse=True)[1], evals + more  # a cluster may have lost all members
+            c = means_of(x, ids)
         if refine:
             ids = np.concatenate([((x[a : a + 256, None] - c[None]) ** 2).sum(axis=2).argmin(axis=1) for a in range(0, len(x), 256)])
         rows["cluster_id"], rows["dist"], rows["evals"] = ids, np.sqrt(((x - c[ids]) ** 2).sum(axis=1)), evals
         return rows[["sensor", "series_id", "t", "x", "level", "cluster_id", "dist", "evals"]]
 
-    return cand.select("sensor", "series_id", "t", "x", "level").groupBy(*group).applyInPandas(fn, ASSIGNED)
+    return rows.groupBy(*group).applyInPandas(fn, ASSIGNED)
 
 
 def word_clusters(cand: DataFrame, d: int) -> DataFrame:
@@ -291,6 +310,34 @@ def cluster_parallel(cand: DataFrame, r: float = 1.0, d: int = 10, sets: int = 1
     return out.select("sensor", "series_id", "t", "x", "level", F.coalesce("cluster_id", F.lit(-1) - F.col("series_id") * 1_000_000 - F.col("t")).alias("cluster_id"), F.sqrt(F.coalesce("d2", F.lit(0.0))).alias("dist"), F.lit(0).cast("long").alias("evals"))
 
 
+def cluster_cf_shards(cand: DataFrame, r: float = 1.0, d: int = 10, shards: int = 64, branching: int = 50, absorb: str = "centroid") -> DataFrame:
+    """ASSIGNED by CF-trees of shards and one tree over their clustering features.
+
+    A shard of a sensor holds windows picked by a hash of their place and builds a tree of its own. Clustering features add up,
+    so those of all shards are inserted whole in one tree a sensor, which sees a row a shard cluster and no window. A window
+    follows its shard cluster; no distance is computed twice. As elsewhere, members may end farther than r from the centroid.
+    """
+    rows = cand.select("sensor", "series_id", "t", "x", "level").withColumn("shard", F.pmod(F.xxhash64("series_id", "t"), F.lit(shards)))
+
+    def local(group: pd.DataFrame) -> pd.DataFrame:
+        group = group.sort_values(["series_id", "t"], ignore_index=True)
+        group["part"], group["evals"] = insert_cftree(np.array(group.x.tolist(), float), r, branching, absorb)
+        return group
+
+    def whole(group: pd.DataFrame) -> pd.DataFrame:
+        group = group.sort_values(["shard", "part"], ignore_index=True)
+        cf = np.column_stack([group.n, np.array(group.ls.tolist(), float), group.ss]).astype(float)
+        group["cluster_id"], group["more"] = insert_cftree(cf[:, 1:-1] / cf[:, :1], r, branching, absorb, cf)
+        return group[["sensor", "shard", "part", "cluster_id", "more"]]
+
+    placed = rows.groupBy("sensor", "shard").applyInPandas(local, "sensor string, series_id long, t long, x array<double>, level double, shard long, part long, evals long").transform(cut)
+    cfs = placed.groupBy("sensor", "shard", "part").agg(cf_sum(F.col("x"), d).alias("cf")).select("sensor", "shard", "part", "cf.n", "cf.ls", "cf.ss")
+    ids = cfs.groupBy("sensor").applyInPandas(whole, "sensor string, shard long, part long, cluster_id long, more long")
+    joined = placed.join(ids, ["sensor", "shard", "part"]).transform(cut)
+    means = centers(joined, d).select("sensor", "cluster_id", "centroid")
+    return joined.join(means, ["sensor", "cluster_id"]).select("sensor", "series_id", "t", "x", "level", "cluster_id", F.sqrt(sq_dist("x", "centroid", d)).alias("dist"), (F.col("evals") + F.col("more")).alias("evals"))
+
+
 def eps_join(a: DataFrame, eps: float, d: int, method: str = "grid", q: int = 2) -> DataFrame:
     """(sensor, aid, bid) for pairs aid < bid of one sensor at distance <= eps. grid loses none: cells of side eps over the first
     q differences of orthonormal Haar type, each vector against 3**q neighbouring cells."""

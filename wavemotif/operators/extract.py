@@ -134,6 +134,18 @@ def split_levels(group: DataFrame, eps: float = 0.5, min_pts: int = 2, s: int =
     return out.join(big, [*CLUSTER, "level_id"], "left_semi")
 
 
+def is_frequent(members: DataFrame, s: int) -> DataFrame:
+    """(sensor, cluster_id, support, frequent) of clusters without trivial members: more than s are left."""
+    return members.groupBy(*CLUSTER).agg(F.count("*").alias("support")).withColumn("frequent", F.col("support") > s)
+
+
+def raw_levels(group: DataFrame, moments: DataFrame) -> DataFrame:
+    """Members with the level in the units of the series, from the moments (n, s, q) of the runs; runs without a row are left out."""
+    square = F.col("n").cast("decimal(38,0)") * F.col("q") - F.col("s").cast("decimal(38,0)") * F.col("s")
+    m = moments.select("sensor", "series_id", F.sqrt(square.cast("double")).alias("_dev"), F.col("s").cast("double").alias("_sum"), F.col("n").cast("double").alias("_n"))
+    return group.join(m, ["sensor", "series_id"]).withColumn("level", (F.col("level") * F.col("_dev") + F.col("_sum")) / F.col("_n")).select(*group.columns)
+
+
 def motifs(occurrences: DataFrame, d: int) -> DataFrame:
     """MOTIFS from the members of final motifs."""
     return occurrences.groupBy("sensor", F.col("cluster_id").alias("motif_id"), "level_id").agg(F.count("*").alias("support"), F.count_distinct("series_id").alias("runs"), F.array(*[F.avg(F.col("x")[i]) for i in range(d)]).alias("centroid"), F.min("level").alias("level_lo"), F.max("level").alias("level_hi"), F.avg("dist").alias("mean_dist"))

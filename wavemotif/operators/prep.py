@@ -30,6 +30,31 @@ def znormalize(series: DataFrame, scope: str = "run", frozen: DataFrame | None =
     return series.join(m, keys).select("sensor", "series_id", "t", "v", z.alias("z"))
 
 
+def raw_values(series: DataFrame) -> DataFrame:
+    """SERIES with z the value itself, for clustering without normalisation."""
+    return series.select("sensor", "series_id", "t", "v", F.col("v").cast("double").alias("z"))
+
+
+def sensor_radius(series: DataFrame, r: float = 1.0) -> DataFrame:
+    """(sensor, r): the radius for raw values, r times the deviation of the sensor over all its runs."""
+    square = F.col("n").cast("decimal(38,0)") * F.col("q") - F.col("s").cast("decimal(38,0)") * F.col("s")
+    return moments(series, "sensor").select("sensor", (F.lit(r) * F.sqrt(square.cast("double")) / F.col("n")).alias("r"))
+
+
+def for_measure(reduced: DataFrame, d: int, measure: str = "euclidean_centred") -> DataFrame:
+    """REDUCED with vectors whose Euclidean distance is the measure: euclidean_centred as they are, euclidean with their level,
+    euclidean_znorm with unit deviation (vectors without deviation stay at zero)."""
+    x = F.col("x")
+    if measure == "euclidean":
+        return reduced.withColumn("x", F.array(*[x[j] + F.col("level") for j in range(d)]))
+    if measure == "euclidean_znorm":
+        spread = F.sqrt(sum((x[j] * x[j] for j in range(1, d)), x[0] * x[0]) / float(d))
+        return reduced.withColumn("_spread", spread).withColumn("x", F.array(*[F.when(F.col("_spread") > 0, x[j] / F.col("_spread")).otherwise(0.0) for j in range(d)])).drop("_spread")
+    if measure != "euclidean_centred":
+        raise ValueError(f"unknown measure {measure}")
+    return reduced
+
+
 def expected_windows(series: DataFrame, w: int) -> DataFrame:
     per = series.groupBy(*KEY).agg(F.count("*").alias("n"))
     return per.groupBy("sensor").agg(F.sum(F.greatest(F.col("n") - w + 1, F.lit(0))).cast("long").alias("windows"))

@@ -29,14 +29,17 @@ class MotifResult:
         return reduce(DataFrame.unionByName, parts)
 
 
-def discover(series: DataFrame, w: int = 20, s: int = 8, r: float | None = None, f: float = 1.0, method: str = "cftree", d: int | None = None, p: int = 50, sigma_t: int = 2, eps: float = 0.5, min_pts: int = 2, cascade: str = "greedy", skip: tuple[str, ...] = (), group: tuple[str, ...] = ("sensor",), **options) -> MotifResult:
-    """Motifs of every sensor. Only w and s need be given. skip: flat, words, shifted, trivial, levels."""
+def discover(series: DataFrame, w: int = 20, s: int = 8, r: float | None = None, f: float = 1.0, method: str = "cftree", d: int | None = None, p: int = 50, sigma_t: int = 2, eps: float = 0.5, min_pts: int = 2, cascade: str = "greedy", skip: tuple[str, ...] = (), group: tuple[str, ...] = ("sensor",), space: str = "z", **options) -> MotifResult:
+    """Motifs of every sensor. Only w and s need be given. skip: flat, words, shifted, trivial, levels. space: units of levels and
+    eps, z-scores or raw."""
     d, r = d or max(1, w // 2), adjusted_radius(w) if r is None else r
     every = C.cut(P.reduced_windows(P.znormalize(series), w, d, None))  # read twice: for candidates, and by the trivial test
     unflat = every if "flat" in skip else every.where(F.col("dev") >= f)
     cand = unflat.withColumn("word", F.lit("")) if "words" in skip else P.drop_repeated_words(unflat, d)
     if method == "parallel":
         assigned = C.cluster_parallel(cand, r, d, **options)
+    elif method == "cf_shards":
+        assigned = C.cluster_cf_shards(cand, r, d, **options)
     elif method == "words":
         assigned = C.word_clusters(cand, d)
     else:
@@ -46,6 +49,8 @@ def discover(series: DataFrame, w: int = 20, s: int = 8, r: float | None = None,
     shifted = high if "shifted" in skip else C.cut(X.drop_shifted(high, d, p, sigma_t, cascade=cascade))
     members = shifted if "trivial" in skip else C.cut(X.drop_trivial(shifted, every, r))
     groups = members if "shifted" in skip or "trivial" in skip else C.cut(X.drop_shifted(members, d, p, sigma_t, cascade=cascade))
+    if space == "raw":
+        groups = X.raw_levels(groups, P.moments(series))
     final = groups.withColumn("level_id", F.lit(0).cast("long")) if "levels" in skip else X.split_levels(groups, eps, min_pts, s)
     final = C.cut(final)
     stages = {"windows": every, "not_flat": unflat, "candidates": cand, "clusters": assigned, "high_support": high, "not_shifted": shifted, "not_trivial": members, "groups": groups, "motifs": final}
