@@ -35,7 +35,7 @@ def test_same_rows(spark, con, name):
     assert got == want
 
 
-@pytest.mark.parametrize("method", ["all", "cftree", "hash", "parallel"])
+@pytest.mark.parametrize("method", ["all", "cftree", "hash", "parallel", "cf_shards"])
 def test_planted_shapes_are_found(spark, method):
     """A fixture of the runs up to 30: both shapes are found; two pulses look like themselves 12 steps on, so only the step is precise."""
     big = "/root/testdata/sf0.01"

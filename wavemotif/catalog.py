@@ -249,6 +249,7 @@ def _accuracy(w: int = W, **options) -> Query:
 
 for _m in ("all", "cftree", "hash", "parallel"):
     query(f"motifs_pipeline_{_m}")(_accuracy(method=_m))
+query("motifs_pipeline_cf_shards")(_accuracy(method="cf_shards", shards=8))
 query("motifs_multi_width")(lambda s, d: PL.discover_many(V.planted_view(s, d), (14, 20, 40), _support(s, d)).select("w", "sensor", "motif_id", "level_id", "support", "runs"))
 query("funnel")(lambda s, d: _planted(s, d).funnel())
 query("ablation_no_shift_no_trivial")(lambda s, d: _planted(s, d, skip=("flat", "words", "shifted", "trivial")).funnel())
@@ -416,7 +417,7 @@ query("stream_windows_batch_equal", f"SELECT series_id, t, word FROM ({O.words(O
 
 # ---------------------------------------------------------------- later steps and robustness, without a DuckDB form
 query("drop_trivial", O.drop_trivial(_HIGH, _ALL_P))(lambda s, d: X.drop_trivial(_high(s, d), _planted_windows(s, d), 1.0).select(*_ids))
-query("frequent_motif_test", f"SELECT sensor, cluster_id, count(*) AS support, count(*) > 150 AS frequent FROM ({O.drop_trivial(_HIGH, _ALL_P)}) JOIN (SELECT DISTINCT sensor FROM ({O.PLANTED})) ON true GROUP BY 1, 2")(lambda s, d: X.is_frequent(X.drop_trivial(_high(s, d), _planted_windows(s, d), 1.0), 150))
+query("frequent_motif_test", f"SELECT sensor, cluster_id, count(*) AS support, count(*) > 90 AS frequent FROM ({O.drop_trivial(_HIGH, _ALL_P)}) JOIN (SELECT DISTINCT sensor FROM ({O.PLANTED})) ON true GROUP BY 1, 2")(lambda s, d: X.is_frequent(X.drop_trivial(_high(s, d), _planted_windows(s, d), 1.0), 90))
 query("drop_trivial_closest")(lambda s, d: X.drop_trivial_closest(_high(s, d), W).select(*_ids))
 query("group_motifs")(lambda s, d: _planted(s, d).stages["groups"].groupBy("sensor", "cluster_id").agg(F.count("*").alias("n")))
 query("final_motifs")(lambda s, d: _planted(s, d).motifs.select("sensor", "motif_id", "level_id", "support", "runs"))
