@@ -264,6 +264,52 @@ def test_licenses(spark, docs):
     assert len(licenses.rules()) > 300
 
 
+def spelled(pattern):
+    """Texts of a rule's pattern: every alternative, options with and without, repeats at their least and most."""
+    def seq(items):
+        out = [""]
+        for op, arg in items:
+            name = str(op)
+            if name == "LITERAL":
+                some = [chr(arg)]
+            elif name == "IN":
+                some = [chr(a if str(o) == "LITERAL" else a[0]) for o, a in arg]
+            elif name == "BRANCH":
+                some = [t for branch in arg[1] for t in seq(branch)]
+            elif name == "SUBPATTERN":
+                some = seq(arg[3])
+            else:
+                lo, hi, inner = arg
+                assert name == "MAX_REPEAT"
+                some = [t for n in {lo, hi} for t in ([""] if not n else [seq(inner)[0] * n] if n > 1 else seq(inner))]
+            out = [a + b for a in out for b in some]
+        return out
+
+    return seq(re._parser.parse(pattern))
+
+
+def test_every_license_rule_is_tried(spark):
+    rules, rows = licenses.rules(), []
+    for label, word, pattern, _, _ in rules:
+        every = spelled(pattern)
+        assert all(word in f" {t} " and re.fullmatch(pattern, t) for t in every), (label, word)
+        rows += [every[0], every[-1]]
+    rows += ["Distributed under Apache 2.0", "BSD 3-Clause", "CC0 1.0 Universal", "CeCILL 2.1", "Proprietary and confidential", "Creative Commons Zero", "http://creativecommons.org/licenses/by-sa/", "Unauthorized copying of this file is prohibited", "may not be used to endorse or promote products derived from this software", "nothing here"]
+    rows = sorted(set(rows))
+
+    def brute(text):
+        t = " " + " ".join(re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", text.lower())) + " "
+        found = [(p, m.start(), m.end(), label, c) for label, _, x, p, c in rules for m in re.finditer(f"(?<= ){x}(?= )", t)]
+        less = lambda a, b: b[1] <= a[1] and b[2] >= a[2] and (b[0], b[2] - b[1]) >= (a[0], a[2] - a[1]) and ((b[0], b[2] - b[1]) > (a[0], a[2] - a[1]) or b[3] < a[3])
+        stand = [a for a in found if not any(less(a, b) for b in found)]
+        base = {label for phrase, label in licenses.PHRASES if f" {phrase} " in t}
+        return ",".join(sorted({a[3] for a in stand} | base)), max([a[4] for a in stand] + [0.9 * bool(base)])
+
+    df = spark.createDataFrame(list(enumerate(rows)), "doc_id long, text string")
+    assert {r.doc_id: (r.labels, r.score) for r in licenses.licenses(df).collect()} == {i: brute(t) for i, t in enumerate(rows)}
+    assert brute("CC0 1.0 Universal") == ("cc0", 0.9) and brute("nothing here") == ("", 0.0)
+
+
 def base_pii(t):
     out = [("email", m.start(), m.end()) for m in re.finditer(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", t)]
     out += [("ip", m.start(), m.end()) for m in re.finditer(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", t) if all(int(x) <= 255 for x in m[0].split("."))]

@@ -1,13 +1,13 @@
 """License scans by ordered signature rules.
 
 Texts become words (A-Z lower-cased; a word is a run of letters, digits and non-ASCII characters) joined by single spaces.
-Rules are regular expressions over that form, each with a keyword that must occur before the expression is tried, a
-priority, a confidence and a label; most are made from templates over a table of licenses and versions. All occurrences
+Rules are regular expressions over that form, each with a keyword, a literal that every match of it contains (so that the
+expression is tried only where the keyword occurs), a priority, a confidence and a label; most are made from templates over a table of licenses and versions. All occurrences
 of all rules are intervals; one that lies inside an interval of a rule with a higher priority (of the same priority: a longer
 one, or the same one of a smaller label) is suppressed, so "gnu lesser general public license version 3" is one detection and not
 three. Base phrases are counted by position and their labels always stay.
 
-DataFrame functions only; texts without any gate word never reach the rules. Defined cases: null text is empty and has no
+DataFrame functions only; each keyword is looked for once, and texts without any keyword of the rules never reach them. Defined cases: null text is empty and has no
 words, labels "" and score 0; repeated rows give repeated rows; whole texts are scanned.
 """
 
@@ -21,7 +21,6 @@ from wavemotif.llm.common import documents
 # fixed values: base phrases and labels
 PHRASES = (("cc by", "cc-by"), ("general public license", "gpl"), ("all rights reserved", "reserved"))
 NOT_WORD = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
-GATES = ("licen", "copyright", "spdx", "reserved", "public domain", " cc ", "creative commons", "redistribut", "warrant", "gpl", "permission", "unlicense", "wtfpl")
 
 #: Label, keyword, name as a pattern, versions.
 NAMED = (
@@ -32,31 +31,31 @@ NAMED = (
     ("lgpl", "lgpl", r"(?:gnu )?lgpl", ("2", "2.1", "3")),
     ("agpl", "affero", r"(?:gnu )?affero general public licen[cs]e", ("1", "3")),
     ("agpl", "agpl", r"(?:gnu )?agpl", ("1", "3")),
-    ("gfdl", "documentation", r"(?:gnu )?free documentation licen[cs]e", ("1.1", "1.2", "1.3")),
-    ("mpl", "mozilla", r"mozilla public licen[cs]e", ("1.0", "1.1", "2.0")),
-    ("epl", "eclipse", r"eclipse public licen[cs]e", ("1.0", "2.0")),
-    ("cddl", "distribution", r"common development and distribution licen[cs]e", ("1.0", "1.1")),
+    ("gfdl", "documentation licen", r"(?:gnu )?free documentation licen[cs]e", ("1.1", "1.2", "1.3")),
+    ("mpl", "mozilla public", r"mozilla public licen[cs]e", ("1.0", "1.1", "2.0")),
+    ("epl", "eclipse public", r"eclipse public licen[cs]e", ("1.0", "2.0")),
+    ("cddl", "distribution licen", r"common development and distribution licen[cs]e", ("1.0", "1.1")),
     ("cpl", "common public", r"common public licen[cs]e", ("1.0",)),
-    ("eupl", "european", r"european union public licen[cs]e", ("1.0", "1.1", "1.2")),
-    ("bsl", "boost", r"boost software licen[cs]e", ("1.0",)),
-    ("artistic", "artistic", r"artistic licen[cs]e", ("1.0", "2.0")),
+    ("eupl", "european union public", r"european union public licen[cs]e", ("1.0", "1.1", "1.2")),
+    ("bsl", "boost software", r"boost software licen[cs]e", ("1.0",)),
+    ("artistic", "artistic licen", r"artistic licen[cs]e", ("1.0", "2.0")),
     ("ofl", "open font", r"(?:sil )?open font licen[cs]e", ("1.0", "1.1")),
     ("afl", "academic free", r"academic free licen[cs]e", ("1.1", "2.0", "2.1", "3.0")),
     ("osl", "open software", r"open software licen[cs]e", ("1.0", "2.0", "2.1", "3.0")),
     ("cecill", "cecill", r"cecill(?: free software)?(?: licen[cs]e)?", ("1.0", "2.0", "2.1")),
-    ("odbl", "open database", r"open (?:data commons )?(?:open )?database licen[cs]e", ("1.0",)),
-    ("zpl", "zope", r"zope public licen[cs]e", ("1.1", "2.0", "2.1")),
-    ("lppl", "latex", r"latex project public licen[cs]e", ("1.0", "1.2", "1.3")),
-    ("psf", "python", r"python software foundation licen[cs]e", ("2",)),
-    ("ms-pl", "microsoft", r"microsoft public licen[cs]e", ()),
-    ("mit", "mit", r"mit licen[cs]e", ()),
-    ("isc", "isc", r"isc licen[cs]e", ()),
+    ("odbl", "database licen", r"open (?:data commons )?(?:open )?database licen[cs]e", ("1.0",)),
+    ("zpl", "zope public", r"zope public licen[cs]e", ("1.1", "2.0", "2.1")),
+    ("lppl", "latex project", r"latex project public licen[cs]e", ("1.0", "1.2", "1.3")),
+    ("psf", "python software", r"python software foundation licen[cs]e", ("2",)),
+    ("ms-pl", "microsoft public", r"microsoft public licen[cs]e", ()),
+    ("mit", "mit licen", r"mit licen[cs]e", ()),
+    ("isc", "isc licen", r"isc licen[cs]e", ()),
     ("zlib", "zlib", r"zlib(?: libpng)? licen[cs]e", ()),
     ("unlicense", "unlicense", r"(?:the )?unlicense", ()),
     ("wtfpl", "wtfpl", r"wtfpl", ()),
     ("ncsa", "ncsa", r"(?:university of illinois )?ncsa(?: open source)? licen[cs]e", ()),
-    ("postgresql", "postgresql", r"postgresql licen[cs]e", ()),
-    ("openssl", "openssl", r"openssl licen[cs]e", ()),
+    ("postgresql", "postgresql licen", r"postgresql licen[cs]e", ()),
+    ("openssl", "openssl licen", r"openssl licen[cs]e", ()),
     ("w3c", "w3c", r"w3c(?: software)?(?: notice and)? licen[cs]e", ()),
     ("upl", "universal permissive", r"universal permissive licen[cs]e", ()),
     ("bsd", "bsd", r"bsd(?: style)?(?: licen[cs]e)?", ("2 clause", "3 clause", "4 clause")),
@@ -76,7 +75,8 @@ NOTICES = (
     ("zlib", "warrant", r"this software is provided as is without any express or implied warranty in no event will the authors", 6, 0.8),
     ("public-domain", "public domain", r"(?:released|dedicated|placed) (?:in)?to the public domain", 5, 0.9),
     ("public-domain", "public domain", r"in the public domain", 3, 0.6),
-    ("cc0", "cc0", r"(?:cc0|creative commons zero)(?: 1 0)?(?: universal)?", 6, 0.9),
+    ("cc0", "cc0", r"cc0(?: 1 0)?(?: universal)?", 6, 0.9),
+    ("cc0", "creative commons zero", r"creative commons zero(?: 1 0)?(?: universal)?", 6, 0.9),
     ("proprietary", "confidential", r"proprietary and confidential", 5, 0.8),
     ("proprietary", "prohibited", r"unauthori[sz]ed (?:copying|use|distribution)[a-z ]{0,60} prohibited", 5, 0.8),
     ("no-warranty", "warrant", r"without warranty of any kind", 1, 0.3),
@@ -104,7 +104,7 @@ def rules() -> list[Rule]:
     for label, short, long in CC:
         code = f"cc by {short}".strip()
         words = f"creative commons attribution {long}".strip()
-        out += [(label, " cc ", code, 3, 0.7), (label, "creative commons", rf"{words}(?: licen[cs]e)?", 4, 0.8), (label, "creative commons", rf"creativecommons org licenses {code[3:]}", 5, 0.9)]
+        out += [(label, " cc ", code, 3, 0.7), (label, "creative commons", rf"{words}(?: licen[cs]e)?", 4, 0.8), (label, "creativecommons", rf"creativecommons org licenses {code[3:]}", 5, 0.9)]
         for v in CC_VERSIONS:
             number = v.replace(".", " ")
             out += [(f"{label}-{v}", " cc ", f"{code} {number}", 6, 0.95), (f"{label}-{v}", "creative commons", rf"{words}(?: licen[cs]e)? (?:version |v )?{number}", 7, 0.95), (f"{label}-{v}", "creativecommons", rf"creativecommons org licenses {code[3:]} {number}", 8, 1.0)]
@@ -112,7 +112,12 @@ def rules() -> list[Rule]:
 
 
 def _array(given: list[Rule]) -> Column:
-    return F.array(*[F.struct(F.lit(a).alias("label"), F.lit(k).alias("word"), F.lit(f"(?<= ){p}(?= )").alias("pattern"), F.lit(p_).alias("priority"), F.lit(c).alias("confidence")) for a, k, p, p_, c in given])
+    """Keywords, each with its rules."""
+    by: dict[str, list[Rule]] = {}
+    for rule in given:
+        by.setdefault(rule[1], []).append(rule)
+    one = lambda a, p, p_, c: F.struct(F.lit(a).alias("label"), F.lit(f"(?<= ){p}(?= )").alias("pattern"), F.lit(p_).alias("priority"), F.lit(c).alias("confidence"))
+    return F.array(*[F.struct(F.lit(k).alias("word"), F.array(*[one(a, p, p_, c) for a, _, p, p_, c in rs]).alias("rules")) for k, rs in by.items()])
 
 
 def _occurrences(text: Column, rule: Column) -> Column:
@@ -156,10 +161,11 @@ def licenses(docs: DataFrame, given: list[Rule] | None = None) -> DataFrame:
             starts = F.filter(starts, followed(j, want[j]))
         return F.when(F.col("padded").contains(f" {phrase} "), starts).otherwise(F.array().cast("array<int>"))
 
+    given = given or rules()
     gate = F.lit(False)
-    for g in GATES:
-        gate = gate | F.col("padded").contains(g)
-    tried = F.filter(_array(given or rules()), lambda r: F.contains(F.col("padded"), r["word"]))
+    for word in dict.fromkeys(rule[1] for rule in given):
+        gate = gate | F.col("padded").contains(word)
+    tried = F.flatten(F.transform(F.filter(_array(given), lambda r: F.contains(F.col("padded"), r["word"])), lambda r: r["rules"]))
     none = F.array().cast("array<struct<priority:int,start:int,end:int,label:string,confidence:double>>")
     rows = rows.select("doc_id", n_words.cast("long").alias("n_words"), *[places(p).alias(f"at{i}") for i, (p, _) in enumerate(PHRASES)], F.when(gate, F.flatten(F.transform(tried, lambda r: _occurrences(F.col("padded"), r)))).otherwise(none).alias("found"))
     every = F.concat(*[F.col(f"at{i}") for i in range(len(PHRASES))])
