@@ -107,6 +107,26 @@ def test_decontamination(spark, docs):
     assert want and want <= got
 
 
+def test_short_items_at_both_parities(spark):
+    items = [(n, " ".join(f"item{n}w{i}" for i in range(n))) for n in range(1, 9)]
+    rows = [(100 * n + k, "pad " * k + t + " tail" * (k % 3)) for n, t in items for k in range(6)]
+    ben = spark.createDataFrame(items, "item_id long, text string")
+    for parts in (1, 7):
+        got = decontam.contaminated(spark.createDataFrame(rows, "doc_id long, text string").repartition(parts), ben)
+        assert {(r.doc_id, r.item_id, r.similarity, r.start_word) for r in got.collect()} == {(i, i // 100, 1.0, i % 100) for i, _ in rows}
+
+
+def test_matches_do_not_depend_on_texts_before():
+    rng = random.Random(3)
+    words = [f"w{i}".encode() for i in range(5000)]
+    hashes = decontam.WordHashes(decontam.bare)
+    items = [rng.sample(words, n) for n in (12, 20, 30, 45) for _ in range(20)]
+    made = decontam.Benchmark([(i, b" ".join(t)) for i, t in enumerate(items)])
+    texts = [hashes.array(rng.sample(words, rng.randrange(5)) + [w if rng.random() > 0.04 else b"changed" for w in t] + rng.sample(words, rng.randrange(9))) for t in items]
+    alone = [made.matches([t], 0.6)[0] for t in texts]
+    assert made.matches(texts, 0.6) == alone and made.matches([hashes.array([b"x"]), *texts], 0.6)[1:] == alone
+
+
 def test_block_index_finds_all_within_radius():
     import numpy as np
 

@@ -1,7 +1,8 @@
 """Benchmark decontamination by SimHash of item-sized windows.
 
 Items are grouped into size classes (lengths a quarter apart). For an item of a class with length c, every window of c words in it
-is fingerprinted; in documents, windows of c words at every STEP words are. A fingerprint has 64 bits: the signs of sums of word
+is fingerprinted; in documents, windows of c words at every STEP words of the text are, or at every word if an item of the class has
+fewer than STEP windows. So one of the windows of an exact passage meets a window of the item wherever it stands. A fingerprint has 64 bits: the signs of sums of word
 vectors, which running sums give for all windows of a text at once. Fingerprints of items are cut into radius + 1 blocks, each
 with its own table: two fingerprints within the radius agree in a block at least, so looking up all blocks finds all of them, and
 the Hamming distance decides. Each hit places an item in a text; there the weighted Jaccard similarity of the full sets of five-word
@@ -132,7 +133,8 @@ class Benchmark:
         for c, parts in by.items():
             item = np.repeat([k for k, _, _ in parts], [m for _, m, _ in parts])
             offset = np.concatenate([np.arange(m) for _, m, _ in parts])
-            self.classes[c] = (BlockIndex(np.concatenate([f for _, _, f in parts]), radius), item, offset)
+            every = step if min(m for _, m, _ in parts) >= step else 1
+            self.classes[c] = (BlockIndex(np.concatenate([f for _, _, f in parts]), radius), item, offset, every)
 
     def similarity(self, words: np.ndarray, start: int, item: int) -> float:
         """Weighted Jaccard of the item and the item-sized window at start."""
@@ -150,17 +152,18 @@ class Benchmark:
     def matches(self, texts: list[np.ndarray], least: float) -> list[dict[int, tuple[float, int]]]:
         """For each text, item number to (best similarity, word at which its window starts). Texts are fingerprinted together."""
         found: list[dict[int, tuple[float, int]]] = [{} for _ in texts]
-        ends = np.cumsum([len(t) for t in texts])
-        if not len(ends) or not ends[-1]:
+        if not any(map(len, texts)):
             return found
-        sums = running(np.concatenate(texts))
-        begins = ends - [len(t) for t in texts]
-        for c, (index, item, offset) in self.classes.items():
-            if ends[-1] < c:
+        # texts begin at multiples of the step, so what is found in one does not depend on those before it
+        sums = running(np.concatenate([np.pad(t, (0, -len(t) % self.step)) for t in texts]))
+        begins = np.cumsum([0] + [-(-len(t) // self.step) * self.step for t in texts[:-1]])
+        ends = begins + [len(t) for t in texts]
+        for c, (index, item, offset, step) in self.classes.items():
+            if len(sums) <= c:
                 continue
-            starts = np.arange(0, ends[-1] - c + 1, self.step)
-            of = np.searchsorted(ends, starts, "right")
-            q, p = index.near(np.packbits(sums[c :: self.step][: len(starts)] > sums[: len(starts) * self.step : self.step], axis=1).view(np.uint64).ravel())
+            starts = np.arange(0, len(sums) - c, step)
+            of = np.searchsorted(begins, starts, "right") - 1
+            q, p = index.near(np.packbits(sums[c::step][: len(starts)] > sums[: len(starts) * step : step], axis=1).view(np.uint64).ravel())
             inside = starts[q] + c <= ends[of[q]]  # a window across two texts is none
             q, p = q[inside], p[inside]
             places = set(zip(of[q].tolist(), item[p].tolist(), (starts[q] - begins[of[q]] - offset[p]).tolist(), strict=True))
