@@ -127,6 +127,23 @@ def test_matches_do_not_depend_on_texts_before():
     assert made.matches(texts, 0.6) == alone and made.matches([hashes.array([b"x"]), *texts], 0.6)[1:] == alone
 
 
+def test_weights_are_of_the_whole_benchmark(spark, monkeypatch):
+    """Similarities are the same however the items are dealt over blocks, also where a window holds shingles of an item of another block."""
+    common = " ".join(f"common{i}" for i in range(14))
+    other = " ".join(f"other{i}" for i in range(9))
+    items = [(i, f"{common} " + " ".join(f"own{i}w{j}" for j in range(8))) for i in range(9)] + [(20 + i, other) for i in range(4)]
+    rows = [(i, f"some words {t.replace(' own', ' new', 1) if i % 2 else t} at the end") for i, t in items] + [(90, f"{common} own0w0 {other}"), (91, items[0][1].rsplit(" ", 3)[0] + " " + other)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+
+    def got(size):
+        monkeypatch.setattr(decontam, "item_blocks", lambda b, of=blocks: of(b, size))
+        return {(r.doc_id, r.item_id): (r.similarity, r.start_word) for r in decontam.contaminated(docs, ben, 0.3).collect()}
+
+    blocks, ben = decontam.item_blocks, spark.createDataFrame(items, "item_id long, text string").coalesce(1)
+    whole = got(100)
+    assert len(whole) > len(items) and any(s < 1 for s, _ in whole.values()) and got(12) == whole and got(2) == whole
+
+
 def test_block_index_finds_all_within_radius():
     import numpy as np
 

@@ -7,7 +7,7 @@ vectors, which running sums give for all windows of a text at once. Fingerprints
 with its own table: two fingerprints within the radius agree in a block at least, so looking up all blocks finds all of them, and
 the Hamming distance decides. Each hit places an item in a text; there the weighted Jaccard similarity of the full sets of five-word
 shingles of the item and of the item-sized window, tried at the place and a few words to both sides, decides. A shingle weighs
-more the fewer items it occurs in.
+more the fewer items of the whole benchmark it occurs in; one aggregation counts them, and those in several items go to the executors.
 
 The benchmark is read in blocks of BLOCK_ITEMS items and BLOCK_BYTES of text at most, each block a bounded table sent to the executors and run against all
 documents; documents are never shuffled. Words: A-Z lower-cased, cut at ASCII white space, outer punctuation removed.
@@ -105,24 +105,32 @@ class BlockIndex:
         return pairs[0], pairs[1]
 
 
+class Weights:
+    """log(1 + n / c) of a shingle in c of the n items of a benchmark; only those in several items are held, the others weigh as c = 1."""
+
+    def __init__(self, n: int, hashes: np.ndarray, counts: np.ndarray):
+        order = np.argsort(hashes)
+        self.hashes, self.shared, self.single = hashes[order], np.log(1 + n / counts[order]), math.log(1 + n)
+
+    def of(self, hashes: np.ndarray) -> np.ndarray:
+        if not len(self.hashes):
+            return np.full(len(hashes), self.single)
+        at = np.minimum(np.searchsorted(self.hashes, hashes), len(self.hashes) - 1)
+        return np.where(self.hashes[at] == hashes, self.shared[at], self.single)
+
+
 class Benchmark:
-    """A block of items: fingerprints of their windows by class, and their weighted shingles."""
+    """A block of items: fingerprints of their windows by class, and their weighted shingles. Without weights the block is the benchmark."""
 
-    def __init__(self, items: list[tuple[int, bytes]], radius: int = RADIUS, step: int = STEP):
+    def __init__(self, items: list[tuple[int, bytes]], radius: int = RADIUS, step: int = STEP, weights: Weights | None = None):
         self.step, hashes = step, WordHashes(bare)
         words = [(i, hashes.array(t.lower().split())) for i, t in items]
         self.ids = [i for i, w in words if len(w)]
         words = [(i, w) for i, w in words if len(w)]
         self.length = [len(w) for _, w in words]
-        seen: dict[int, int] = {}
         shingles = [np.unique(shingle_hashes(w, SHINGLE)) for _, w in words]
-        for s in shingles:
-            for h in s.tolist():
-                seen[h] = seen.get(h, 0) + 1
-        n = len(words)
-        self.weight = {h: math.log(1 + n / c) for h, c in seen.items()}
-        self.unseen = math.log(1 + n)
-        self.shingles = [{h: self.weight[h] for h in s.tolist()} for s in shingles]
+        self.weights = weights or Weights(len(words), *np.unique(np.concatenate([np.empty(0, np.uint64), *shingles]), return_counts=True))
+        self.shingles = [dict(zip(s.tolist(), self.weights.of(s).tolist(), strict=True)) for s in shingles]
         self.total = [sum(s.values()) for s in self.shingles]
         by: dict[int, list[tuple[int, int, np.ndarray]]] = {}
         for k, (_, w) in enumerate(words):
@@ -141,12 +149,13 @@ class Benchmark:
         window = words[max(0, start) : max(0, start + self.length[item])]
         if not len(window):
             return 0.0
-        want, both, extra = self.shingles[item], 0.0, 0.0
+        want, both, others = self.shingles[item], 0.0, []
         for h in set(shingle_hashes(window, SHINGLE).tolist()):
             if h in want:
                 both += want[h]
             else:
-                extra += self.weight.get(h, self.unseen)
+                others.append(h)
+        extra = float(self.weights.of(np.array(others, np.uint64)).sum()) if others else 0.0
         return both / (self.total[item] + extra)
 
     def matches(self, texts: list[np.ndarray], least: float) -> list[dict[int, tuple[float, int]]]:
@@ -188,12 +197,28 @@ def batches_of(texts: list[np.ndarray], words: int = BATCH_WORDS) -> Iterator[li
     yield part
 
 
+def _items(benchmark: DataFrame) -> DataFrame:
+    return benchmark.select(F.col("item_id").cast("long"), F.col("text").cast("string")).where("item_id is not null and text is not null")
+
+
+def benchmark_weights(benchmark: DataFrame) -> Weights:
+    """Shingle weights over all items; the driver gets the shingles that several items hold."""
+
+    def fn(batch: pa.RecordBatch) -> pa.RecordBatch:
+        hashes = WordHashes(bare)
+        sets = [np.unique(shingle_hashes(hashes.array(t.lower().split()), SHINGLE)).view(np.int64) for t in utf8(batch)]
+        return pa.RecordBatch.from_arrays([pa.array([s for s in sets if len(s)], pa.list_(pa.int64()))], ["shingles"])
+
+    sets = map_batches(_items(benchmark), fn, "shingles array<long>")
+    shared = sets.select(F.explode("shingles").alias("h")).groupBy("h").agg(F.count("*").alias("c")).where("c > 1").toArrow()
+    return Weights(sets.count(), shared.column("h").to_numpy().view(np.uint64), shared.column("c").to_numpy())
+
+
 def item_blocks(benchmark: DataFrame, size: int = BLOCK_ITEMS, limit: int = BLOCK_BYTES) -> Iterator[list[tuple[int, bytes]]]:
     """Items in blocks of a bounded number and bounded bytes (a longer item is alone); only one block is on the driver at a time."""
-    rows = benchmark.select(F.col("item_id").cast("long"), F.col("text").cast("string")).where("item_id is not null and text is not null")
     block: list[tuple[int, bytes]] = []
     held = 0
-    for item, text in rows.toLocalIterator():
+    for item, text in _items(benchmark).toLocalIterator():
         raw = text.encode()
         if block and (len(block) == size or held + len(raw) > limit):
             yield block
@@ -205,16 +230,17 @@ def item_blocks(benchmark: DataFrame, size: int = BLOCK_ITEMS, limit: int = BLOC
 
 def contaminated(docs: DataFrame, benchmark: DataFrame, least: float = 0.8, radius: int = RADIUS, step: int = STEP) -> DataFrame:
     """doc_id, item_id, similarity, start_word a row a document and an item that it holds."""
-    out = None
+    out, context = None, docs.sparkSession.sparkContext
+    weights = context.broadcast(benchmark_weights(benchmark))
     for block in item_blocks(benchmark):
-        shared = docs.sparkSession.sparkContext.broadcast(block)
+        shared = context.broadcast(block)
 
         def run(shared=shared):
             made, hashes = None, WordHashes(bare)
 
             def fn(batch: pa.RecordBatch) -> pa.RecordBatch:
                 nonlocal made
-                made = made or Benchmark(shared.value, radius, step)
+                made = made or Benchmark(shared.value, radius, step, weights.value)
                 rows = []
                 every = [f for part in batches_of([hashes.array(t.lower().split()) for t in utf8(batch)]) for f in made.matches(part, least)]
                 for doc, found in zip(batch.column("doc_id").to_pylist(), every, strict=True):
