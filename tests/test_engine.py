@@ -4,7 +4,9 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from wavemotif import catalog
 from wavemotif.functions import vectors as VEC
+from wavemotif.operators import baselines as B
 from wavemotif.operators import cluster as C
 from wavemotif.operators import extract as X
 from wavemotif.operators import measures as S
@@ -172,3 +174,30 @@ def test_measures_of_distance(spark):
     assert got == {"euclidean_centred": [[1, -1], [0, 0]], "euclidean": [[6, 4], [2, 2]], "euclidean_znorm": [[1, -1], [0, 0]]}
     with pytest.raises(ValueError):
         P.for_measure(rows, 2, "other")
+
+
+@pytest.mark.parametrize("mode", ["radius", "description_length"])
+def test_closest_pair_grouping_goes_on_until_its_rule_ends_it(spark, mode):
+    """Groups by steps of the distributed pair search, and no pair left that the rule would take; more than three groups."""
+    win = C.cut(catalog._reduced(spark, SF))
+    rows = {(r.series_id, r.t): r.x for r in win.collect()}
+    got = {}
+    for r in B.closest_pair_grouping(win, 10, 20, mode, r=1.5).collect():
+        got.setdefault(r.group_id, []).append((r.series_id, r.t))
+    assert sorted(got) == list(range(len(got))) and (len(got) > 3 or mode != "radius")
+    left = set(rows)
+    for g in range(min(2, len(got))):
+        p = B.closest_pair(win.join(spark.createDataFrame(list(left), "series_id long, t long"), ["series_id", "t"]), 10, 20).first()
+        c = [(a + b) / 2 for a, b in zip(rows[p.series_a, p.t_a], rows[p.series_b, p.t_b], strict=True)]
+        near = sorted(left, key=lambda k: (sum((a - b) ** 2 for a, b in zip(rows[k], c, strict=True)), k))
+        assert near[0] in got[g]
+        left -= {(s, t + i) for s, t in got[g] for i in range(-19, 20)}
+    for g in range(min(2, len(got)), len(got)):
+        left -= {(s, t + i) for s, t in got[g] for i in range(-19, 20)}
+    if left:
+        p = B.closest_pair(win.join(spark.createDataFrame(list(left), "series_id long, t long"), ["series_id", "t"]), 10, 20).first()
+        half = [abs(a - b) / 2 for a, b in zip(rows[p.series_a, p.t_a], rows[p.series_b, p.t_b], strict=True)] if p else []
+        assert p is None or (p.d2 > 9 if mode == "radius" else 60 - sum(np.log2(1 + 2 * round(h / 6 * 64)) for h in half) <= np.log2(len(left)))
+    flat = [(a, b) for m in got.values() for a in m for b in m if a < b]
+    assert all(a[0] != b[0] or b[1] - a[1] >= 20 for a, b in flat)
+    print("\nGROUPS", mode, len(got), len(flat), len(rows), len(left))

@@ -298,7 +298,7 @@ _PAIR_SQL = f"WITH w AS MATERIALIZED (SELECT * FROM ({_ALL_X})) SELECT series_a,
 for _m in ("brute", "reference"):
     query(f"closest_pair_{_m}", _PAIR_SQL)(lambda s, d, m=_m: B.closest_pair(C.cut(_reduced(s, d)), D, W, m).select("series_a", "t_a", "series_b", "t_b", F.round("d2", 6).alias("d2")))
 for _m in ("radius", "description_length"):
-    query(f"closest_pair_grouping_{'dl' if _m != 'radius' else _m}")(lambda s, d, m=_m: B.closest_pair_grouping(_reduced(s, d), D, W, m, r=1.5, max_groups=3))
+    query(f"closest_pair_grouping_{'dl' if _m != 'radius' else _m}")(lambda s, d, m=_m: B.closest_pair_grouping(_reduced(s, d), D, W, m, r=1.5))
 query("agglomerate_small")(lambda s, d: B.agglomerate(_cand(s, d), 2.0).select(*_ids))
 query("kmeans_lloyd3", O.lloyd(O.RUN, 8, 3))(lambda s, d: B.kmeans_lloyd(_cand(s, d), 8, 3, D))
 query("kmeans_ml")(lambda s, d: B.kmeans_ml(_cand(s, d), 8).select("series_id", "t", "cluster_id"))

@@ -41,47 +41,70 @@ def closest_pair(win: DataFrame, d: int, exclusion: int, method: str = "brute")
     return best.select("sensor", "m.series_a", "m.t_a", "m.series_b", "m.t_b", F.col("m.d2").alias("d2"))
 
 
-def closest_pair_grouping(win: DataFrame, d: int, w: int, mode: str = "radius", r: float = 1.0, max_groups: int = 10, bits: int = 6) -> DataFrame:
-    """Groups grown from closest pairs, each followed by removal of what it covers: one job or more a group, by design.
+def closest_pair_grouping(win: DataFrame, d: int, w: int, mode: str = "radius", r: float = 1.0, max_groups: int | None = None, bits: int = 6) -> DataFrame:
+    """Groups grown from closest pairs, each followed by removal of what it covers, until the rule of the mode ends it; a task a sensor.
 
-    radius: windows nearer than r to the centre of the pair join; it stops when the pair is farther than 2r. description_length: the
-    nearest windows join while coding them as differences from the centre saves bits. Joined windows do not overlap.
+    radius: windows nearer than r to the centre of the pair join; it ends when the pair is farther than 2r. description_length: the
+    nearest windows join while coding them as differences from the centre saves bits; it ends when the pair itself saves none. Joined
+    windows do not overlap. max_groups ends it earlier. Nearest partners are kept and searched again only where one was removed.
     """
-    rest, out, stop = win.select("sensor", "series_id", "t", "x").transform(cut), None, 2 * r
-    for g in range(max_groups):
-        pair = closest_pair(rest, d, w)
-        if mode == "radius":
-            pair = pair.where(F.col("d2") <= stop * stop)
-        pair = pair.transform(cut)
-        if pair.isEmpty():
-            break
-        ends = pair.join(rest, "sensor").where("(series_id = series_a and t = t_a) or (series_id = series_b and t = t_b)")
-        centre = ends.groupBy("sensor").agg(F.array(*[F.avg(F.col("x")[i]) for i in range(d)]).alias("c"))
-
-        def grow(rows: pd.DataFrame) -> pd.DataFrame:
-            x, c = np.array(rows.x.tolist(), float), np.array(rows.c.iloc[0])
-            dist = np.sqrt(((x - c) ** 2).sum(axis=1))
-            taken, saved = [], 0.0
-            levels = 2**bits
-            for i in np.lexsort((rows.t, rows.series_id, dist)):
-                s, t = rows.series_id.iloc[i], rows.t.iloc[i]
-                if any(s == a and abs(t - b) < w for a, b in taken):
+
+    def fn(rows: pd.DataFrame) -> pd.DataFrame:
+        rows = rows.sort_values(["series_id", "t"], ignore_index=True)
+        x, s, t = np.array(rows.x.tolist(), float).reshape(-1, d), rows.series_id.to_numpy(), rows.t.to_numpy()
+        columns, levels = np.ascontiguousarray(x.T), 2**bits
+        alive, gap, partner = np.ones(len(x), bool), np.full(len(x), np.inf), np.full(len(x), -1)
+
+        def saved(diff: np.ndarray) -> float:
+            return d * bits - float(np.log2(1 + 2 * np.abs(np.round(diff / 6 * levels))).sum()) - np.log2(alive.sum())
+
+        def search(i: int) -> None:
+            d2 = (columns[0, i + 1 :] - columns[0, i]) ** 2
+            for c in columns[1:]:
+                d2 += (c[i + 1 :] - c[i]) ** 2
+            d2[~alive[i + 1 :] | ((s[i + 1 :] == s[i]) & (t[i + 1 :] - t[i] < w))] = np.inf
+            k = int(d2.argmin()) if len(d2) else -1
+            gap[i], partner[i] = (d2[k], i + 1 + k) if k >= 0 and d2[k] < np.inf else (np.inf, -1)
+
+        for i in range(len(x)):
+            search(i)
+        out, g = [], 0
+        while len(x) and (max_groups is None or g < max_groups):
+            a = int(gap.argmin())
+            b = partner[a]
+            if gap[a] == np.inf or (mode == "radius" and gap[a] > 4 * r * r):
+                break
+            centre = (x[a] + x[b]) / 2
+            if mode == "description_length" and saved(x[a] - centre) + saved(x[b] - centre) <= 0:
+                break
+            rest = np.flatnonzero(alive)
+            dist = np.sqrt(((x[rest] - centre) ** 2).sum(axis=1))
+            free, taken = alive.copy(), []
+            for k in np.argsort(dist, kind="stable"):
+                i = rest[k]
+                if mode == "radius" and dist[k] >= r:
+                    break
+                if not free[i]:
                     continue
-                if mode == "radius" and dist[i] >= r:
+                if mode == "description_length" and len(taken) >= 2 and saved(x[i] - centre) <= 0:
                     break
-                if mode == "description_length":
-                    q = np.round((x[i] - c) / 6 * levels)
-                    saved = d * bits - float(np.log2(1 + 2 * np.abs(q)).sum()) - np.log2(len(rows))
-                    if saved <= 0 and len(taken) >= 2:
-                        break
-                taken.append((s, t))
-            return pd.DataFrame({"sensor": rows.sensor.iloc[0], "series_id": [a for a, _ in taken], "t": [b for _, b in taken], "group_id": g})
-
-        grown = rest.join(centre, "sensor").groupBy("sensor").applyInPandas(grow, "sensor string, series_id long, t long, group_id int").transform(cut)
-        out = grown if out is None else out.unionByName(grown)
-        cover = grown.select("sensor", "series_id", F.explode(F.sequence(F.col("t") - w + 1, F.col("t") + w - 1)).alias("t")).distinct()
-        rest = rest.join(cover, ["sensor", "series_id", "t"], "left_anti").transform(cut)
-    return out if out is not None else win.sparkSession.createDataFrame([], "sensor string, series_id long, t long, group_id int")
+                taken.append(i)
+                lo, hi = np.searchsorted(s, s[i]), np.searchsorted(s, s[i], "right")
+                free[lo:hi] &= np.abs(t[lo:hi] - t[i]) >= w
+            gone = alive & ~free
+            if not taken:  # a pair at 2r exactly
+                gone[[a, b]] = True
+            alive &= ~gone
+            gap[gone] = np.inf
+            for i in np.flatnonzero(alive & (partner >= 0) & gone[partner]):
+                search(i)
+            if taken:
+                out += [(s[i], t[i], g) for i in taken]
+                g += 1
+        done = pd.DataFrame(out, columns=["series_id", "t", "group_id"])
+        return done.assign(sensor=rows.sensor.iloc[0])[["sensor", "series_id", "t", "group_id"]]
+
+    return win.select("sensor", "series_id", "t", "x").groupBy("sensor").applyInPandas(fn, "sensor string, series_id long, t long, group_id int")
 
 
 def agglomerate(win: DataFrame, cutoff: float, linkage: str = "complete") -> DataFrame:
