@@ -200,4 +200,40 @@ def test_closest_pair_grouping_goes_on_until_its_rule_ends_it(spark, mode):
         assert p is None or (p.d2 > 9 if mode == "radius" else 60 - sum(np.log2(1 + 2 * round(h / 6 * 64)) for h in half) <= np.log2(len(left)))
     flat = [(a, b) for m in got.values() for a in m for b in m if a < b]
     assert all(a[0] != b[0] or b[1] - a[1] >= 20 for a, b in flat)
-    print("\nGROUPS", mode, len(got), len(flat), len(rows), len(left))
+
+
+@pytest.mark.parametrize("linkage", ["complete", "single"])
+def test_agglomeration_joins_runs_of_a_sensor(spark, linkage):
+    """Equal shapes of different runs join; clusters as by a dense matrix."""
+    rng = np.random.default_rng(4)
+    rows = [("s", i % 6, i // 6, (rng.normal(0, 0.4, 3) + rng.integers(0, 4, 3)).tolist(), 0.0) for i in range(150)]
+    rows += [("s", 7, 0, [9.0] * 3, 0.0), ("s", 8, 0, [9.0] * 3, 0.0)]
+    rows.sort(key=lambda r: r[1:3])
+    win = spark.createDataFrame(rows, "sensor string, series_id long, t long, x array<double>, level double")
+    got = [r.cluster_id for r in B.agglomerate(win, 1.2, linkage, group=("sensor",)).orderBy("series_id", "t").collect()]
+    x = np.array([r[3] for r in rows])
+    gap = np.sqrt(((x[:, None] - x[None]) ** 2).sum(axis=2))
+    np.fill_diagonal(gap, np.inf)
+    ids = np.arange(len(x))
+    while gap.min() < 1.2:
+        a, b = sorted(np.unravel_index(gap.argmin(), gap.shape))
+        gap[a] = gap[:, a] = (np.maximum if linkage == "complete" else np.minimum)(gap[a], gap[b])
+        gap[a, a] = gap[b] = gap[:, b] = np.inf
+        ids[ids == b] = a
+    assert got == np.unique(ids, return_inverse=True)[1].tolist() and got[-1] == got[-2]
+
+
+def test_variants_over_a_sensor(spark):
+    q, cand = catalog.queries(), C.cut(catalog._cand(spark, SF))
+    rows = [((r.series_id, r.t), np.array(r.x)) for r in cand.orderBy("series_id", "t").collect()]
+    near = {(a, b): ((x - y) ** 2).sum() for i, (a, x) in enumerate(rows) for b, y in rows[i + 1 :]}
+    assert {((r.series_a, r.t_a), (r.series_b, r.t_b)) for r in q["grid_eps_join_sensor"](spark, SF).collect()} == {k for k, v in near.items() if v <= 2.25}
+    one = {(f.family): (f.near, f.found) for f in q["hash_tradeoff"](spark, SF).collect()}
+    for r in q["hash_tradeoff_sensor"](spark, SF).collect():
+        assert r.near == sum(v < 4 for v in near.values()) > one[r.family][0] and one[r.family][1] <= r.found <= r.near
+    for name, per_run in (("agglomerate_sensor", "agglomerate_small"), ("cluster_point_link_sensor", "cluster_point_link_per_run"), ("cluster_frozen_centre_sensor", "cluster_frozen_centre"), ("cluster_random_order_sensor", "cluster_random_order_per_run")):
+        got = q[name](spark, SF).collect()
+        runs = {}
+        for r in got:
+            runs.setdefault(r.cluster_id, set()).add(r.series_id)
+        assert len(got) == len(rows) and max(map(len, runs.values())) > 1

@@ -106,6 +106,10 @@ query("cluster_all_per_run", O.sequential(O.RUN, 2.0))(lambda s, d: C.cluster(_c
 query("cluster_point_link_per_run", O.sequential(O.RUN, 1.5, link="point"))(lambda s, d: C.cluster(_cand(s, d), 1.5, "point", **_per_run).select(*_ids))
 query("cluster_frozen_centre", O.sequential(O.RUN, 2.0, frozen=True))(lambda s, d: C.cluster(_cand(s, d), 2.0, "all", frozen=True, **_per_run).select(*_ids))
 query("cluster_random_order_per_run", O.sequential(O.RUN, 2.0, order="(t * 7919 + 13) % 104729"))(lambda s, d: C.cluster(_cand(s, d), 2.0, "all", order="hash", **_per_run).select(*_ids))
+# the same forms over all runs of a sensor
+query("cluster_point_link_sensor")(lambda s, d: C.cluster(_cand(s, d), 1.5, "point").select(*_ids))
+query("cluster_frozen_centre_sensor")(lambda s, d: C.cluster(_cand(s, d), 2.0, "all", frozen=True).select(*_ids))
+query("cluster_random_order_sensor")(lambda s, d: C.cluster(_cand(s, d), 2.0, "all", order="hash").select(*_ids))
 
 _ONE_EACH = f"SELECT series_id, count(*) AS members, count(*) AS assigned FROM ({O.candidates(O.RUN)}) GROUP BY 1"
 
@@ -171,6 +175,28 @@ def _hash_tradeoff(s: SparkSession, d: str) -> DataFrame:
 
 
 query("grid_eps_join", f"SELECT a.series_id, a.t, b.t AS u FROM ({_NEAR}) a JOIN ({_NEAR}) b ON a.series_id = b.series_id AND a.t < b.t WHERE {O.sq('a.x', 'b.x')} <= 2.25")(lambda s, d: C.eps_join(_cand(s, d).select(F.col("series_id").alias("sensor"), F.col("t").alias("id"), "x"), 1.5, D).select(F.col("sensor").alias("series_id"), F.col("aid").alias("t"), F.col("bid").alias("u")))
+
+
+@query("grid_eps_join_sensor")
+def _eps_sensor(s: SparkSession, d: str) -> DataFrame:
+    """Near pairs over all runs of a sensor, by place."""
+    pairs = C.eps_join(_cand(s, d).select("sensor", F.struct("series_id", "t").alias("id"), "x"), 1.5, D)
+    return pairs.select("sensor", F.col("aid.series_id").alias("series_a"), F.col("aid.t").alias("t_a"), F.col("bid.series_id").alias("series_b"), F.col("bid.t").alias("t_b"))
+
+
+@query("hash_tradeoff_sensor")
+def _hash_tradeoff_sensor(s: SparkSession, d: str) -> DataFrame:
+    """Near pairs over all runs of a sensor, and those that share a bucket, by family."""
+    planes, families = VEC.fixed_planes(5, 3, D), ("sign", "quantised")
+    keys = [F.array(*[VEC.bucket_key(F.col("x"), p, f) for p in planes]).alias(f) for f in families]
+    a = C.cut(_cand(s, d).select("sensor", F.struct("series_id", "t").alias("id"), "x", *keys))
+    b = a.select("sensor", F.col("id").alias("other"), F.col("x").alias("y"), *[F.col(f).alias(f"{f}_b") for f in families])
+    near = a.join(b, "sensor").where("id < other").where(VEC.sq_dist("x", "y", D) < 4)
+    hit = lambda f: F.count_if(F.exists(F.zip_with(f, f"{f}_b", lambda p, q: p == q), lambda h: h))
+    both = near.agg(F.count("*").alias("near"), *[hit(f).alias(f) for f in families])
+    return both.select("near", F.explode(F.array(*[F.struct(F.lit(f).alias("family"), F.col(f).alias("found")) for f in families])).alias("r")).select("r.family", "near", "r.found")
+
+
 _CF = f"SELECT series_id, count(*) AS n, {', '.join(f'round(sum(p{j}), 6) AS ls{j}' for j in range(3))}, round(sum({' + '.join(f'p{j} * p{j}' for j in range(D))}), 6) AS ss FROM ({O.candidates(O.RUN)}) GROUP BY 1"
 _cf_cols = lambda: ["series_id", F.col("cf.n").alias("n"), *[F.round(F.col("cf.ls")[j], 6).alias(f"ls{j}") for j in range(3)], F.round("cf.ss", 6).alias("ss")]
 query("cf_triples", _CF)(lambda s, d: _cand(s, d).groupBy("series_id").agg(VEC.cf_sum(F.col("x"), D).alias("cf")).select(*_cf_cols()))
@@ -300,6 +326,7 @@ for _m in ("brute", "reference"):
 for _m in ("radius", "description_length"):
     query(f"closest_pair_grouping_{'dl' if _m != 'radius' else _m}")(lambda s, d, m=_m: B.closest_pair_grouping(_reduced(s, d), D, W, m, r=1.5))
 query("agglomerate_small")(lambda s, d: B.agglomerate(_cand(s, d), 2.0).select(*_ids))
+query("agglomerate_sensor")(lambda s, d: B.agglomerate(_cand(s, d), 2.0, group=("sensor",)).select(*_ids))
 query("kmeans_lloyd3", O.lloyd(O.RUN, 8, 3))(lambda s, d: B.kmeans_lloyd(_cand(s, d), 8, 3, D))
 query("kmeans_ml")(lambda s, d: B.kmeans_ml(_cand(s, d), 8).select("series_id", "t", "cluster_id"))
 _DB = f"""WITH RECURSIVE w AS MATERIALIZED (SELECT series_id * 1000 + t AS id, x FROM ({_NEAR})),

@@ -5,6 +5,8 @@ The pair searches are quadratic by nature and meant for short inputs; runs do no
 
 from __future__ import annotations
 
+import heapq
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -107,26 +109,46 @@ def closest_pair_grouping(win: DataFrame, d: int, w: int, mode: str = "radius",
     return win.select("sensor", "series_id", "t", "x").groupBy("sensor").applyInPandas(fn, "sensor string, series_id long, t long, group_id int")
 
 
-def agglomerate(win: DataFrame, cutoff: float, linkage: str = "complete") -> DataFrame:
-    """Hierarchical clustering of each run of its own up to a cutoff; cubic, for short runs."""
+def agglomerate(win: DataFrame, cutoff: float, linkage: str = "complete", group: tuple[str, ...] = ("sensor", "series_id")) -> DataFrame:
+    """Hierarchical clustering of each group of its own up to a cutoff; a task a group, all distances once, of which it keeps those below the cutoff.
+
+    Clusters are linked while their linkage is below the cutoff; a complete linkage is below only if those of all parts are.
+    """
 
     def fn(rows: pd.DataFrame) -> pd.DataFrame:
-        rows = rows.sort_values("t", ignore_index=True)
+        rows = rows.sort_values(["series_id", "t"], ignore_index=True)
         x = np.array(rows.x.tolist(), float)
-        gap = np.sqrt(((x[:, None] - x[None]) ** 2).sum(axis=2))
-        np.fill_diagonal(gap, np.inf)
+        links: list[dict[int, float]] = [{} for _ in x]
+        heap = []
+        for i in range(len(x)):
+            gap = np.sqrt(((x[i + 1 :] - x[i]) ** 2).sum(axis=1))
+            for k in np.flatnonzero(gap < cutoff).tolist():
+                links[i][i + 1 + k] = links[i + 1 + k][i] = float(gap[k])
+                heap.append((float(gap[k]), i, i + 1 + k))
+        heapq.heapify(heap)
         ids = np.arange(len(x))
-        join = np.maximum if linkage == "complete" else np.minimum
-        while len(x) > 1 and gap.min() < cutoff:
-            a, b = sorted(np.unravel_index(gap.argmin(), gap.shape))
-            gap[a] = gap[:, a] = join(gap[a], gap[b])
-            gap[a, a] = gap[b] = gap[:, b] = np.inf
+        while heap:
+            g, a, b = heapq.heappop(heap)
+            if links[a].get(b) != g:  # joined or farther by now
+                continue
+            la, lb = links[a], links[b]
+            others = (la.keys() & lb.keys() if linkage == "complete" else la.keys() | lb.keys()) - {a, b}
+            join = max if linkage == "complete" else min
+            after = {c: join(la.get(c, np.inf), lb.get(c, np.inf)) if linkage != "complete" else join(la[c], lb[c]) for c in others}
+            for c in la.keys() | lb.keys():
+                links[c].pop(a, None)
+                links[c].pop(b, None)
+            for c, v in after.items():
+                links[c][a] = v
+                if la.get(c) != v:
+                    heapq.heappush(heap, (v, *sorted((a, c))))
+            links[a], links[b] = after, {}
             ids[ids == b] = a
         rows["cluster_id"] = np.unique(ids, return_inverse=True)[1]
         rows["dist"], rows["evals"] = 0.0, len(x) * (len(x) - 1) // 2
         return rows[["sensor", "series_id", "t", "x", "level", "cluster_id", "dist", "evals"]]
 
-    return win.select("sensor", "series_id", "t", "x", "level").groupBy("sensor", "series_id").applyInPandas(fn, ASSIGNED)
+    return win.select("sensor", "series_id", "t", "x", "level").groupBy(*group).applyInPandas(fn, ASSIGNED)
 
 
 def kmeans_lloyd(cand: DataFrame, k: int, rounds: int, d: int, scale: int = 1_000_000) -> DataFrame:
