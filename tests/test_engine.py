@@ -237,3 +237,14 @@ def test_variants_over_a_sensor(spark):
         for r in got:
             runs.setdefault(r.cluster_id, set()).add(r.series_id)
         assert len(got) == len(rows) and max(map(len, runs.values())) > 1
+
+
+def test_places_of_long_runs_are_not_mixed(spark):
+    """Windows 1,000 and 1,000,000 steps on in a run are not those of the next run."""
+    rows = [("s", 1, 1000 + i, [0.1 * i] + [0.0] * 9, 0.0) for i in range(4)] + [("s", 2, i, [50.0 + 20 * i] + [0.0] * 9, 0.0) for i in range(4)]
+    cand = spark.createDataFrame(rows, "sensor string, series_id long, t long, x array<double>, level double")
+    got = sorted(map(tuple, catalog.dbscan_places(cand, 1.0, 3, 10).collect()), key=lambda r: r[:3])
+    assert got == [("s", 1, 1000 + i, 1, 1000) for i in range(4)] + [("s", 2, i, None, None) for i in range(4)]
+    far = [("s", 1, 1_000_000, [float(i * 40) for i in range(1, 11)], 0.0), ("s", 2, 0, [float(-i * 70) for i in range(1, 11)], 0.0)]
+    ids = [r.cluster_id for r in C.cluster_parallel(spark.createDataFrame(far, "sensor string, series_id long, t long, x array<double>, level double"), 1.0, 10).collect()]
+    assert len(set(ids)) == 2

@@ -334,7 +334,16 @@ _DB = f"""WITH RECURSIVE w AS MATERIALIZED (SELECT series_id * 1000 + t AS id, x
  c AS MATERIALIZED (SELECT a AS id FROM e GROUP BY 1 HAVING count(*) + 1 >= 4), l AS MATERIALIZED (SELECT e.a, e.b FROM e JOIN c x ON x.id = e.a JOIN c y ON y.id = e.b),
  r AS (SELECT id, id AS root FROM c UNION SELECT l.a, r.root FROM r JOIN l ON l.b = r.id WHERE r.root < l.a), k AS MATERIALIZED (SELECT id, min(root) AS root FROM r GROUP BY 1)
  SELECT w.id, coalesce(k.root, (SELECT min(k2.root) FROM e JOIN k k2 ON k2.id = e.b WHERE e.a = w.id)) AS cluster_id FROM w LEFT JOIN k ON k.id = w.id"""
-query("dbscan_windows", _DB)(lambda s, d: B.dbscan(_cand(s, d).select("sensor", (F.col("series_id") * 1000 + F.col("t")).alias("id"), "x"), 1.5, 4, D))
+
+
+def dbscan_places(cand: DataFrame, eps: float, min_pts: int, d: int) -> DataFrame:
+    """sensor, series_id, t and the place that names its cluster: cluster_series, cluster_t (null for noise). Places are keys as they are."""
+    got = B.dbscan(cand.select("sensor", F.struct("sensor", "series_id", "t").alias("id"), "x"), eps, min_pts, d)
+    return got.select("id.sensor", "id.series_id", "id.t", F.col("cluster_id.series_id").alias("cluster_series"), F.col("cluster_id.t").alias("cluster_t"))
+
+
+query("dbscan_windows", _DB)(lambda s, d: dbscan_places(_cand(s, d), 1.5, 4, D).select((F.col("series_id") * 1000 + F.col("t")).alias("id"), (F.col("cluster_series") * 1000 + F.col("cluster_t")).alias("cluster_id")))
+query("dbscan_windows_by_place")(lambda s, d: dbscan_places(_cand(s, d), 1.5, 4, D))
 
 # ---------------------------------------------------------------- use of motifs
 _MEANS = f"SELECT cluster_id AS motif_id, [{', '.join(f'avg(x[{i}])' for i in range(1, D + 1))}] AS c FROM (SELECT * FROM h) GROUP BY 1"
@@ -601,8 +610,8 @@ def _missed(s: SparkSession, d: str) -> DataFrame:
     """step, shape and quality before and after every window is matched with the motifs found."""
     r = _planted(s, d)
     found = r.occurrences
-    keyed = r.motifs.withColumn("motif_id", F.col("motif_id") * 1000 + F.col("level_id"))
-    scanned = M.match(r.stages["windows"], keyed, 1.0, D).select("series_id", "t", F.col("motif_id").alias("cluster_id"), F.lit("quantity").alias("sensor"), F.lit(0).cast("long").alias("level_id"))
+    keyed = r.motifs.withColumn("motif_id", F.struct("motif_id", "level_id"))
+    scanned = M.match(r.stages["windows"], keyed, 1.0, D).select("series_id", "t", F.col("motif_id.motif_id").alias("cluster_id"), F.lit("quantity").alias("sensor"), F.col("motif_id.level_id").alias("level_id"))
     truth = V.planted_truth(s, d)
     return _union([S.match_quality(o, truth).withColumn("step", F.lit(name)) for name, o in (("found", found), ("scanned", C.cut(scanned)))])
 

@@ -180,7 +180,7 @@ def kmeans_ml(cand: DataFrame, k: int, iters: int = 20, seed: int = 1) -> DataFr
 
 def dbscan(cand: DataFrame, eps: float, min_pts: int, d: int, max_rounds: int = 100) -> DataFrame:
     """Density clustering: cores have min_pts rows within eps, themselves included; cores within eps share a cluster (its smallest
-    id), other rows join the smallest cluster within eps, the rest are noise (null). cand has id long."""
+    id), other rows join the smallest cluster within eps, the rest are noise (null). cand has id, of any type with an order, unique over all sensors."""
     rows = cand.select("sensor", "id", "x")
     half = eps_join(rows, eps, d).transform(cut)
     both = half.select("sensor", F.col("aid").alias("a"), F.col("bid").alias("b")).unionByName(half.select("sensor", F.col("bid").alias("a"), F.col("aid").alias("b")))

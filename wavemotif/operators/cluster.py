@@ -306,8 +306,11 @@ def cluster_parallel(cand: DataFrame, r: float = 1.0, d: int = 10, sets: int = 1
     keyed = rows.withColumn("aid", F.struct("series_id", "t"))
     pairs = hash_pairs(keyed.select("sensor", "aid", F.col("x").alias("ax")), final.select("sensor", F.col("root").alias("bid"), F.col("c").alias("bx")), d, r, sets, per_set, family, width)
     best = pairs.groupBy("sensor", "aid").agg(F.min(F.struct("d2", "bid")).alias("m")).select("sensor", "aid", F.col("m.d2").alias("d2"), F.col("m.bid").alias("root")).join(final.select("sensor", "root", "cluster_id"), ["sensor", "root"])
-    out = keyed.join(best.select("sensor", "aid", "cluster_id", "d2"), ["sensor", "aid"], "left")
-    return out.select("sensor", "series_id", "t", "x", "level", F.coalesce("cluster_id", F.lit(-1) - F.col("series_id") * 1_000_000 - F.col("t")).alias("cluster_id"), F.sqrt(F.coalesce("d2", F.lit(0.0))).alias("dist"), F.lit(0).cast("long").alias("evals"))
+    best = best.select("sensor", "aid", "cluster_id", "d2").transform(cut)
+    # rows without a cluster count down from -1, so no run is too long for its ids
+    alone = keyed.select("sensor", "aid").join(best, ["sensor", "aid"], "left_anti").withColumn("own", -F.row_number().over(Window.partitionBy("sensor").orderBy("aid")).cast("long"))
+    out = keyed.join(best, ["sensor", "aid"], "left").join(alone, ["sensor", "aid"], "left")
+    return out.select("sensor", "series_id", "t", "x", "level", F.coalesce("cluster_id", "own").alias("cluster_id"), F.sqrt(F.coalesce("d2", F.lit(0.0))).alias("dist"), F.lit(0).cast("long").alias("evals"))
 
 
 def cluster_cf_shards(cand: DataFrame, r: float = 1.0, d: int = 10, shards: int = 64, branching: int = 50, absorb: str = "centroid") -> DataFrame:
