@@ -13,7 +13,8 @@ The benchmark is read in blocks of BLOCK_ITEMS items and BLOCK_BYTES of text at
 documents; documents are never shuffled. Words: A-Z lower-cased, cut at ASCII white space, outer punctuation removed.
 
 Defined cases: null or empty texts match nothing, nor do items without words; items of fewer words than a shingle are matched
-whole; repeated items give one row each; repeated rows of documents give repeated rows.
+whole; repeated items give one row each; repeated rows of documents give repeated rows. Items with null item_id are left out, and
+documents with null doc_id are matched but never dropped, since no id names them.
 """
 
 from __future__ import annotations
