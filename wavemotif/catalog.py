@@ -128,7 +128,7 @@ query("cluster_cf_shards", _ONE_EACH)(lambda s, d: _one_each(_cand(s, d), C.clus
 query("cluster_recluster_outliers", _ONE_EACH)(lambda s, d: _one_each(_cand(s, d), C.cluster(_cand(s, d), 1.0, "cftree", recluster=3)))
 
 
-@query("cluster_raw_radius")
+@query("cluster_raw_radius", f"SELECT series_id, count(*) AS windows, count(*) AS same FROM ({O.reduced(O.RUN)}) GROUP BY 1")
 def _raw_radius(s: SparkSession, d: str) -> DataFrame:
     """Clusters of raw windows with the radius of the sensor's deviation beside those of z-scores with radius 2: the same ones."""
     raw = C.cluster(P.reduced_windows(P.raw_values(_run(s, d)), W, D, None), P.sensor_radius(_run(s, d), 2.0), **_per_run).select(*_ids)
@@ -177,7 +177,7 @@ def _hash_tradeoff(s: SparkSession, d: str) -> DataFrame:
 query("grid_eps_join", f"SELECT a.series_id, a.t, b.t AS u FROM ({_NEAR}) a JOIN ({_NEAR}) b ON a.series_id = b.series_id AND a.t < b.t WHERE {O.sq('a.x', 'b.x')} <= 2.25")(lambda s, d: C.eps_join(_cand(s, d).select(F.col("series_id").alias("sensor"), F.col("t").alias("id"), "x"), 1.5, D).select(F.col("sensor").alias("series_id"), F.col("aid").alias("t"), F.col("bid").alias("u")))
 
 
-@query("grid_eps_join_sensor")
+@query("grid_eps_join_sensor", f"SELECT 'value' AS sensor, a.series_id AS series_a, a.t AS t_a, b.series_id AS series_b, b.t AS t_b FROM ({_NEAR}) a JOIN ({_NEAR}) b ON (a.series_id < b.series_id OR (a.series_id = b.series_id AND a.t < b.t)) AND {O.sq('a.x', 'b.x')} <= 2.25")
 def _eps_sensor(s: SparkSession, d: str) -> DataFrame:
     """Near pairs over all runs of a sensor, by place."""
     pairs = C.eps_join(_cand(s, d).select("sensor", F.struct("series_id", "t").alias("id"), "x"), 1.5, D)
@@ -240,6 +240,7 @@ def _high(s: SparkSession, d: str) -> DataFrame:
 query("high_support", f"SELECT cluster_id, count(*) AS n FROM ({_HIGH}) GROUP BY 1")(lambda s, d: _high(s, d).groupBy("cluster_id").agg(F.count("*").alias("n")))
 query("high_support_runs", f"SELECT cluster_id, count(DISTINCT series_id) AS runs FROM ({O.supported(_COARSE, 28, 'count(DISTINCT series_id)')}) GROUP BY 1")(lambda s, d: X.high_support(_coarse(s, d), 28, "runs").groupBy("cluster_id").agg(F.count_distinct("series_id").alias("runs")))
 query("shift_diff_list", O.shift_diffs(_HIGH))(lambda s, d: X.shift_diffs(_high(s, d), 10))
+query("shift_diff_sweep", O.shift_diffs(_HIGH))(lambda s, d: X.shift_diffs_sweep(_high(s, d), 10))
 query("drop_shifted", f"WITH h AS MATERIALIZED ({_HIGH}) SELECT DISTINCT cluster_id FROM h WHERE cluster_id NOT IN (SELECT small FROM ({O.matches('SELECT * FROM h')}))")(lambda s, d: X.drop_shifted(_high(s, d), cascade="independent").select("cluster_id").distinct())
 query("drop_shifted_share", f"WITH h AS MATERIALIZED ({_HIGH}) SELECT DISTINCT cluster_id FROM h WHERE cluster_id NOT IN (SELECT small FROM ({O.matches('SELECT * FROM h', 'share')}))")(lambda s, d: X.drop_shifted(_high(s, d), cascade="independent", rule="share").select("cluster_id").distinct())
 query("drop_shifted_greedy", O.greedy(_HIGH))(lambda s, d: X.drop_shifted(_high(s, d)).select("cluster_id").distinct())
@@ -273,11 +274,24 @@ def _accuracy(w: int = W, **options) -> Query:
     return lambda s, d: planted_quality(V.planted_view(s, d), V.planted_truth(s, d), _support(s, d), w, **options)
 
 
-for _m in ("all", "cftree", "hash", "parallel"):
-    query(f"motifs_pipeline_{_m}")(_accuracy(method=_m))
-query("motifs_pipeline_cf_shards")(_accuracy(method="cf_shards", shards=8))
+#: Least share of planted instances (held step, two pulses) that the best motif of a shape finds over all runs of a table, by method.
+LEAST_FOUND = {"all": (0.75, 0.6), "cftree": (0.75, 0.55), "hash": (0.7, 0.6), "parallel": (0.85, 0.8), "cf_shards": (0.9, 0.85)}
+_PLACES = "SELECT k.series_id, b.range AS b FROM (SELECT DISTINCT l_suppkey AS series_id FROM lineitem) k, range(5) b"
+
+
+def guarded(s: SparkSession, d: str, method: str, **options) -> DataFrame:
+    """shape, instances, enough (the share found is as large as is known for the method), below_twice (members farther than the radius
+    from their final centroid are fewer than twice the clusters, in every sensor)."""
+    r, least = _planted(s, d, method=method, **options), LEAST_FOUND[method]
+    found = S.match_quality(r.occurrences, V.planted_truth(s, d))
+    bound = S.radius_outliers(r.stages["clusters"], 1.0, D).agg(F.min("below_twice").alias("below_twice"))
+    enough = F.col("recall") >= F.when(F.col("shape") == "held_step", least[0]).otherwise(least[1])
+    return found.crossJoin(F.broadcast(bound)).select("shape", "instances", enough.alias("enough"), "below_twice")  # one row
+
+
+for _m in LEAST_FOUND:
+    query(f"motifs_pipeline_{_m}", f"SELECT shape, count(*) AS instances, true AS enough, true AS below_twice FROM ({_PLACES}), (VALUES ('held_step'), ('two_pulses')) v(shape) GROUP BY 1")(lambda s, d, m=_m: guarded(s, d, m, **({"shards": 8} if m == "cf_shards" else {})))
 query("motifs_multi_width")(lambda s, d: PL.discover_many(V.planted_view(s, d), (14, 20, 40), _support(s, d)).select("w", "sensor", "motif_id", "level_id", "support", "runs"))
-query("funnel")(lambda s, d: _planted(s, d).funnel())
 query("ablation_no_shift_no_trivial")(lambda s, d: _planted(s, d, skip=("flat", "words", "shifted", "trivial")).funnel())
 
 # ---------------------------------------------------------------- measures, over sequential clusters of runs
@@ -343,7 +357,7 @@ def dbscan_places(cand: DataFrame, eps: float, min_pts: int, d: int) -> DataFram
 
 
 query("dbscan_windows", _DB)(lambda s, d: dbscan_places(_cand(s, d), 1.5, 4, D).select((F.col("series_id") * 1000 + F.col("t")).alias("id"), (F.col("cluster_series") * 1000 + F.col("cluster_t")).alias("cluster_id")))
-query("dbscan_windows_by_place")(lambda s, d: dbscan_places(_cand(s, d), 1.5, 4, D))
+query("dbscan_windows_by_place", f"SELECT 'value' AS sensor, id // 1000 AS series_id, id % 1000 AS t, cluster_id // 1000 AS cluster_series, cluster_id % 1000 AS cluster_t FROM ({_DB})")(lambda s, d: dbscan_places(_cand(s, d), 1.5, 4, D))
 
 # ---------------------------------------------------------------- use of motifs
 _MEANS = f"SELECT cluster_id AS motif_id, [{', '.join(f'avg(x[{i}])' for i in range(1, D + 1))}] AS c FROM (SELECT * FROM h) GROUP BY 1"
@@ -394,8 +408,25 @@ query("rare_windows", f"WITH h AS MATERIALIZED ({_HIGH}), k AS MATERIALIZED ({_M
 
 @query("fault_classifier")
 def _classifier(s: SparkSession, d: str) -> DataFrame:
-    f = C.cut(_feat(s, d))
-    return M.train_fault_classifier(f, [f"m{i}" for i in range(4)]).transform(f).groupBy("positive", F.col("prediction").cast("int").alias("predicted")).agg(F.count("*").alias("n"))
+    """positive, predicted, n over the histories of odd runs, by a tree that was fitted on those of even runs."""
+    f = C.cut(_feat(s, d).join(_level_feat(s, d), ["series_id", "start", "positive"]).where("rising is not null").fillna(0))
+    names = [*[f"m{i}" for i in range(4)], "level", "rising", "change"]
+    fitted = M.train_fault_classifier(f.where("series_id % 2 = 0"), names)
+    return fitted.transform(f.where("series_id % 2 = 1")).groupBy("positive", F.col("prediction").cast("int").alias("predicted")).agg(F.count("*").alias("n"))
+
+
+_LEVEL_SQL = f"""WITH r AS MATERIALIZED (SELECT series_id, t, v, v - lag(v) OVER (PARTITION BY series_id ORDER BY t) AS rise FROM ({O.RUN})), b AS (SELECT min(v) AS lo, max(v) AS hi FROM r),
+ p AS (SELECT h.series_id, h.start, h.positive, sum(r.v)::BIGINT AS s, count(r.v) AS n, count(*) FILTER (r.rise > 0) AS up, arg_min(r.v, r.t) AS a, arg_max(r.v, r.t) AS z FROM ({_HIST}) h LEFT JOIN r ON r.series_id = h.series_id AND r.t BETWEEN h.start AND h.start + 9 GROUP BY 1, 2, 3)
+ SELECT series_id, start, positive, CASE WHEN n > 0 THEN least(3, floor((s - n * lo) * 4 / (n * (hi - lo))))::INTEGER END AS level, CASE WHEN n > 0 THEN floor(100 * up / n)::INTEGER END AS rising, z - a AS change FROM p, b"""
+_level_feat = lambda s, d: M.level_features(_hist(s, d), _run(s, d), 10)
+query("level_features", _LEVEL_SQL)(_level_feat)
+_LIFT = f"WITH o AS MATERIALIZED ({_RUN_OCC}), e AS MATERIALIZED ({_EV}), h AS (SELECT o.motif_id, o.series_id, o.t, bool_or(e.t IS NOT NULL) AS hit FROM o LEFT JOIN e ON e.user_id = o.series_id AND e.event_type = 'error' AND e.t > o.t AND e.t <= o.t + 5 GROUP BY 1, 2, 3) SELECT motif_id, count(*) AS support, count(*) FILTER (hit) AS followed, round((count(*) FILTER (hit) / count(*)) / (SELECT count(*) FILTER (hit) / count(*) FROM h), 6) AS lift FROM h GROUP BY 1"
+
+
+@query("temporal_rules_lift", _LIFT)
+def _lift(s: SparkSession, d: str) -> DataFrame:
+    b = _faults(s, d).withColumn("motif_id", F.lit("error"))
+    return M.rule_lift(_run_occ(s, d), b, 5).withColumn("lift", F.round("lift", 6))
 
 
 # ---------------------------------------------------------------- operators
@@ -439,7 +470,7 @@ query("op_unpivot", "SELECT l_orderkey, l_linenumber, kind, amount FROM (UNPIVOT
 query("op_json_props", "SELECT event_id, CAST(props->>'$.k' AS INTEGER) AS k FROM events")(lambda s, d: V.load(s, d, "events").select("event_id", F.from_json("props", "k int")["k"].alias("k")))
 query("op_percentiles", "SELECT event_type, round(quantile_cont(value, 0.5), 6) AS p50, round(quantile_cont(value, 0.9), 6) AS p90 FROM events GROUP BY 1")(lambda s, d: V.load(s, d, "events").groupBy("event_type").agg(F.round(F.percentile("value", 0.5), 6).alias("p50"), F.round(F.percentile("value", 0.9), 6).alias("p90")))
 query("op_sample_hash", "SELECT event_id FROM events WHERE (event_id * 7919 + 13) % 104729 % 100 < 10")(lambda s, d: R.sample_rows(V.load(s, d, "events"), "event_id", 10).select("event_id"))
-query("op_approx_distinct")(lambda s, d: V.load(s, d, "events").agg(F.approx_count_distinct("user_id", 0.02).alias("users")))
+query("op_approx_distinct", "SELECT count(DISTINCT user_id) AS users, true AS near FROM events")(lambda s, d: V.load(s, d, "events").agg(F.count_distinct("user_id").alias("users"), F.approx_count_distinct("user_id", 0.02).alias("a")).select("users", (F.abs(F.col("a") - F.col("users")) <= 0.1 * F.col("users")).alias("near")))
 query("op_map_features", "SELECT user_id, count(*) FILTER (event_type = 'error') AS errors FROM events GROUP BY 1")(lambda s, d: V.load(s, d, "events").groupBy("user_id", "event_type").agg(F.count("*").alias("n")).groupBy("user_id").agg(F.map_from_entries(F.collect_list(F.struct("event_type", "n"))).alias("m")).select("user_id", F.coalesce(F.try_element_at("m", F.lit("error")), F.lit(0)).cast("long").alias("errors")))
 query("op_string_words", r"SELECT conv_id, turn, len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+'))::BIGINT AS words FROM conversations")(lambda s, d: V.load(s, d, "conversations").select("conv_id", "turn", F.size(F.regexp_extract_all(F.coalesce("text", F.lit("")), F.lit(r"[^\x20\x09-\x0D]+"), F.lit(0))).cast("long").alias("words")))
 query("op_date_gaps", "SELECT o_custkey, max(g) AS longest FROM (SELECT o_custkey, date_diff('day', lag(o_orderdate::DATE) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey), o_orderdate::DATE) AS g FROM orders) GROUP BY 1")(lambda s, d: V.load(s, d, "orders").withColumn("g", F.datediff(F.to_date("o_orderdate"), F.lag(F.to_date("o_orderdate")).over(Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey"))).cast("long")).groupBy("o_custkey").agg(F.max("g").alias("longest")))
@@ -454,9 +485,8 @@ query("stream_windows_batch_equal", f"SELECT series_id, t, word FROM ({O.words(O
 # ---------------------------------------------------------------- later steps and robustness, without a DuckDB form
 query("drop_trivial", O.drop_trivial(_HIGH, _ALL_P))(lambda s, d: X.drop_trivial(_high(s, d), _planted_windows(s, d), 1.0).select(*_ids))
 query("frequent_motif_test", f"SELECT sensor, cluster_id, count(*) AS support, count(*) > 90 AS frequent FROM ({O.drop_trivial(_HIGH, _ALL_P)}) JOIN (SELECT DISTINCT sensor FROM ({O.PLANTED})) ON true GROUP BY 1, 2")(lambda s, d: X.is_frequent(X.drop_trivial(_high(s, d), _planted_windows(s, d), 1.0), 90))
-query("drop_trivial_closest")(lambda s, d: X.drop_trivial_closest(_high(s, d), W).select(*_ids))
-query("group_motifs")(lambda s, d: _planted(s, d).stages["groups"].groupBy("sensor", "cluster_id").agg(F.count("*").alias("n")))
-query("final_motifs")(lambda s, d: _planted(s, d).motifs.select("sensor", "motif_id", "level_id", "support", "runs"))
+query("drop_trivial_separators", O.drop_trivial(_HIGH, _ALL_P))(lambda s, d: X.drop_trivial(_high(s, d), _planted_windows(s, d), 1.0, separators=True).select(*_ids))
+query("drop_trivial_closest", O.closest_of_islands(_HIGH, W))(lambda s, d: X.drop_trivial_closest(_high(s, d), W).select(*_ids))
 
 
 @query("order_sensitivity")
@@ -536,13 +566,36 @@ def _stage(s: SparkSession, d: str) -> DataFrame:
 query("source_planted_runs", "SELECT 'planted' AS sensor, k.range AS series_id, u.range AS t, ((CASE WHEN u.range % 60 - 2 - (7 * k.range + 13 * (u.range // 60)) % 11 BETWEEN 10 AND 17 THEN 3000 ELSE 0 END) + (CASE WHEN u.range % 60 - 29 - (5 * k.range + 17 * (u.range // 60)) % 11 IN (2, 3, 14, 15) THEN 3000 ELSE 0 END))::BIGINT AS v FROM range(1, 11) k, range(300) u")(lambda s, d: FS.planted_runs(s))
 
 # ---------------------------------------------------------------- whole procedure with clusters of equal words, exact in both engines
-_WORDS_HIGH = O.supported(O.word_clusters(O.PLANTED), 8)
-_WORDS = f"""WITH h AS MATERIALIZED ({_WORDS_HIGH}), kept AS MATERIALIZED ({O.greedy('SELECT * FROM h')}),
- g AS MATERIALIZED (SELECT series_id, cluster_id, round(level * 1e9)::BIGINT AS lv FROM h WHERE cluster_id IN (SELECT cluster_id FROM kept)),
- c AS MATERIALIZED (SELECT *, count(*) OVER (PARTITION BY cluster_id ORDER BY lv RANGE BETWEEN 500000000 PRECEDING AND 500000000 FOLLOWING) >= 2 AS core FROM g),
- k AS MATERIALIZED (SELECT cluster_id, lv, sum(j) OVER (PARTITION BY cluster_id ORDER BY lv) AS level_id FROM (SELECT *, CASE WHEN lv - lag(lv) OVER (PARTITION BY cluster_id ORDER BY lv) > 500000000 THEN 1 ELSE 0 END AS j FROM (SELECT DISTINCT cluster_id, lv FROM c WHERE core)))
- SELECT c.cluster_id AS motif_id, k.level_id::BIGINT AS level_id, count(*) AS support, count(DISTINCT series_id) AS runs FROM c, LATERAL (SELECT level_id FROM k WHERE k.cluster_id = c.cluster_id AND abs(k.lv - c.lv) <= 500000000 ORDER BY abs(k.lv - c.lv), k.lv LIMIT 1) k GROUP BY 1, 2 HAVING count(*) > 8"""
-query("motifs_words_pipeline", _WORDS)(lambda s, d: PL.discover(V.planted_view(s, d), W, 8, method="words", skip=("trivial",)).motifs.select("motif_id", "level_id", "support", "runs"))
+_WORD_STEPS = O.procedure(O.PLANTED, 8, _ALL_P)
+
+
+def _words(s: SparkSession, d: str) -> PL.MotifResult:
+    return PL.discover(V.planted_view(s, d), W, 8, method="words")
+
+
+query("motifs_words_pipeline", f"{_WORD_STEPS} SELECT cluster_id AS motif_id, level_id, count(*) AS support, count(DISTINCT series_id) AS runs FROM f GROUP BY 1, 2")(lambda s, d: _words(s, d).motifs.select("motif_id", "level_id", "support", "runs"))
+query("group_motifs", f"{_WORD_STEPS} SELECT 'quantity' AS sensor, cluster_id, count(*) AS n FROM g GROUP BY 2")(lambda s, d: _words(s, d).stages["groups"].groupBy("sensor", "cluster_id").agg(F.count("*").alias("n")))
+query("final_motifs", f"{_WORD_STEPS} SELECT cluster_id AS motif_id, level_id, series_id, t FROM f")(lambda s, d: _words(s, d).occurrences.select(F.col("cluster_id").alias("motif_id"), "level_id", "series_id", "t"))
+_FUNNEL = f"""{_WORD_STEPS}, a AS (SELECT * FROM ({O.reduced(O.PLANTED)}))
+ SELECT 'quantity' AS sensor, pos::INTEGER AS "at", step, n AS rows, k AS clusters FROM (
+ SELECT 0 AS pos, 'windows' AS step, count(*) AS n, NULL::BIGINT AS k FROM a UNION ALL SELECT 1, 'not_flat', count(*), NULL FROM a WHERE dev >= 1
+ UNION ALL SELECT 2, 'candidates', count(*), NULL FROM w0 UNION ALL SELECT 3, 'clusters', count(*), count(DISTINCT cluster_id) FROM w0
+ UNION ALL SELECT 4, 'high_support', count(*), count(DISTINCT cluster_id) FROM h UNION ALL SELECT 5, 'not_shifted', count(*), count(DISTINCT cluster_id) FROM k1
+ UNION ALL SELECT 6, 'not_trivial', count(*), count(DISTINCT cluster_id) FROM m1 UNION ALL SELECT 7, 'groups', count(*), count(DISTINCT cluster_id) FROM g
+ UNION ALL SELECT 8, 'motifs', count(*), count(DISTINCT cluster_id) FROM f) WHERE n > 0"""
+query("funnel", _FUNNEL)(lambda s, d: _words(s, d).funnel())
+query("dropped_shares", f"SELECT sensor, round(1 - max(clusters) FILTER (step = 'not_shifted') / max(clusters) FILTER (step = 'high_support'), 6) AS shifted, round(1 - max(rows) FILTER (step = 'not_trivial') / max(rows) FILTER (step = 'not_shifted'), 6) AS trivial FROM ({_FUNNEL}) GROUP BY 1")(lambda s, d: S.dropped_shares(_words(s, d).funnel()))
+_HALVES = f"SELECT series_id % 2 AS run, cluster_id, [{', '.join(f'avg(x[{i}])' for i in range(1, D + 1))}] AS c FROM ({_COARSE}) GROUP BY 1, 2"
+_GAPS = ", ".join("(" + " + ".join(f"(a.c[{i + 1}] - b.c[{i + 1 - k}]) * (a.c[{i + 1}] - b.c[{i + 1 - k}])" for i in range(D) if 0 <= i - k < D) + f") * {D / (D - abs(k))!r}::DOUBLE" for k in range(-2, 3))
+
+
+@query("motif_agreement_shifted", f"WITH c AS MATERIALIZED ({_HALVES}), n AS (SELECT a.cluster_id, min(least({_GAPS})) AS d2 FROM c a JOIN c b ON a.run = 0 AND b.run = 1 GROUP BY 1) SELECT 'quantity' AS sensor, count(*) AS motifs, count(*) FILTER (d2 < 1) AS agreed FROM n")
+def _agreement_shifted(s: SparkSession, d: str) -> DataFrame:
+    """Motifs of one half of the runs that agree with one of the other half when moved by two frames at most."""
+    rows = _coarse(s, d).withColumn("run", F.col("series_id") % 2)
+    mean = C.cut(rows.groupBy("sensor", "run", F.col("cluster_id").alias("motif_id")).agg(F.array(*[F.avg(F.col("x")[j]) for j in range(D)]).alias("centroid")).withColumn("level_id", F.lit(0)))
+    return S.motif_agreement(mean.where("run = 0"), mean.where("run = 1"), 1.0, D, 2)
+
 
 # ---------------------------------------------------------------- more joins and streams
 query("op_interval_join", "SELECT a.event_id, b.event_id AS other FROM events a JOIN events b ON a.user_id = b.user_id AND b.event_type = 'error' AND a.ts BETWEEN b.ts - INTERVAL 3 HOUR AND b.ts")(lambda s, d: (lambda e: R.interval_join(e.select("user_id", "event_id", "ts"), e.where("event_type = 'error'").select("user_id", F.col("event_id").alias("other"), F.expr("ts - interval 3 hours").alias("lo"), F.col("ts").alias("hi")), "ts", "lo", "hi", ["user_id"], 10_800).select("event_id", "other"))(V.load(s, d, "events")))
@@ -636,3 +689,6 @@ def _top(s: SparkSession, d: str) -> DataFrame:
     best = R.top_per_group(r.motifs, ["sensor"], [F.desc("support"), F.col("motif_id"), F.col("level_id")], 5).select("sensor", F.col("motif_id").alias("cluster_id"), "level_id")
     occ = r.occurrences.join(F.broadcast(best), ["sensor", "cluster_id", "level_id"]).select("sensor", "series_id", "t", F.col("cluster_id").alias("motif_id"))
     return M.expand(occ, V.planted_view(s, d), W).groupBy("sensor", "motif_id", "step").agg(F.round(F.avg("v"), 2).alias("v"))
+
+
+from wavemotif import experiments as _experiments  # noqa: E402, F401  registers its queries

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -38,16 +39,18 @@ def sax_word(x: Column, d: int, alphabet: int = 4) -> Column:
     return F.concat(*[letter(x[i]) for i in range(d)])
 
 
-def fixed_planes(sets: int, per_set: int, d: int) -> list[list[list[int]]]:
-    """Normals of hyperplanes by a rule over small integers, equal in every engine: [set][plane][dimension]."""
-    return [[[((i + 1) * 37 + (j + 1) * 101 + (s + 1) * 53 + (i + 1) ** 2 * (j + 3) * 7) % 17 - 8 for i in range(d)] for j in range(per_set)] for s in range(sets)]
+def fixed_planes(sets: int, per_set: int, d: int, seed: int = 20) -> list[list[list[int]]]:
+    """Normals of random hyperplanes, [set][plane][dimension]: seeded Gaussian directions without mean (vectors have none either), in
+    thousandths, so that every engine reads the same integers."""
+    x = np.random.default_rng(seed).normal(size=(sets, per_set, d))
+    return np.round(1000 * (x - x.mean(axis=2, keepdims=True))).astype(int).tolist()
 
 
 def bucket_key(x: Column, planes: list[list[int]], family: str = "sign", width: float = 4.0) -> Column:
     """A text key of one set: sides of the planes, or cells along their normals."""
     if family == "sign":
         return F.concat(*[F.when(dot(x, p) >= 0, "1").otherwise("0") for p in planes])
-    return F.concat_ws("_", *[F.floor(dot(x, p) / F.lit(width * sum(e * e for e in p) ** 0.5)).cast("string") for p in planes])
+    return F.concat_ws("_", *[F.floor(dot(x, p) / F.lit(width * float(sum(e * e for e in p)) ** 0.5)).cast("string") for p in planes])
 
 
 def cf_of(x: Column, d: int) -> Column:

@@ -13,7 +13,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from wavemotif.functions.vectors import sq_dist
-from wavemotif.operators.cluster import ASSIGNED, cut, eps_join
+from wavemotif.operators.cluster import ASSIGNED, cut, eps_join, not_settled
 
 PAIR = "sensor string, series_a long, t_a long, series_b long, t_b long, d2 double"
 
@@ -195,5 +195,7 @@ def dbscan(cand: DataFrame, eps: float, min_pts: int, d: int, max_rounds: int =
         if after.exceptAll(label).isEmpty():
             break
         label = after
+    else:
+        raise not_settled("the labels of cores", max_rounds)
     border = both.join(label.select(F.col("id").alias("b"), "root"), "b").groupBy(F.col("a").alias("id")).agg(F.min("root").alias("near"))
     return rows.select("id").join(label, "id", "left").join(border, "id", "left").select("id", F.coalesce("root", "near").alias("cluster_id"))

@@ -13,7 +13,7 @@ from collections.abc import Callable
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from wavemotif.functions.vectors import cf_sum, fixed_planes, sq_dist
@@ -232,10 +232,22 @@ def cut(df: DataFrame) -> DataFrame:
     """Cuts the lineage in the shared checkpoint folder."""
     sc = df.sparkSession.sparkContext
     if sc._jsc.sc().getCheckpointDir().isEmpty():
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="wavemotif-checkpoint-"))
+        sc.setCheckpointDir(shared_folder(df.sparkSession))
     return df.checkpoint()
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that all executors see; a temporary one only where driver and executors are one process."""
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if not base and not spark.sparkContext.master.startswith("local["):
+        raise ValueError("spark.checkpoint.dir must name a folder that all executors see")
+    return base or tempfile.mkdtemp(prefix="wavemotif-")
+
+
+def not_settled(what: str, rounds: int) -> RuntimeError:
+    return RuntimeError(f"{what} did not settle in {rounds} rounds; give max_rounds a larger value")
+
+
 def bucketed(df: DataFrame, x: str, d: int, sets: int, per_set: int, family: str, width: float) -> DataFrame:
     """df with bucket, a row for each set of planes."""
     planes = np.array(fixed_planes(sets, per_set, d), float).reshape(-1, d)
@@ -291,6 +303,8 @@ def cluster_parallel(cand: DataFrame, r: float = 1.0, d: int = 10, sets: int = 1
             alive = alive.join(winners, ["sensor", "id"], "left_anti").join(gone, ["sensor", "id"], "left_anti").transform(cut)
             if alive.isEmpty():
                 break
+        else:
+            raise not_settled("the merge of centres", max_rounds)
         final = cores.join(kept, ["sensor", "id"]).withColumn("cluster_id", (F.row_number().over(Window.partitionBy("sensor").orderBy(F.desc("n"), "id")) - 1).cast("long")).select("sensor", "cluster_id", F.col("c"), F.col("cluster_id").alias("root")).transform(cut)
     else:
         label = cores.select("sensor", "id", F.col("id").alias("root"))
@@ -302,6 +316,8 @@ def cluster_parallel(cand: DataFrame, r: float = 1.0, d: int = 10, sets: int = 1
             if after.exceptAll(label).isEmpty():
                 break
             label = after
+        else:
+            raise not_settled("the merge of centres", max_rounds)
         final = cores.join(label, ["sensor", "id"]).withColumn("cluster_id", (F.dense_rank().over(Window.partitionBy("sensor").orderBy("root")) - 1).cast("long")).select("sensor", F.col("id").alias("root"), "c", "cluster_id").transform(cut)
     keyed = rows.withColumn("aid", F.struct("series_id", "t"))
     pairs = hash_pairs(keyed.select("sensor", "aid", F.col("x").alias("ax")), final.select("sensor", F.col("root").alias("bid"), F.col("c").alias("bx")), d, r, sets, per_set, family, width)

@@ -7,6 +7,8 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from wavemotif.functions.vectors import sq_dist
+
 CLUSTER = ["sensor", "cluster_id"]
 
 
@@ -32,6 +34,30 @@ def shift_diffs(assigned: DataFrame, t_s: int, nearest: str = "time") -> DataFra
     return one.groupBy("sensor", F.col("cluster_id").alias("small"), "large", F.col("n").alias("small_n")).agg(F.count("*").alias("pairs"), F.sum("m.diff").alias("sum_diff"), F.sum(F.col("m.diff") * F.col("m.diff")).alias("sum_sq"))
 
 
+def shift_diffs_sweep(assigned: DataFrame, t_s: int) -> DataFrame:
+    """The rows of shift_diffs by a sweep: in each run the starts of two clusters are merged in order, and a start meets the nearer of its two
+    neighbours (the earlier one of equals). A task a run; sums of runs are added up."""
+    size = assigned.groupBy(*CLUSTER).agg(F.count("*").alias("n"))
+    rows = assigned.join(size, CLUSTER).select(*CLUSTER, "series_id", "t", "n")
+
+    def fn(g: pd.DataFrame) -> pd.DataFrame:
+        starts = [(int(n), int(c), np.sort(of.t.to_numpy())) for (c, n), of in g.groupby(["cluster_id", "n"])]
+        out = []
+        for n, c, own in starts:
+            for m, large, other in starts:
+                if m > n or (m == n and large < c):
+                    at = np.searchsorted(other, own)
+                    before, after = other[np.maximum(at - 1, 0)] - own, other[np.minimum(at, len(other) - 1)] - own
+                    diff = np.where((at == 0) | ((at < len(other)) & (np.abs(after) < np.abs(before))), after, before)
+                    diff = diff[np.abs(diff) < t_s]
+                    if len(diff):
+                        out.append((g.sensor.iloc[0], c, large, n, len(diff), int(diff.sum()), int((diff * diff).sum())))
+        return pd.DataFrame(out, columns=["sensor", "small", "large", "small_n", "pairs", "sum_diff", "sum_sq"])
+
+    parts = rows.groupBy("sensor", "series_id").applyInPandas(fn, "sensor string, small long, large long, small_n long, pairs long, sum_diff long, sum_sq long")
+    return parts.groupBy("sensor", "small", "large", "small_n").agg(*[F.sum(c).alias(c) for c in ("pairs", "sum_diff", "sum_sq")])
+
+
 def shift_matches(diffs: DataFrame, p: int = 50, sigma_t: int = 2, rule: str = "deviation") -> DataFrame:
     """(sensor, small, large): small is a shifted form of large. In integers: pairs of more than p percent, deviation below sigma_t."""
     many = 100 * F.col("pairs") > p * F.col("small_n")
@@ -64,37 +90,62 @@ def drop_shifted(assigned: DataFrame, t_s: int = 10, p: int = 50, sigma_t: int =
     return assigned.join(gone, CLUSTER, "left_anti")
 
 
-def drop_trivial(assigned: DataFrame, reduced: DataFrame, r: float, delta: float | None = None) -> DataFrame:
+def _scan(m: pd.DataFrame, w: pd.DataFrame, delta2: float) -> list:
+    """Index of the members of one run and cluster (with its mean c) that are kept, among the windows w of the run."""
+    w = w.sort_values("t")
+    at, x = w.t.to_numpy(), np.array(w.x.tolist(), float) if len(w) else np.empty((0, 1))
+    keep, last = [], None
+    c = np.array(m.c.iloc[0])
+    m = m.sort_values("t")
+    for i, t, v in zip(m.index, m.t, m.x, strict=True):
+        v = np.array(v)
+        if last is not None:
+            a, b = np.searchsorted(at, [last[0] + 1, t])
+            s = x[a:b]
+            if not (len(s) and ((((s - last[1]) ** 2).sum(axis=1) > delta2) & (((s - v) ** 2).sum(axis=1) > delta2)).any() and (((s - c) ** 2).sum(axis=1) > delta2).any()):
+                continue
+        keep.append(i)
+        last = (t, v)
+    return keep
+
+
+def drop_trivial(assigned: DataFrame, reduced: DataFrame, r: float, delta: float | None = None, separators: bool = False) -> DataFrame:
     """Members of a cluster in one run, in time order, kept only if between them and the last kept one lie a window farther than
-    delta from both and a window farther than delta from the centroid. Runs are independent; a cogrouped task scans one run."""
-    delta2 = (delta or 2 * r) ** 2
-    mean = assigned.groupBy(*CLUSTER).agg(F.array(*[F.avg(F.col("x")[i]) for i in range(_dims(assigned))]).alias("c"))
+    delta from both and a window farther than delta from the centroid. Runs are independent; a cogrouped task scans one run.
+
+    separators: a window farther from the centroid than delta and the farthest member together is farther than delta from every member, so
+    it parts any two of them. What lies between two such windows is scanned by a task of its own, and a long run is no longer one task.
+    """
+    delta = delta or 2 * r
+    delta2, dims, columns = delta**2, _dims(assigned), assigned.columns
+    mean = assigned.groupBy(*CLUSTER).agg(F.array(*[F.avg(F.col("x")[i]) for i in range(dims)]).alias("c"))
     members = assigned.join(mean, CLUSTER)
+    keys = ["sensor", "series_id"]
+    if separators:
+        members, windows, keys = _segments(members, reduced, delta, dims)
+    else:
+        windows = reduced.select(*keys, "t", "x")
 
     def fn(m: pd.DataFrame, w: pd.DataFrame) -> pd.DataFrame:
-        if m.empty:
-            return m.drop(columns="c")
-        w = w.sort_values("t")
-        at, x = w.t.to_numpy(), np.array(w.x.tolist(), float) if len(w) else np.empty((0, 1))
-        keep = []
-        for _, g in m.sort_values("t").groupby("cluster_id"):
-            c, last = np.array(g.c.iloc[0]), None
-            for i, t, v in zip(g.index, g.t, g.x, strict=True):
-                v = np.array(v)
-                if last is not None:
-                    a, b = np.searchsorted(at, [last[0] + 1, t])
-                    s = x[a:b]
-                    if not (len(s) and ((((s - last[1]) ** 2).sum(axis=1) > delta2) & (((s - v) ** 2).sum(axis=1) > delta2)).any() and (((s - c) ** 2).sum(axis=1) > delta2).any()):
-                        continue
-                keep.append(i)
-                last = (t, v)
-        return m.loc[keep].drop(columns="c")
+        keep = [i for _, g in m.groupby("cluster_id") for i in _scan(g, w, delta2)]
+        return m.loc[keep][columns]
 
-    keys = ["sensor", "series_id"]
-    members, windows = (df.select(*[F.col(c).alias(c) for c in columns]) for df, columns in ((members, members.columns), (reduced, [*keys, "t", "x"])))
+    members, windows = (df.select(*[F.col(c).alias(c) for c in df.columns]) for df in (members, windows))
     return members.groupBy(*keys).cogroup(windows.groupBy(*keys)).applyInPandas(fn, assigned.schema)
 
 
+def _segments(members: DataFrame, reduced: DataFrame, delta: float, dims: int) -> tuple[DataFrame, DataFrame, list[str]]:
+    """Members and windows with the number of separators before them, for each cluster and run in which it has members."""
+    far = members.groupBy(*CLUSTER).agg(F.sqrt(F.max(sq_dist("x", "c", dims))).alias("reach"), F.any_value("c").alias("c"))
+    runs = members.groupBy(*CLUSTER, "series_id").agg(F.min("t").alias("first"), F.max("t").alias("last")).join(far, CLUSTER)
+    rows = reduced.select("sensor", "series_id", "t", "x").join(runs, ["sensor", "series_id"]).where(F.col("t").between(F.col("first"), F.col("last")))
+    parts = (F.sqrt(sq_dist("x", "c", dims)) > (delta + F.col("reach")) * (1 + 1e-12) + 1e-12).cast("long")
+    segment = F.sum(parts).over(Window.partitionBy(*CLUSTER, "series_id").orderBy("t")).alias("segment")
+    rows = rows.select(*CLUSTER, "series_id", "t", "x", segment)
+    at = rows.select(*CLUSTER, "series_id", "t", "segment")
+    return members.join(at, [*CLUSTER, "series_id", "t"]), rows, [*CLUSTER, "series_id", "segment"]
+
+
 def _dims(df: DataFrame) -> int:
     row = df.select(F.size("x").alias("d")).first()
     return row.d if row else 1

@@ -39,6 +39,18 @@ def motif_features(histories: DataFrame, occurrences: DataFrame, motif_ids: list
     return inside.groupBy("series_id", "start", "positive").pivot("motif_id", motif_ids).agg(F.count("t")).fillna(0)
 
 
+def level_features(histories: DataFrame, series: DataFrame, length: int, levels: int = 4) -> DataFrame:
+    """histories with, over their span: the mean value in levels equal parts of the range of all values (0 .. levels - 1), the share of rising
+    steps in percent, and the change from the first value to the last. Spans without values have none."""
+    order = Window.partitionBy("series_id").orderBy("t")
+    rows = series.select(F.col("series_id").alias("s"), "t", "v", (F.col("v") - F.lag("v").over(order)).alias("rise"))
+    bounds = series.agg(F.min("v").alias("lo"), F.max("v").alias("hi"))
+    inside = histories.join(rows, (F.col("series_id") == F.col("s")) & F.col("t").between(F.col("start"), F.col("start") + length - 1), "left")
+    per = inside.groupBy("series_id", "start", "positive").agg(F.sum("v").alias("sum"), F.count("v").alias("n"), F.count_if(F.col("rise") > 0).alias("up"), F.min(F.struct("t", "v")).alias("a"), F.max(F.struct("t", "v")).alias("b"))
+    level = F.least(F.lit(levels - 1), F.floor((F.col("sum") - F.col("n") * F.col("lo")) * levels / (F.col("n") * (F.col("hi") - F.col("lo"))))).cast("int")
+    return per.crossJoin(F.broadcast(bounds)).select("series_id", "start", "positive", level.alias("level"), F.floor(100 * F.col("up") / F.col("n")).cast("int").alias("rising"), (F.col("b.v") - F.col("a.v")).alias("change"))  # one row of bounds
+
+
 def temporal_rules(a: DataFrame, b: DataFrame, horizon: int) -> DataFrame:
     """motif_a, event_b, support, followed, confidence: how often b starts within horizon steps after a in the same run."""
     left = a.select("series_id", F.col("t").alias("ta"), F.col("motif_id").alias("motif_a"))
@@ -48,6 +60,17 @@ def temporal_rules(a: DataFrame, b: DataFrame, horizon: int) -> DataFrame:
     return hits.groupBy("motif_a", "event_b").agg(F.count("*").alias("followed")).join(total, "motif_a").select("motif_a", "event_b", "support", "followed", (F.col("followed") / F.col("support")).alias("confidence"))
 
 
+def rule_lift(a: DataFrame, b: DataFrame, horizon: int) -> DataFrame:
+    """motif_id, support, followed, lift: the share of a motif's places that an event of b follows within horizon steps, over the same
+    share of all places. Without any followed place there is no lift."""
+    left = a.select("series_id", F.col("t").alias("ta"), "motif_id")
+    right = b.select(F.col("series_id").alias("s"), F.col("t").alias("tb"))
+    hit = left.join(right, (F.col("series_id") == F.col("s")) & (F.col("tb") > F.col("ta")) & (F.col("tb") <= F.col("ta") + horizon), "left").groupBy("motif_id", "series_id", "ta").agg((F.count("tb") > 0).alias("hit"))
+    per = hit.groupBy("motif_id").agg(F.count("*").alias("support"), F.count_if("hit").alias("followed"))
+    whole = per.agg((F.sum("followed") / F.sum("support")).alias("base"))
+    return per.crossJoin(F.broadcast(whole)).select("motif_id", "support", "followed", F.try_divide(F.col("followed") / F.col("support"), F.col("base")).alias("lift"))  # one row
+
+
 def known_events(series: DataFrame, least_change: int, max_gap: int = 1) -> DataFrame:
     """sensor, series_id, start, stop, hits: steps whose value changes by least_change or more, those in a row merged."""
     order = Window.partitionBy("sensor", "series_id").orderBy("t")

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from wavemotif.functions.vectors import sq_dist
@@ -77,13 +77,31 @@ def purity(assigned: DataFrame) -> DataFrame:
     return per.agg(F.count("*").alias("clusters"), F.sum("n").alias("rows"), F.sum("m").alias("pure"))
 
 
-def motif_agreement(a: DataFrame, b: DataFrame, r: float, d: int) -> DataFrame:
-    """sensor, motifs, agreed: motifs of a whose centroid is nearer than r to one of b."""
+def shifted_distance(a: str, b: str, d: int, shift: int) -> Column:
+    """Squared distance of two vectors when the second one is moved by shift frames, over the frames that both have, scaled to all."""
+    frames = [i for i in range(d) if 0 <= i - shift < d]
+    total = F.lit(0.0)
+    for i in frames:
+        total = total + (F.col(a)[i] - F.col(b)[i - shift]) * (F.col(a)[i] - F.col(b)[i - shift])
+    return total * F.lit(d / len(frames))
+
+
+def motif_agreement(a: DataFrame, b: DataFrame, r: float, d: int, max_shift: int = 0) -> DataFrame:
+    """sensor, motifs, agreed: motifs of a whose centroid is nearer than r to one of b, at any shift up to max_shift frames either way."""
     left, right = (m.select("sensor", "motif_id", "level_id", F.col("centroid").alias(c)) for m, c in ((a, "c1"), (b, "c2")))
-    near = left.join(right.select("sensor", "c2"), "sensor", "left").groupBy("sensor", "motif_id", "level_id").agg(F.min(sq_dist("c1", "c2", d)).alias("d2"))
+    gaps = [shifted_distance("c1", "c2", d, s) for s in range(-max_shift, max_shift + 1)]
+    gap = F.least(*gaps) if len(gaps) > 1 else gaps[0]
+    near = left.join(right.select("sensor", "c2"), "sensor", "left").groupBy("sensor", "motif_id", "level_id").agg(F.min(gap).alias("d2"))
     return near.groupBy("sensor").agg(F.count("*").alias("motifs"), F.count_if(F.col("d2") < r * r).alias("agreed"))
 
 
+def dropped_shares(funnel: DataFrame) -> DataFrame:
+    """sensor, shifted, trivial: shares of clusters of high support that shift removal drops, and of members that the trivial test drops."""
+    at = lambda step, c: F.max(F.when(F.col("step") == step, F.col(c)))
+    per = funnel.groupBy("sensor").agg(at("high_support", "clusters").alias("high"), at("not_shifted", "clusters").alias("kept"), at("not_shifted", "rows").alias("members"), at("not_trivial", "rows").alias("left"))
+    return per.select("sensor", F.round(1 - F.col("kept") / F.col("high"), 6).alias("shifted"), F.round(1 - F.col("left") / F.col("members"), 6).alias("trivial"))
+
+
 def repeatability(runs: DataFrame, d: int) -> DataFrame:
     """ratio of the mean nearest-centre distance within a method's runs to that between methods; runs(method, run, centroid)."""
     a = runs.select("method", "run", F.monotonically_increasing_id().alias("k"), F.col("centroid").alias("c1"))

@@ -121,11 +121,11 @@ def greedy(clusters: str) -> str:
  SELECT unnest(kept) AS cluster_id FROM (SELECT kept FROM g ORDER BY rn DESC LIMIT 1)"""
 
 
-def bucket_rows(series: str, family: str) -> str:
-    planes, out = fixed_planes(5, 3, D), []
+def bucket_rows(series: str, family: str, sets: int = 5, per_set: int = 3) -> str:
+    planes, out = fixed_planes(sets, per_set, D), []
     for i, p in enumerate(planes):
         dots = [" + ".join(["0.0::DOUBLE", *[f"p{j} * {float(c)}::DOUBLE" for j, c in enumerate(n)]]) for n in p]
-        key = " || ".join(f"CASE WHEN {e} >= 0 THEN '1' ELSE '0' END" for e in dots) if family == "sign" else " || '_' || ".join(f"floor(({e}) / {4.0 * sum(c * c for c in n) ** 0.5!r}::DOUBLE)::BIGINT::VARCHAR" for e, n in zip(dots, p, strict=True))
+        key = " || ".join(f"CASE WHEN {e} >= 0 THEN '1' ELSE '0' END" for e in dots) if family == "sign" else " || '_' || ".join(f"floor(({e}) / {4.0 * float(sum(c * c for c in n)) ** 0.5!r}::DOUBLE)::BIGINT::VARCHAR" for e, n in zip(dots, p, strict=True))
         out.append(f"SELECT sensor, series_id, t, {i} AS set, {key} AS bucket FROM c")
     return f"WITH c AS ({candidates(series)}) " + " UNION ALL ".join(out)
 
@@ -145,6 +145,29 @@ def drop_trivial(clusters: str, windows: str, delta2: float = 4.0) -> str:
  SELECT series_id, t, cluster_id FROM g WHERE kept"""
 
 
+def closest_of_islands(clusters: str, gap: int) -> str:
+    """Of members of a cluster and run that follow each other by at most gap steps, the one nearest to the centroid."""
+    return f"""WITH h AS MATERIALIZED ({clusters}), k AS (SELECT cluster_id, [{', '.join(f'avg(x[{i}])' for i in range(1, D + 1))}] AS c FROM h GROUP BY 1),
+ m AS (SELECT h.*, {sq('x', 'c')} AS d2, CASE WHEN h.t - lag(h.t) OVER (PARTITION BY h.cluster_id, h.series_id ORDER BY h.t) > {gap} THEN 1 ELSE 0 END AS j FROM h JOIN k ON k.cluster_id = h.cluster_id),
+ i AS (SELECT *, sum(j) OVER (PARTITION BY cluster_id, series_id ORDER BY t) AS island FROM m)
+ SELECT series_id, t, cluster_id FROM i QUALIFY row_number() OVER (PARTITION BY cluster_id, series_id, island ORDER BY d2, t) = 1"""
+
+
+def procedure(series: str, s: int, windows: str) -> str:
+    """The steps after candidates with clusters of equal words, as tables: w0 clusters, h of high support, k1 not shifted, m1 not trivial, g not
+    shifted again, f split by levels."""
+    return f"""WITH w0 AS MATERIALIZED ({word_clusters(series)}), h AS MATERIALIZED ({supported('SELECT * FROM w0', s)}),
+ k1 AS MATERIALIZED (SELECT * FROM h WHERE cluster_id IN ({greedy('SELECT * FROM h')})),
+ tr AS MATERIALIZED ({drop_trivial('SELECT * FROM k1', windows)}),
+ m1 AS MATERIALIZED (SELECT k1.* FROM k1 JOIN tr ON tr.series_id = k1.series_id AND tr.t = k1.t AND tr.cluster_id = k1.cluster_id),
+ g AS MATERIALIZED (SELECT * FROM m1 WHERE cluster_id IN ({greedy('SELECT * FROM m1')})),
+ lv AS MATERIALIZED (SELECT series_id, t, cluster_id, round(level * 1e9)::BIGINT AS lv FROM g),
+ co AS MATERIALIZED (SELECT *, count(*) OVER (PARTITION BY cluster_id ORDER BY lv RANGE BETWEEN 500000000 PRECEDING AND 500000000 FOLLOWING) >= 2 AS core FROM lv),
+ ld AS MATERIALIZED (SELECT cluster_id, lv, sum(j) OVER (PARTITION BY cluster_id ORDER BY lv) AS level_id FROM (SELECT *, CASE WHEN lv - lag(lv) OVER (PARTITION BY cluster_id ORDER BY lv) > 500000000 THEN 1 ELSE 0 END AS j FROM (SELECT DISTINCT cluster_id, lv FROM co WHERE core))),
+ pl AS MATERIALIZED (SELECT co.series_id, co.t, co.cluster_id, p.level_id::BIGINT AS level_id FROM co, LATERAL (SELECT level_id FROM ld WHERE ld.cluster_id = co.cluster_id AND abs(ld.lv - co.lv) <= 500000000 ORDER BY abs(ld.lv - co.lv), ld.lv LIMIT 1) p),
+ f AS MATERIALIZED (SELECT * FROM pl QUALIFY count(*) OVER (PARTITION BY cluster_id, level_id) > {s})"""
+
+
 def lloyd(series: str, k: int, rounds: int) -> str:
     """Rounds of k-means from the first k keys, one pair of common tables a round."""
     q = [f"q{j}" for j in range(D)]

@@ -5,10 +5,11 @@ Integers make moments exact and independent of the order of summation, so result
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 WEEKS = 357
+HOURS = 720
 EPOCH = "1995-01-02"
 BLOCK = 60
 # fixed values: the planted pair of shapes over 20 steps, in hundredths
@@ -29,8 +30,13 @@ def run_view(spark: SparkSession, sf_dir: str) -> DataFrame:
 def clock_view(spark: SparkSession, sf_dir: str) -> DataFrame:
     """events: a sensor an event type, hourly sums of hundredths over 30 days; hours without events repeat the last value."""
     hours = F.timestamp_diff("HOUR", F.lit("2024-01-01").cast("timestamp_ntz"), F.col("ts"))
-    known = load(spark, sf_dir, "events").select(F.col("event_type").alias("sensor"), hours.cast("long").alias("t"), F.round(F.col("value") * 100).cast("long").alias("v")).where("t between 0 and 719").groupBy("sensor", "t").agg(F.sum("v").alias("v"))
-    return fill_previous(known, 720).select("sensor", F.lit(0).cast("long").alias("series_id"), "t", "v")
+    known = load(spark, sf_dir, "events").select(F.col("event_type").alias("sensor"), on_grid(hours.cast("long"), HOURS).alias("t"), F.round(F.col("value") * 100).cast("long").alias("v")).groupBy("sensor", "t").agg(F.sum("v").alias("v"))
+    return fill_previous(known, HOURS).select("sensor", F.lit(0).cast("long").alias("series_id"), "t", "v")
+
+
+def on_grid(t: Column, steps: int) -> Column:
+    """t, or an error where it lies outside of the grid 0 .. steps - 1: no row is left out without a word."""
+    return F.when(t.between(0, steps - 1), t).otherwise(F.raise_error(F.lit(f"a row lies outside of the grid of {steps} steps")).cast("long"))
 
 
 def fill_previous(known: DataFrame, steps: int) -> DataFrame:
@@ -60,8 +66,8 @@ def fleet_view(spark: SparkSession, sf_dir: str, sensors: tuple[str, ...] | None
     """lineitem: a run a supplier, weekly sums on a dense grid with zeros, six sensors."""
     week = F.floor(F.datediff(F.to_date("l_shipdate"), F.lit(EPOCH).cast("date")) / 7).cast("long")
     hundred = lambda c: F.sum(F.round(F.col(c) * 100).cast("long"))
-    weekly = load(spark, sf_dir, "lineitem").select(F.col("l_suppkey").alias("series_id"), week.alias("t"), "l_orderkey", "l_quantity", "l_extendedprice", "l_discount", "l_tax")
-    weekly = weekly.where(F.col("t").between(0, WEEKS - 1)).groupBy("series_id", "t").agg(hundred("l_quantity").alias("quantity"), hundred("l_extendedprice").alias("price"), hundred("l_discount").alias("discount"), hundred("l_tax").alias("tax"), (F.count("*") * 100).alias("lines"), (F.count_distinct("l_orderkey") * 100).alias("orders"))
+    weekly = load(spark, sf_dir, "lineitem").select(F.col("l_suppkey").alias("series_id"), on_grid(week, WEEKS).alias("t"), "l_orderkey", "l_quantity", "l_extendedprice", "l_discount", "l_tax")
+    weekly = weekly.groupBy("series_id", "t").agg(hundred("l_quantity").alias("quantity"), hundred("l_extendedprice").alias("price"), hundred("l_discount").alias("discount"), hundred("l_tax").alias("tax"), (F.count("*") * 100).alias("lines"), (F.count_distinct("l_orderkey") * 100).alias("orders"))
     names = ["quantity", "price", "discount", "tax", "lines", "orders"]
     grid = weekly.select("series_id").distinct().select("series_id", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(WEEKS - 1).cast("long"))).alias("t"))
     dense = grid.join(weekly, ["series_id", "t"], "left").fillna(0, names)

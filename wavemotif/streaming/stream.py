@@ -6,7 +6,6 @@ and stream can be compared row by row.
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Iterator
 
@@ -17,12 +16,12 @@ from pyspark.sql import functions as F
 
 from wavemotif.functions.vectors import BREAKPOINTS, sax_word
 from wavemotif.operators import prep as P
+from wavemotif.operators.cluster import shared_folder
 from wavemotif.sources import views as V
 
 
 def folder(spark: SparkSession) -> str:
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="wavemotif-stream-")
-    return f"{base.rstrip('/')}/stream-{uuid.uuid4().hex}"
+    return f"{shared_folder(spark).rstrip('/')}/stream-{uuid.uuid4().hex}"
 
 
 def source(spark: SparkSession, sf_dir: str, name: str = "events") -> DataFrame:
