@@ -7,12 +7,15 @@ of all rules are intervals; one that lies inside an interval of a rule with a hi
 one, or the same one of a smaller label) is suppressed, so "gnu lesser general public license version 3" is one detection and not
 three. Base phrases are counted by position and their labels always stay.
 
+A long text is searched in overlapping parts of PART characters, so the work grows with its length and not with the square of its detections.
 DataFrame functions only; each keyword is looked for once, and texts without any keyword of the rules never reach them. Defined cases: null text is empty and has no
 words, labels "" and score 0; repeated rows give repeated rows; whole texts are scanned.
 """
 
 from __future__ import annotations
 
+import re
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -20,6 +23,8 @@ from wavemotif.llm.common import documents
 
 # fixed values: base phrases and labels
 PHRASES = (("cc by", "cc-by"), ("general public license", "gpl"), ("all rights reserved", "reserved"))
+#: Characters of a text that are searched together; what is compared grows with its square and the text's length.
+PART = 1024
 NOT_WORD = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 
 #: Label, keyword, name as a pattern, versions.
@@ -120,8 +125,8 @@ def _array(given: list[Rule]) -> Column:
     return F.array(*[F.struct(F.lit(k).alias("word"), F.array(*[one(a, p, p_, c) for a, _, p, p_, c in rs]).alias("rules")) for k, rs in by.items()])
 
 
-def _occurrences(text: Column, rule: Column) -> Column:
-    """Intervals of all matches of a rule, from the pieces between them."""
+def _occurrences(text: Column, offset: Column, rule: Column) -> Column:
+    """Intervals of all matches of a rule in a part of a text that starts at offset, from the pieces between them."""
     found = F.regexp_extract_all(text, rule["pattern"], F.lit(0))
     pieces = F.split(text, rule["pattern"], -1)
     empty = F.array().cast("array<struct<start:int,end:int>>")
@@ -132,7 +137,7 @@ def _occurrences(text: Column, rule: Column) -> Column:
         return F.struct(F.concat(acc["spans"], F.array(F.struct(start.alias("start"), end.alias("end")))).alias("spans"), end.alias("at"))
 
     pairs = F.zip_with(F.slice(pieces, 1, F.size(found)), found, lambda p, m: F.struct(p.alias("piece"), m.alias("match")))
-    spans = F.aggregate(pairs, F.struct(empty.alias("spans"), F.lit(0).alias("at")), step, lambda acc: acc["spans"])
+    spans = F.aggregate(pairs, F.struct(empty.alias("spans"), offset.cast("int").alias("at")), step, lambda acc: acc["spans"])
     return F.transform(spans, lambda s: F.struct(rule["priority"].alias("priority"), s["start"].alias("start"), s["end"].alias("end"), rule["label"].alias("label"), rule["confidence"].alias("confidence")))
 
 
@@ -143,6 +148,32 @@ def _inside(a: Column, b: Column) -> Column:
     return (b["start"] <= a["start"]) & (b["end"] >= a["end"]) & higher
 
 
+def _bind(value: Column, then) -> Column:
+    """then(value), with value worked out once."""
+    return F.element_at(F.transform(F.array(value), then), 1)
+
+
+def _places(words: Column, phrase: str) -> Column:
+    """Word numbers at which a phrase starts, from an array of words that is worked out once."""
+    want = phrase.split(" ")
+
+    def starts(ws: Column) -> Column:
+        def here(w: Column, i: Column) -> Column:
+            hit = w == want[0]
+            for j in range(1, len(want)):
+                hit = hit & (F.coalesce(F.get(ws, i + j), F.lit("")) == want[j])
+            return F.when(hit, i)
+
+        return F.array_compact(F.transform(ws, here))
+
+    return _bind(words, starts)
+
+
+def longest(given: list[Rule]) -> int:
+    """No match is longer: a pattern's own length bounds what it matches, but for a repeat in braces, which adds its limit."""
+    return max(len(p) + sum(int(n) for n in re.findall(r",(\d+)\}", p)) for _, _, p, _, _ in given)
+
+
 def licenses(docs: DataFrame, given: list[Rule] | None = None) -> DataFrame:
     """doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score a row of docs."""
     upper, lower = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
@@ -150,28 +181,33 @@ def licenses(docs: DataFrame, given: list[Rule] | None = None) -> DataFrame:
     rows = rows.select("doc_id", "text", F.concat(F.lit(" "), "text", F.lit(" ")).alias("padded"))
     n_words = F.when(F.col("text") == "", 0).otherwise(F.length("text") - F.length(F.replace(F.col("text"), F.lit(" "), F.lit(""))) + 1)
 
-    def followed(by: int, word: str):
-        return lambda i: F.coalesce(F.get(F.split("text", " "), (i + by).cast("int")), F.lit("")) == word
-
     def places(phrase: str) -> Column:
-        want = phrase.split(" ")
-        words = F.split("text", " ")
-        starts = F.filter(F.transform(words, lambda w, i: F.when(w == want[0], i).otherwise(-1)), lambda i: i >= 0)
-        for j in range(1, len(want)):
-            starts = F.filter(starts, followed(j, want[j]))
-        return F.when(F.col("padded").contains(f" {phrase} "), starts).otherwise(F.array().cast("array<int>"))
+        return F.when(F.col("padded").contains(f" {phrase} "), _places(F.split("text", " "), phrase)).otherwise(F.array().cast("array<int>"))
 
     given = given or rules()
     gate = F.lit(False)
     for word in dict.fromkeys(rule[1] for rule in given):
         gate = gate | F.col("padded").contains(word)
-    tried = F.flatten(F.transform(F.filter(_array(given), lambda r: F.contains(F.col("padded"), r["word"])), lambda r: r["rules"]))
+    # parts overlap by a match's greatest length to both sides; a part keeps the detections that start in its own stretch
+    margin = longest(given) + 2
+    table = _array(given)
+
+    def standing(part: Column, at: Column) -> Column:
+        tried = F.flatten(F.transform(F.filter(table, lambda r: F.contains(part, r["word"])), lambda r: r["rules"]))
+        from_ = F.greatest(at - margin, F.lit(0))
+        kept = lambda found: F.filter(found, lambda a: (a["start"] >= at) & (a["start"] < at + PART) & ~F.exists(found, lambda b: _inside(a, b)))
+        return _bind(F.flatten(F.transform(tried, lambda r: _occurrences(part, from_, r))), kept)
+
+    def stretch(at: Column) -> Column:
+        from_ = F.greatest(at - margin, F.lit(0))
+        return _bind(F.substring(F.col("padded"), from_ + 1, at + (PART + margin) - from_), lambda part: standing(part, at))
+
+    starts = F.sequence(F.lit(0), F.greatest(F.length("padded") - 1, F.lit(0)), F.lit(PART))
     none = F.array().cast("array<struct<priority:int,start:int,end:int,label:string,confidence:double>>")
-    rows = rows.select("doc_id", n_words.cast("long").alias("n_words"), *[places(p).alias(f"at{i}") for i, (p, _) in enumerate(PHRASES)], F.when(gate, F.flatten(F.transform(tried, lambda r: _occurrences(F.col("padded"), r)))).otherwise(none).alias("found"))
+    rows = rows.select("doc_id", n_words.cast("long").alias("n_words"), *[places(p).alias(f"at{i}") for i, (p, _) in enumerate(PHRASES)], F.when(gate, F.flatten(F.transform(starts, stretch))).otherwise(none).alias("standing"))
     every = F.concat(*[F.col(f"at{i}") for i in range(len(PHRASES))])
     base = F.array_sort(F.array_compact(F.array(*[F.when(F.size(f"at{i}") > 0, F.lit(label)) for i, (_, label) in enumerate(PHRASES)])))
-    standing = F.filter("found", lambda a: ~F.exists("found", lambda b: _inside(a, b)))
-    rows = rows.select("doc_id", "n_words", every.alias("every"), base.alias("base"), standing.alias("standing"))
+    rows = rows.select("doc_id", "n_words", every.alias("every"), base.alias("base"), "standing")
     labels = F.array_sort(F.array_distinct(F.concat("base", F.transform("standing", lambda d: d["label"]))))
     score = F.greatest(F.coalesce(F.array_max(F.transform("standing", lambda d: d["confidence"])), F.lit(0.0)), F.when(F.size("base") > 0, 0.9).otherwise(0.0))
     return rows.select("doc_id", "n_words", F.size("every").cast("long").alias("n_base"), F.array_min("every").cast("long").alias("first_word"), F.array_max("every").cast("long").alias("last_word"), F.concat_ws(",", "base").alias("base_labels"), F.concat_ws(",", labels).alias("labels"), score.alias("score"))
