@@ -3,7 +3,7 @@
 An Aho-Corasick automaton over the bytes finds the magic numbers of the known formats wherever they stand. At each
 hit the format's validator walks the structure (chunk sizes, checksums, block lengths, end markers) and gives the length of
 the object or rejects the hit. An object at offset 0 decides the type of the value, whatever was declared; the
-others that do not lie inside an accepted one of the same start are carved as embedded media with offset and length.
+others that do not lie inside an accepted one before them are carved as embedded media with offset and length.
 
 Payloads of text are stored losslessly as 8-bit mono PCM in a RIFF/WAVE container and read back through the same
 validator. Defined cases: null text is an empty payload; null or empty media has type null and nothing carved.
@@ -11,7 +11,9 @@ validator. Defined cases: null text is an empty payload; null or empty media has
 
 from __future__ import annotations
 
+import bisect
 import hashlib
+import re
 import struct
 import zlib
 from collections.abc import Callable
@@ -26,9 +28,24 @@ from wavemotif.llm.common import documents, map_batches, utf8
 
 BLOCK = 192
 RATE = 8000
+#: Bytes that a step of inflating gives at most.
+INFLATED = 1 << 20
 
 
-def _wav(b: bytes, at: int) -> int | None:
+class Value(bytes):
+    """A value whose end markers are looked for once, however many hits ask for the next one."""
+
+    def next(self, marker: bytes, at: int) -> int:
+        """The first place of marker at or after at, or -1."""
+        known = self.__dict__.setdefault("places", {})
+        if marker not in known:
+            known[marker] = [m.start() for m in re.finditer(re.escape(marker), self, re.S)]
+        i = bisect.bisect_left(known[marker], at)
+        return known[marker][i] if i < len(known[marker]) else -1
+
+
+
+def _wav(b: Value, at: int) -> int | None:
     if b[at + 8 : at + 12] != b"WAVE" or len(b) < at + 12:
         return None
     end, p, seen = at + 8 + int.from_bytes(b[at + 4 : at + 8], "little"), at + 12, set()
@@ -41,7 +58,7 @@ def _wav(b: bytes, at: int) -> int | None:
     return end - at if p in (end, end + 1) and {b"fmt ", b"data"} <= seen else None
 
 
-def _png(b: bytes, at: int) -> int | None:
+def _png(b: Value, at: int) -> int | None:
     p, first = at + 8, True
     while p + 12 <= len(b):
         n = int.from_bytes(b[p : p + 4], "big")
@@ -54,7 +71,7 @@ def _png(b: bytes, at: int) -> int | None:
     return None
 
 
-def _gif(b: bytes, at: int) -> int | None:
+def _gif(b: Value, at: int) -> int | None:
     def blocks(p: int) -> int:
         while p < len(b) and b[p]:
             p += 1 + b[p]
@@ -75,7 +92,7 @@ def _gif(b: bytes, at: int) -> int | None:
     return None
 
 
-def _jpeg(b: bytes, at: int) -> int | None:
+def _jpeg(b: Value, at: int) -> int | None:
     p = at + 2
     while p + 4 <= len(b) and b[p] == 0xFF and 0xC0 <= b[p + 1] <= 0xFE and not 0xD0 <= b[p + 1] <= 0xD9:
         kind, n = b[p + 1], int.from_bytes(b[p + 2 : p + 4], "big")
@@ -83,36 +100,50 @@ def _jpeg(b: bytes, at: int) -> int | None:
             return None
         p += 2 + n
         if kind == 0xDA:
-            end = b.find(b"\xff\xd9", p)
+            end = b.next(b"\xff\xd9", p)
             return end + 2 - at if end >= 0 else None
     return None
 
 
-def _bmp(b: bytes, at: int) -> int | None:
+def _bmp(b: Value, at: int) -> int | None:
     if len(b) < at + 30:
         return None
     size, start, header = int.from_bytes(b[at + 2 : at + 6], "little"), int.from_bytes(b[at + 10 : at + 14], "little"), int.from_bytes(b[at + 14 : at + 18], "little")
     return size if header in (12, 40, 108, 124) and 14 + header <= start <= size <= len(b) - at and b[at + 6 : at + 10] == b"\0" * 4 else None
 
 
-def _gzip(b: bytes, at: int) -> int | None:
-    d, p = zlib.decompressobj(31), at
+def _gzip(b: Value, at: int) -> int | None:
+    if len(b) < at + 18 or (flags := b[at + 3]) & 0xE0:  # reserved flags
+        return None
+    p = at + 10
+    if flags & 4:
+        p += 2 + int.from_bytes(b[p : p + 2], "little")
+    for bit in (8, 16):  # name, comment
+        if flags & bit:
+            if (end := b.next(b"\0", p)) < 0:
+                return None
+            p = end + 1
+    p += flags & 2
+    d, rest, step, crc, size = zlib.decompressobj(-15), b"", 256, 0, 0
     try:
-        while p < len(b) and not d.eof:
-            d.decompress(b[p : p + 65536])
-            p += 65536
+        while not d.eof and (rest or p < len(b)):
+            if not rest:
+                rest, p, step = b[p : p + step], p + step, min(2 * step, 65536)  # most hits are none, and fail early
+            out = d.decompress(rest, INFLATED)
+            rest, crc, size = d.unconsumed_tail, zlib.crc32(out, crc), size + len(out)
     except zlib.error:
         return None
-    return min(p, len(b)) - len(d.unused_data) - at if d.eof else None
+    end = min(p, len(b)) - len(d.unused_data)
+    return end + 8 - at if d.eof and b[end : end + 8] == struct.pack("<II", crc, size & 0xFFFFFFFF) else None
 
 
-def _pdf(b: bytes, at: int) -> int | None:
-    end = b.find(b"%%EOF", at)
-    return end + 5 - at if end >= 0 and b.find(b"startxref", at, end) >= 0 else None
+def _pdf(b: Value, at: int) -> int | None:
+    end = b.next(b"%%EOF", at)
+    return end + 5 - at if end >= 0 and 0 <= b.next(b"startxref", at) <= end - 9 else None
 
 
-def _zip(b: bytes, at: int) -> int | None:
-    end = b.find(b"PK\5\6", at)
+def _zip(b: Value, at: int) -> int | None:
+    end = b.next(b"PK\5\6", at)
     if end < 0 or end + 22 > len(b):
         return None
     size, start, note = struct.unpack("<IIH", b[end + 12 : end + 22])
@@ -120,7 +151,7 @@ def _zip(b: bytes, at: int) -> int | None:
 
 
 # fixed values: magic numbers
-FORMATS: tuple[tuple[str, bytes, Callable[[bytes, int], int | None]], ...] = (
+FORMATS: tuple[tuple[str, bytes, Callable[[Value, int], int | None]], ...] = (
     ("audio/wav", b"RIFF", _wav),
     ("image/png", b"\x89PNG\r\n\x1a\n", _png),
     ("image/gif", b"GIF87a", _gif),
@@ -143,6 +174,7 @@ def magic() -> ahocorasick.Automaton:
 
 def sniff(value: bytes, signs: ahocorasick.Automaton) -> tuple[str | None, list[tuple[str, int, int]]]:
     """The type by structure, and embedded media as (type, offset, length). The value itself is not listed."""
+    value = Value(value)
     kind, found, inside = None, [], 0
     for end, i in signs.iter(value.decode("latin-1")):
         name, sign, valid = FORMATS[i]
