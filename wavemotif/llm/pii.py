@@ -3,7 +3,8 @@
 One Aho-Corasick automaton over the text finds anchors: at-signs, plus signs, digits, URL schemes and identifier
 cues. At an anchor a deterministic parser expands to both sides and validates: a local part and a dotted domain around
 an at-sign, four octets or a Luhn-valid card number from the first digit of a run, a dialled number after a plus sign, the
-user part after a scheme, an identifier with a digit after a cue such as "iban" or "account". Anchors are taken
+address after a scheme and the user part in it, an identifier after a cue such as "account". An identifier is a run of groups of
+capitals and digits, each group with a digit; after the cue "iban" its check digits must be right. Anchors are taken
 from left to right and a parser does not start before the end of what its kind has consumed, failing matches included.
 
 Defined cases: null text is empty and has no spans; offsets count code points; nothing is cut, whatever the length.
@@ -21,7 +22,7 @@ from wavemotif.llm.common import documents, map_batches, strings
 from wavemotif.llm.spans import Span, digest, render
 
 BASE = ("email", "ip", "card", "phone")
-KINDS = (*BASE, "url_user", "account")
+KINDS = (*BASE, "url", "url_user", "account")
 # fixed values: cues that an identifier follows
 CUES = ("iban", "account", "acct", "passport", "ssn", "customer id", "tax id", "national id")
 SCHEMES = ("http://", "https://", "ftp://", "ssh://")
@@ -33,7 +34,8 @@ IP = re.compile(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)")
 CARD = re.compile(r"[0-9](?:[ -]?[0-9])+")
 PHONE = re.compile(r"\+[0-9][ ().0-9-]+[0-9]")
 USER = re.compile(r"[A-Za-z0-9._%+-]+(?::[^\s@/]*)?@[A-Za-z0-9.-]+")
-ACCOUNT = re.compile(r"(?: (?:no|number|nr))?\.? ?[:#=]? ?([A-Za-z]{0,2}[0-9][A-Za-z0-9 -]{4,32}[0-9])", re.A)
+URL = re.compile(r"[A-Za-z0-9._~%-]+(?::[^\s@/]*)?(?:@[A-Za-z0-9._~-]+)?(?::[0-9]+)?(?:[/?#][A-Za-z0-9._~:/?#\[\]@!$&'()*+,;=%-]*)?")
+ACCOUNT = re.compile(r"(?: (?:no|number|nr))?\.? ?[:#=]? ?((?=[A-Za-z0-9]*[0-9])[A-Za-z]{0,3}[0-9][A-Z0-9]*(?:[ -](?=[A-Z]{0,4}[0-9])[A-Z0-9]+)*)(?![A-Za-z0-9])", re.A)
 LOWER = {c: c + 32 for c in range(65, 91)}
 
 
@@ -54,6 +56,15 @@ def luhn(digits: str) -> bool:
     return total % 10 == 0
 
 
+def identifier(text: str, cue: str) -> bool:
+    """Whether what follows a cue is an identifier: 5 to 34 letters and digits, 4 digits at least; a bank account by its check digits."""
+    plain = text.replace(" ", "").replace("-", "")
+    if cue == "iban":
+        plain = plain.upper()
+        return 15 <= len(plain) <= 34 and plain[:2].isalpha() and plain[2:4].isdigit() and int("".join(str(int(c, 36)) for c in plain[4:] + plain[:4])) % 97 == 1
+    return 5 <= len(plain) <= 34 and sum(c in DIGITS for c in plain) >= 4
+
+
 def find(text: str, anchors: ahocorasick.Automaton) -> list[Span]:
     """All spans of one text."""
     spans: list[Span] = []
@@ -86,9 +97,14 @@ def find(text: str, anchors: ahocorasick.Automaton) -> list[Span]:
                 if 9 <= sum(c in DIGITS for c in m[0]) <= 15:
                     spans.append(("phone", at, m.end()))
         elif kind == "s":
+            if at >= done["url"] and (m := URL.match(text, end + 1)):
+                done["url"] = m.end()
+                stop = at + len(text[at : m.end()].rstrip(".,;:!?'()"))
+                if "." in text[end + 1 : stop]:
+                    spans.append(("url", at, stop))
             if m := USER.match(text, end + 1):
                 spans.append(("url_user", end + 1, m.end()))
-        elif end + 1 >= done["account"] and (not at or not text[at - 1].isalnum()) and (m := ACCOUNT.match(text, end + 1)):
+        elif end + 1 >= done["account"] and (not at or not text[at - 1].isalnum()) and (m := ACCOUNT.match(text, end + 1)) and identifier(m[1], text[at : end + 1].translate(LOWER)):
             done["account"] = m.end()
             spans.append(("account", m.start(1), m.end()))
     return spans
