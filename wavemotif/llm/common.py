@@ -16,7 +16,7 @@ from collections.abc import Callable, Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -40,16 +40,19 @@ class Workspace:
         self.spark = spark
         base = spark.conf.get("spark.checkpoint.dir", None)
         if not base:
-            Workspace._own = Workspace._own or tempfile.mkdtemp(prefix="wavemotif-")
+            if not spark.sparkContext.master.startswith("local["):
+                raise ValueError("spark.checkpoint.dir must name a folder that all executors see")
+            Workspace._own = Workspace._own or tempfile.mkdtemp(prefix="wavemotif-")  # one machine: tests
             base = f"file://{Workspace._own}"
         self.base = f"{base.rstrip('/')}/run-{uuid.uuid4().hex}"
         atexit.register(self._remove, self.base)
 
-    def save(self, df: DataFrame, name: str) -> DataFrame:
-        path = f"{self.base}/{name}-{uuid.uuid4().hex[:8]}"
-        df.write.parquet(path)
+    def save(self, df: DataFrame, name: str, **measures: Column) -> DataFrame:
+        """df as a table of its own. Its number of rows, and aggregates named in measures, are taken as it is written: see measured()."""
+        path, seen = f"{self.base}/{name}-{uuid.uuid4().hex[:8]}", Observation()
+        df.observe(seen, F.count(F.lit(1)).alias("rows"), *[c.alias(k) for k, c in measures.items()]).write.parquet(path)
         saved = self.spark.read.schema(df.schema).parquet(path)
-        saved._kept_at = path
+        saved._kept_at, saved._measured = path, seen.get
         return saved
 
     def drop(self, *saved: DataFrame | None) -> None:
@@ -67,11 +70,22 @@ class Workspace:
             pass
 
 
+def measured(saved: DataFrame, name: str = "rows"):
+    """What was measured while a table was saved."""
+    return saved._measured[name]
+
+
 def semi_by_id(df: DataFrame, ids: DataFrame, n_ids: int, key: str = "doc_id") -> DataFrame:
     """Rows of df whose key is in ids: broadcast while the ids are few enough, else a shuffled semi join."""
     return df.join(F.broadcast(ids) if n_ids <= BROADCAST_IDS else ids, key, "left_semi")
 
 
+def anti_by_id(df: DataFrame, ids: DataFrame, ws: Workspace) -> DataFrame:
+    """df without the rows whose doc_id is in ids(doc_id); rows with a null doc_id stay. Texts are not shuffled while the ids are few enough."""
+    gone = ws.save(ids.select(F.col("doc_id").alias("_gone")).distinct(), "gone")
+    return df.join(F.broadcast(gone) if measured(gone) <= BROADCAST_IDS else gone, df["doc_id"] == gone["_gone"], "left_anti")
+
+
 # ---------------------------------------------------------------- batches
 def documents(df: DataFrame, *more: str) -> DataFrame:
     """doc_id, text and named columns with fixed types, whatever else the table holds."""
@@ -144,22 +158,18 @@ def connected_components(edges: DataFrame, ws: Workspace) -> DataFrame:
     """(id, component) for every id on an edge (a, b) of longs: component is the smallest id reachable.
 
     Alternates the large-star and small-star contractions; each is one aggregation and one join over the
-    edges, which live in shared Parquet between rounds. Only a count and a checksum reach the driver.
+    edges, which live in shared Parquet between rounds. Only a count and a checksum, taken as they are written, reach the driver.
     """
-    now = ws.save(edges.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct(), "edges")
-    seen = None
-    while True:
+    check = {"sum": F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))}
+    now, seen = ws.save(edges.where("a <> b").select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).distinct(), "edges", **check), None
+    while measured(now) and (measured(now), measured(now, "sum")) != seen:
+        seen = (measured(now), measured(now, "sum"))
         both = now.unionByName(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
         low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+        large = both.join(low, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v"))
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(least, "u").select(F.explode(F.array(F.struct(F.greatest("v", "m").alias("u"), "m"), F.struct("u", "m"))).alias("e"))
-        small = small.select(F.col("e.u").alias("u"), F.col("e.m").alias("v")).where("u <> v").distinct()
-        after = ws.save(small, "edges")
-        check = after.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
+        after = ws.save(small.select(F.col("e.u").alias("u"), F.col("e.m").alias("v")).where("u <> v").distinct(), "edges", **check)
         ws.drop(now)
         now = after
-        if check == seen:
-            break
-        seen = check
     return now.select(F.col("u").alias("id"), F.col("v").alias("component")).unionByName(now.select(F.col("v").alias("id"), F.col("v").alias("component")).distinct())

@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from wavemotif.llm.common import WordHashes, documents, map_batches, mix64, shingle_hashes, utf8
+from wavemotif.llm.common import WordHashes, Workspace, anti_by_id, documents, map_batches, mix64, shingle_hashes, utf8
 
 RADIUS = 5
 STEP = 2
@@ -259,5 +259,4 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, least: float = 0.8, radi
 
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, least: float = 0.8) -> DataFrame:
     """docs without those that hold an item; columns unchanged."""
-    gone = contaminated(docs, benchmark, least).select(F.col("doc_id").alias("_gone")).distinct()
-    return docs.join(gone, docs["doc_id"] == gone["_gone"], "left_anti")
+    return anti_by_id(docs, contaminated(docs, benchmark, least), Workspace(docs.sparkSession))
