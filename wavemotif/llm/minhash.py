@@ -13,8 +13,10 @@ them can share, pairs below the bound are left out, the others are compared exac
 components leave the task. So no pair of candidates in different components goes untested, none are emitted as rows, and a
 task holds two blocks. Passes exchange ids; shingle sets are written once, for candidates only.
 
+Equality of shingles is by 64-bit hashes, that of sets by their size and two sums of 64 bits.
+
 Defined cases: null or empty text has no shingles, is alone and kept. Repeated rows and equal texts
-share a component. Rows with a null doc_id get a null component and are kept. An empty table gives an empty
+share a component; texts that share a doc_id are told apart. Rows with a null doc_id get a null component and are kept. An empty table gives an empty
 result. Further columns are not read.
 """
 
@@ -27,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from wavemotif.llm.common import Workspace, WordHashes, connected_components, documents, map_batches, mix64, semi_by_id, shingle_hashes, utf8
+from wavemotif.llm.common import Workspace, WordHashes, anti_by_id, connected_components, documents, map_batches, measured, mix64, semi_by_id, shingle_hashes, utf8
 
 #: Members of a bucket that a task compares with as many others.
 BLOCK = 512
@@ -83,8 +85,8 @@ def _signatures(words: int, signer: Signer):
         for text in utf8(batch):
             s = np.unique(shingle_hashes(cache.array(text.lower().split()), words))
             n.append(len(s))
-            hi.append(int(s.sum(dtype=np.uint64).view(np.int64)))
-            lo.append(int(mix64(s ^ np.uint64(0xABCDEF0123456789)).sum(dtype=np.uint64).view(np.int64)))
+            for to, d in zip((hi, lo), digests(s), strict=True):
+                to.append(d)
             if len(s):
                 keys.append(signer.keys(s))
             ends.append(ends[-1] + (signer.bands if len(s) else 0))
@@ -94,19 +96,26 @@ def _signatures(words: int, signer: Signer):
     return fn
 
 
+def digests(s: np.ndarray) -> tuple[int, int]:
+    """Two sums over a set of hashes; with its size they stand for the set."""
+    return int(s.sum(dtype=np.uint64).view(np.int64)), int(mix64(s ^ np.uint64(0xABCDEF0123456789)).sum(dtype=np.uint64).view(np.int64))
+
+
 def _sets(words: int):
     cache = WordHashes()
 
     def fn(batch: pa.RecordBatch) -> pa.RecordBatch:
-        sets = [np.unique(shingle_hashes(cache.array(text.lower().split()), words)).view(np.int64) for text in utf8(batch)]
+        sets = [np.unique(shingle_hashes(cache.array(text.lower().split()), words)) for text in utf8(batch)]
+        hi, lo = zip(*map(digests, sets), strict=True) if sets else ((), ())
         ends = np.concatenate([[0], np.cumsum([len(s) for s in sets])]).astype(np.int32)
-        return pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([np.empty(0, np.int64), *sets])))], ["doc_id", "shingles"])
+        flat = pa.array(np.concatenate([np.empty(0, np.int64), *[s.view(np.int64) for s in sets]]))
+        return pa.RecordBatch.from_arrays([pa.array(hi, pa.int64()), pa.array(lo, pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.ListArray.from_arrays(pa.array(ends), flat)], [*SAME, "shingles"])
 
     return fn
 
 
 def _block_links(threshold_pct: int):
-    """Links between members of two blocks of one bucket, as many as connect what is linked."""
+    """Links between components of members of two blocks of one bucket, as many as connect what is linked."""
 
     def fn(group: pa.Table) -> pa.Table:
         rep, comp, block, sets, bits, bands, here = _unpack(group)
@@ -131,7 +140,7 @@ def _block_links(threshold_pct: int):
                 if a != b:
                     common = len(np.intersect1d(sets[x], sets[k], assume_unique=True))
                     if 100 * common >= threshold_pct * (n[x] + n[k] - common):
-                        out.append((int(rep[x]), int(rep[k])))
+                        out.append((a, b))
                         root[max(a, b)] = min(a, b)
         return pa.table({"a": pa.array([a for a, _ in out], pa.int64()), "b": pa.array([b for _, b in out], pa.int64())})
 
@@ -165,20 +174,23 @@ def near_duplicates(docs: DataFrame, threshold_pct: int = 80, words: int = 5, mi
     keyed = signed.where("doc_id is not null and n_shingles > 0").withColumn("part", F.pmod(F.xxhash64("doc_id"), F.lit(PARTS)))
     # equal sets are never joined as a whole: a group is split into parts, and only a row a part meets the group's representative
     parted = keyed.groupBy(*SAME, "part").agg(F.min("doc_id").alias("least"))
-    reps = parted.groupBy(*SAME).agg(F.min("least").alias("rep"))
-    # of equal sets one row, the smallest, takes part in the search
-    first = keyed.join(reps.withColumnRenamed("rep", "doc_id"), [*SAME, "doc_id"], "left_semi").dropDuplicates(["doc_id"])
-    spread = first.select(F.col("doc_id").alias("rep"), F.col("n_shingles").alias("n"), F.explode("bands").alias("bucket"))
+    # a number stands for each set, so documents that share an id but not their text stay apart
+    reps = ws.save(parted.groupBy(*SAME).agg(F.min("least").alias("least")).withColumn("rep", F.monotonically_increasing_id()), "reps")
+    # of equal sets one row takes part in the search
+    first = keyed.join(reps.withColumnRenamed("least", "doc_id"), [*SAME, "doc_id"]).dropDuplicates(["rep"])
+    spread = first.select("rep", F.col("n_shingles").alias("n"), F.explode("bands").alias("bucket"))
     shared = spread.groupBy("bucket").agg(F.count("*").alias("c")).where("c > 1")
     members = ws.save(spread.join(shared, "bucket"), "members")
     popular = members.groupBy("rep").agg(F.sum("c").alias("popularity"))
     members = ws.save(members.drop("c").join(popular, "rep"), "members")
-    ids = ws.save(members.select(F.col("rep").alias("doc_id")).distinct(), "candidates")
-    sets = ws.save(map_batches(semi_by_id(docs, ids, ids.count()), _sets(words), "doc_id long, shingles array<long>").dropDuplicates(["doc_id"]), "sets")
+    searched = reps.join(members.select("rep").distinct(), "rep", "left_semi")
+    ids = ws.save(searched.select(F.col("least").alias("doc_id")).distinct(), "candidates")
+    sets = map_batches(semi_by_id(docs, ids, measured(ids)), _sets(words), "hi long, lo long, n_shingles long, shingles array<long>")
+    sets = ws.save(sets.join(searched.select(*SAME, "rep"), SAME).select("rep", "shingles").dropDuplicates(["rep"]), "sets")
     # first pass: each member with the first of its bucket
     first_of = members.groupBy("bucket").agg(F.min(F.struct(-F.col("popularity"), "rep", F.col("n").alias("pn"))).alias("m")).select("bucket", F.col("m.rep").alias("p"), F.col("m.pn").alias("pn"))
     pairs = members.join(first_of, "bucket").where("rep <> p").where(100 * F.least("n", "pn") >= threshold_pct * F.greatest("n", "pn")).select("rep", "p", "n", "pn").distinct()
-    pairs = pairs.join(sets.select(F.col("doc_id").alias("rep"), F.col("shingles").alias("a")), "rep").join(sets.select(F.col("doc_id").alias("p"), F.col("shingles").alias("b")), "p")
+    pairs = pairs.join(sets.select("rep", F.col("shingles").alias("a")), "rep").join(sets.select(F.col("rep").alias("p"), F.col("shingles").alias("b")), "p")
     pairs = pairs.withColumn("i", F.size(F.array_intersect("a", "b"))).where(100 * F.col("i") >= threshold_pct * (F.col("n") + F.col("pn") - F.col("i")))
     links = ws.save(pairs.select(F.col("rep").alias("a"), F.col("p").alias("b")), "links")
     parts = ws.save(connected_components(links, ws), "parts")
@@ -188,19 +200,21 @@ def near_duplicates(docs: DataFrame, threshold_pct: int = 80, words: int = 5, mi
     rest = at.join(rest, "bucket").withColumn("block", F.floor((F.row_number().over(Window.partitionBy("bucket").orderBy("rep")) - 1) / BLOCK).cast("int"))
     others = F.transform(F.sequence(F.lit(0), F.floor((F.col("c") - 1) / BLOCK).cast("int")), lambda j: F.struct(F.least("block", j).alias("i"), F.greatest("block", j).alias("j")))
     rest = rest.select("bucket", "rep", "comp", "block", F.explode(others).alias("to")).select("bucket", "rep", "comp", "block", "to.i", "to.j")
-    rest = rest.join(sets.withColumnRenamed("doc_id", "rep"), "rep").join(first.select(F.col("doc_id").alias("rep"), "bands"), "rep")
+    rest = rest.join(sets, "rep").join(first.select("rep", "bands"), "rep")
     more = ws.save(rest.groupBy("bucket", "i", "j").applyInArrow(_block_links(threshold_pct), "a long, b long"), "more")
-    parts = ws.save(connected_components(links.unionByName(more), ws), "parts")
     ws.drop(sets, members, ids)
-    of_rep = parts.select(F.col("id").alias("rep"), "component")
-    classes = reps.join(of_rep, "rep", "left").select(*SAME, F.coalesce("component", "rep").alias("component_id"))
-    classes = parted.select(*SAME, "part").join(classes, SAME)
+    named = reps.join(parts.select(F.col("id").alias("rep"), "component"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
+    if measured(more):
+        joined = connected_components(more, ws).select(F.col("id").alias("component"), F.col("component").alias("wider"))
+        named = named.join(joined, "component", "left").withColumn("component", F.coalesce("wider", "component")).drop("wider")
+    name = named.groupBy("component").agg(F.min("least").alias("component_id"))
+    classes = parted.select(*SAME, "part").join(named.join(name, "component").select(*SAME, "component_id"), SAME)
     alone = signed.where("doc_id is null or n_shingles = 0").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))
     out = keyed.join(classes, [*SAME, "part"]).select("doc_id", "n_shingles", "component_id").unionByName(alone)
     return out.withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
 
 
 def drop_near_duplicates(docs: DataFrame, threshold_pct: int = 80, words: int = 5) -> DataFrame:
-    """docs without the documents that are not the smallest id of their group; columns unchanged."""
-    gone = near_duplicates(docs, threshold_pct, words).where("not kept").select(F.col("doc_id").alias("_gone")).distinct()
-    return docs.join(gone, docs["doc_id"] == gone["_gone"], "left_anti")
+    """docs without the documents that are not the smallest id of their group; columns unchanged. An id with several texts goes if all of them do."""
+    gone = near_duplicates(docs, threshold_pct, words).groupBy("doc_id").agg(F.max("kept").alias("kept")).where("not kept")
+    return anti_by_id(docs, gone, Workspace(docs.sparkSession))
