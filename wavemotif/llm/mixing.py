@@ -20,10 +20,12 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from wavemotif.llm.common import Workspace
+from wavemotif.llm.common import Workspace, measured
 
 WORD = r"[^\x20\x09-\x0D]+"
 BIN_BITS = 10
+#: Largest number of sources whose line of the plan is broadcast.
+BROADCAST_SOURCES = 200_000
 
 
 def word_count(text: Column) -> Column:
@@ -83,6 +85,11 @@ def mix_plan(docs: DataFrame, weights: tuple[int, ...] = (5, 2, 1), share: float
     return thin, ws.save(plan, "plan")
 
 
+def beside(plan: DataFrame) -> DataFrame:
+    """The plan as a side of a join with documents, where a source may hold most rows: broadcast while the sources are few enough."""
+    return F.broadcast(plan) if measured(plan) <= BROADCAST_SOURCES else plan
+
+
 def copies(whole: Column, key: Column, doc_id: Column, last_key: Column, last_id: Column) -> Column:
     """How often the mix takes a document."""
     d = F.coalesce(doc_id, F.lit(-(2**63)))
@@ -92,7 +99,7 @@ def copies(whole: Column, key: Column, doc_id: Column, last_key: Column, last_id
 def mix(docs: DataFrame, **options) -> DataFrame:
     """doc_id, source, size, source_size, target, copies, taken a row a document."""
     thin, plan = mix_plan(docs, **options)
-    plan = plan.withColumnRenamed("source", "s")
+    plan = beside(plan).withColumnRenamed("source", "s")
     out = thin.join(plan, thin.source.eqNullSafe(plan.s)).withColumn("copies", copies(*[F.col(c) for c in ("whole", "key", "doc_id", "last_key", "last_id")]))
     return out.select("doc_id", "source", "size", "source_size", "target", "copies", (F.col("copies") * F.col("size")).alias("taken"))
 
@@ -100,7 +107,7 @@ def mix(docs: DataFrame, **options) -> DataFrame:
 def materialise(docs: DataFrame, seed: int = 7, **options) -> DataFrame:
     """docs with each row as often as the mix takes it; texts are not shuffled, a row needs only its source's line of the plan."""
     _, plan = mix_plan(docs, seed=seed, **options)
-    plan = plan.select(*[F.col(c).alias(f"_mix_{c}") for c in plan.columns])
+    plan = beside(plan).select(*[F.col(c).alias(f"_mix_{c}") for c in plan.columns])
     joined = docs.join(plan, docs["source"].cast("string").eqNullSafe(plan["_mix_source"]))
     n = copies(F.col("_mix_whole"), seeded_key(docs["doc_id"], seed), docs["doc_id"].cast("long"), F.col("_mix_last_key"), F.col("_mix_last_id"))
     return joined.withColumn("_mix_n", n.cast("int")).where("_mix_n > 0").withColumn("_mix_copy", F.explode(F.array_repeat(F.lit(1), F.col("_mix_n")))).select(*[docs[c] for c in docs.columns])
