@@ -33,7 +33,7 @@ ACCESS = re.compile(r"AKIA[A-Z0-9]{16,}")
 HEX = re.compile(r"[0-9a-f]{24,}")
 
 TOKEN = re.compile(r"[A-Za-z0-9+/_.=~-]+|[^\sA-Za-z0-9+/_.=~-]+")
-CUE = {"password": "pw", "passwd": "pw", "pwd": "pw", "pass": "pw", "secret": "sec", "token": "tok", "bearer": "tok", "apikey": "key", "api_key": "key", "key": "key", "access_key": "key", "private_key": "key", "auth": "tok", "authorization": "tok", "credential": "sec", "credentials": "sec", "client_secret": "sec", "user": "usr", "login": "usr"}
+CUE = {"password": "pw", "passwd": "pw", "pwd": "pw", "pass": "pw", "secret": "sec", "token": "tok", "bearer": "tok", "basic": "tok", "apikey": "key", "api_key": "key", "key": "key", "access_key": "key", "private_key": "key", "auth": "tok", "authorization": "tok", "credential": "sec", "credentials": "sec", "client_secret": "sec", "user": "usr", "login": "usr"}
 LOWER, UPPER, DIGIT, MARK = re.compile("[a-z]"), re.compile("[A-Z]"), re.compile("[0-9]"), re.compile(r"[+/=_~.-]")
 STATES = 3  # O, B, I
 O, B, I = range(STATES)
@@ -125,7 +125,7 @@ def grammar(n: int, seed: int) -> list[list[tuple[str, int]]]:
             if how < 0.5:
                 part = [(name, O), (r.choice((":", "=", '="', ':"')), O), (value, B)]
             elif how < 0.7:
-                part = [("Authorization", O), (":", O), ("Bearer", O), (value, B)]
+                part = [(r.choice(("Authorization", "Proxy-Authorization", "authorization")), O), (":", O), (r.choice(("Bearer", "Basic", "Token", "basic")), O), (value, B)]
             elif how < 0.85:
                 part = [("postgres", O), ("://", O), (word(), O), (":", O), (value, B), ("@", O), (word(), O)]
             else:
