@@ -248,3 +248,78 @@ def test_places_of_long_runs_are_not_mixed(spark):
     far = [("s", 1, 1_000_000, [float(i * 40) for i in range(1, 11)], 0.0), ("s", 2, 0, [float(-i * 70) for i in range(1, 11)], 0.0)]
     ids = [r.cluster_id for r in C.cluster_parallel(spark.createDataFrame(far, "sensor string, series_id long, t long, x array<double>, level double"), 1.0, 10).collect()]
     assert len(set(ids)) == 2
+
+
+def test_planes_are_independent():
+    """Normals without mean; no two of 80 are nearly parallel, and sets differ."""
+    p = np.array(VEC.fixed_planes(10, 8, 10), float).reshape(-1, 10)
+    assert (np.abs(p.sum(axis=1)) <= 10).all()
+    p /= np.linalg.norm(p, axis=1)[:, None]
+    near = np.abs(p @ p.T)[np.triu_indices(80, 1)]
+    assert near.max() < 0.99 and (near > 0.9).mean() < 0.01 and abs(np.corrcoef(p[:40].ravel(), p[40:].ravel())[0, 1]) < 0.2
+
+
+def test_merges_that_do_not_settle_raise(spark):
+    rows = [("s", 0, i, [0.9 * i, 0.0, 0.0, 0.0], 0.0) for i in range(60)]
+    cand = spark.createDataFrame(rows, "sensor string, series_id long, t long, x array<double>, level double")
+    with pytest.raises(RuntimeError):
+        C.cluster_parallel(cand, 1.0, 4, sets=4, per_set=1, merge="components", max_rounds=1).count()
+    with pytest.raises(RuntimeError):
+        B.dbscan(cand.select("sensor", F.col("t").alias("id"), "x"), 1.0, 2, 4, max_rounds=1).count()
+
+
+def test_hot_buckets_are_dealt_in_parts(spark, monkeypatch):
+    """A bucket with all rows, in parts: every row once, within the radius of a centre; no more clusters than twice those of one part."""
+    rng = np.random.default_rng(2)
+    rows = [("s", 0, i, (rng.normal(0, 0.05, 4) + 40 * (i % 3)).tolist(), 0.0) for i in range(300)]
+    cand = spark.createDataFrame(rows, "sensor string, series_id long, t long, x array<double>, level double")
+    got = []
+    for size in (20_000, 25):
+        monkeypatch.setattr(C, "PART_ROWS", size)
+        a = C.cluster_parallel(cand, 1.0, 4, sets=3, per_set=1, family="sign").collect()
+        assert len(a) == 300 and max(r.dist for r in a) < 1
+        got.append({frozenset(r.t % 3 for r in a if r.cluster_id == c) for c in {r.cluster_id for r in a}})
+    assert got[0] == got[1] == {frozenset([i]) for i in range(3)}
+
+
+def test_rows_outside_of_the_grid_raise(spark):
+    with pytest.raises(Exception, match="outside of the grid"):
+        spark.range(5).select(V.on_grid(F.col("id"), 3)).collect()
+    assert [r[0] for r in spark.range(3).select(V.on_grid(F.col("id"), 3)).collect()] == [0, 1, 2]
+
+
+def test_separators_give_the_same_members(spark):
+    high, win = catalog._high(spark, SF), catalog._planted_windows(spark, SF)
+    got = [sorted((r.cluster_id, r.series_id, r.t) for r in X.drop_trivial(high, win, r, separators=s).collect()) for r in (0.3, 2.0) for s in (False, True)]
+    assert got[0] == got[1] and got[2] == got[3] and len(got[0]) > len(got[2])
+
+
+def test_agreement_when_moved(spark):
+    a = spark.createDataFrame([("s", 1, 0, [0.0, 0.0, 3.0, 3.0, 0.0, 0.0]), ("s", 2, 0, [5.0, 0.0, 0.0, 0.0, 0.0, -5.0])], "sensor string, motif_id long, level_id long, centroid array<double>")
+    b = spark.createDataFrame([("s", 9, 0, [0.0, 0.0, 0.0, 3.0, 3.0, 0.0])], a.schema)
+    assert [S.motif_agreement(a, b, 1.0, 6, k).first().agreed for k in (0, 1)] == [0, 1]
+
+
+def test_sql_functions(spark):
+    from wavemotif.functions import sql as SQL
+
+    SQL.register_sql(spark)
+    one = lambda e: spark.sql(f"SELECT {e}").first()[0]
+    assert one("sq_dist(array(1D, 2D), array(4D, 6D))") == 25 and one("sax_word(array(-1D, -0.1D, 0D, 0.7D))") == "abcd"
+    assert one("sax_mindist('abc', 'bcd', 6)") == 0 and one("sax_mindist('ad', 'da', 4)") == pytest.approx((2 * 2 * 1.34**2) ** 0.5)
+    assert spark.sql("SELECT count(*) FROM explode_windows(array(1D, 2D, 3D), 2)").first()[0] == 2 and spark.sql("SELECT count(*) FROM explode_windows(null, 2)").first()[0] == 0
+
+
+def test_purity_and_adjusted_rand(spark):
+    rows = [("s", lab, i, [0.0], 0.0, c, 0.0, 0) for i, (lab, c) in enumerate([(0, 0), (0, 0), (1, 1), (1, 1), (1, 0)])]
+    r = S.purity(spark.createDataFrame(rows, ROW)).first()
+    assert (r.clusters, r.rows, r.pure) == (2, 5, 4) and r.adjusted_rand == pytest.approx((2 - 1.6) / (4 - 1.6), abs=1e-6)
+    same = [("s", c, i, [0.0], 0.0, c, 0.0, 0) for i, c in enumerate([0, 0, 1, 1])]
+    assert S.purity(spark.createDataFrame(same, ROW)).first().adjusted_rand == 1
+
+
+def test_time_curve(spark):
+    from wavemotif.experiments import runtime_curve
+
+    rows = runtime_curve(spark, SF, (1, 2)).collect()
+    assert len(rows) == 8 and all(r.found > 0 and r.seconds > 0 for r in rows) and {r.windows for r in rows} == {338, 676}

@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from wavemotif import oracles as O
+from wavemotif.functions import sql as SQL
 from wavemotif.functions import vectors as VEC
 from wavemotif.operators import baselines as B
 from wavemotif.operators import cluster as C
@@ -322,8 +323,9 @@ query("candidate_set_size")(lambda s, d: (lambda c: C.cluster(c, 1.0, "all").sel
 
 @query("purity_embeddings")
 def _purity(s: SparkSession, d: str) -> DataFrame:
+    """Purity of clusters of the given vectors, whose labels do not follow their distances: adjusted_rand is near 0 for any method."""
     rows = V.load(s, d, "embeddings").select(F.lit("embedding").alias("sensor"), F.col("label").cast("long").alias("series_id"), F.col("vec_id").alias("t"), F.transform("embedding", lambda e: e.cast("double")).alias("x"), F.lit(0.0).alias("level"))
-    return S.purity(C.cluster(rows, 0.9, "all"))
+    return S.purity(C.cluster(rows, 1.2, "all"))
 
 
 @query("motif_agreement")
@@ -690,5 +692,31 @@ def _top(s: SparkSession, d: str) -> DataFrame:
     occ = r.occurrences.join(F.broadcast(best), ["sensor", "cluster_id", "level_id"]).select("sensor", "series_id", "t", F.col("cluster_id").alias("motif_id"))
     return M.expand(occ, V.planted_view(s, d), W).groupBy("sensor", "motif_id", "step").agg(F.round(F.avg("v"), 2).alias("v"))
 
+query("stream_resumed", f"SELECT series_id, count(*) AS steps, sum(v)::BIGINT AS total FROM ({O.RUN}) GROUP BY 1")(ST.resumed)
+
+# ---------------------------------------------------------------- SQL surface
+query("profile_series", f"SELECT sensor, series_id, count(*) AS n, min(v) AS lowest, max(v) AS highest, round(avg(v::DOUBLE), 4) AS mean, round(stddev_pop(v::DOUBLE), 4) AS dev_pop, round(stddev_samp(v::DOUBLE), 4) AS dev, round(corr(v::DOUBLE, t::DOUBLE), 6) AS corr_t, round(regr_slope(v::DOUBLE, t::DOUBLE), 4) AS slope_t FROM ({O.RUN}) GROUP BY 1, 2")(lambda s, d: SQL.profile_series(_run(s, d)).drop("skew", "kurt").withColumns({c: F.round(c, 6 if c == "corr_t" else 4) for c in ("mean", "dev_pop", "dev", "corr_t", "slope_t")}))
+
+
+def _sql(body: str, view: Query = _run) -> Query:
+    def run(s: SparkSession, d: str) -> DataFrame:
+        SQL.register_sql(s, view(s, d))
+        return s.sql(body)
+
+    return run
+
+
+query("sql_words", f"SELECT series_id, t, word FROM ({O.words(O.reduced(O.RUN))})")(_sql("SELECT series_id, t, sax_word(x) AS word FROM reduced"))
+query("sql_neighbours", f"SELECT series_id, t, round({O.sq('x', 'y')}, 6) AS d2 FROM (SELECT series_id, t, x, lead(x) OVER (PARTITION BY series_id ORDER BY t) AS y FROM ({_ALL_X})) WHERE y IS NOT NULL")(_sql("SELECT series_id, t, round(sq_dist(x, y), 6) AS d2 FROM (SELECT series_id, t, x, lead(x) OVER (PARTITION BY series_id ORDER BY t) AS y FROM reduced) WHERE y IS NOT NULL"))
+query("udtf_windows", f"SELECT series_id, t AS start, a AS first, b AS last FROM (SELECT series_id, t, v::DOUBLE AS a, lead(v::DOUBLE, 19) OVER (PARTITION BY series_id ORDER BY t) AS b FROM ({O.RUN})) WHERE b IS NOT NULL")(_sql("SELECT r.series_id, e.start, e.win[0] AS first, e.win[19] AS last FROM (SELECT series_id, transform(array_sort(collect_list(struct(t, v))), p -> CAST(p.v AS DOUBLE)) AS vs FROM series GROUP BY series_id) r, LATERAL explode_windows(r.vs, 20) e"))
+query("udaf_medoid", f"WITH w AS MATERIALIZED ({_NEAR}), g AS (SELECT a.series_id, a.x, round(sum(sqrt({O.sq('a.x', 'b.x')})), 6) AS total FROM w a JOIN w b ON a.series_id = b.series_id GROUP BY a.series_id, a.t, a.x) SELECT series_id, min(total) AS total FROM g GROUP BY 1")(lambda s, d: _medoids(s, d))
+
+
+def _medoids(s: SparkSession, d: str) -> DataFrame:
+    """series_id, total: the sum of distances from the medoid of a run's candidates."""
+    rows = C.cut(_cand(s, d).select("series_id", "x"))
+    mid = rows.groupBy("series_id").agg(SQL.medoid("x").alias("m"))
+    return rows.join(mid, "series_id").groupBy("series_id").agg(F.round(F.sum(F.sqrt(VEC.sq_dist("x", "m", D))), 6).alias("total"))
+
 
 from wavemotif import experiments as _experiments  # noqa: E402, F401  registers its queries

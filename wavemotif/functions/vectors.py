@@ -43,7 +43,9 @@ def fixed_planes(sets: int, per_set: int, d: int, seed: int = 20) -> list[list[l
     """Normals of random hyperplanes, [set][plane][dimension]: seeded Gaussian directions without mean (vectors have none either), in
     thousandths, so that every engine reads the same integers."""
     x = np.random.default_rng(seed).normal(size=(sets, per_set, d))
-    return np.round(1000 * (x - x.mean(axis=2, keepdims=True))).astype(int).tolist()
+    if d > 1:
+        x = x - x.mean(axis=2, keepdims=True)
+    return np.round(1000 * x).astype(int).tolist()
 
 
 def bucket_key(x: Column, planes: list[list[int]], family: str = "sign", width: float = 4.0) -> Column:

@@ -18,6 +18,10 @@ from pyspark.sql import functions as F
 
 from wavemotif.functions.vectors import cf_sum, fixed_planes, sq_dist
 
+#: Rows of a bucket that one task clusters; a larger bucket is dealt in parts, whose centres the merge brings together.
+PART_ROWS = 20_000
+#: Largest number of such buckets whose names are broadcast.
+BROADCAST_HOT = 100_000
 ASSIGNED = "sensor string, series_id long, t long, x array<double>, level double, cluster_id long, dist double, evals long"
 
 
@@ -288,7 +292,11 @@ def cluster_parallel(cand: DataFrame, r: float = 1.0, d: int = 10, sets: int = 1
         n = np.bincount(ids, minlength=k)
         return pd.DataFrame({"sensor": group.sensor.iloc[0], "n": n, "c": list(c / n[:, None])})
 
-    cores = bucketed(rows, "x", d, sets, per_set, family, width).groupBy("sensor", "bucket").applyInPandas(local, "sensor string, n long, c array<double>")
+    spread = bucketed(rows, "x", d, sets, per_set, family, width)
+    hot = spread.groupBy("sensor", "bucket").agg(F.ceil(F.count("*") / PART_ROWS).alias("parts")).where("parts > 1").transform(cut)
+    hot = F.broadcast(hot) if hot.count() <= BROADCAST_HOT else hot
+    spread = spread.join(hot, ["sensor", "bucket"], "left").withColumn("part", F.pmod(F.xxhash64("series_id", "t"), F.coalesce("parts", F.lit(1))))
+    cores = spread.groupBy("sensor", "bucket", "part").applyInPandas(local, "sensor string, n long, c array<double>")
     cores = cores.withColumn("id", F.xxhash64(F.col("c"))).dropDuplicates(["sensor", "id"]).transform(cut)
     near = hash_pairs(cores.select("sensor", F.col("id").alias("aid"), F.col("c").alias("ax")), cores.select("sensor", F.col("id").alias("bid"), F.col("c").alias("bx")), d, r, sets, per_set, family, width).where("aid <> bid")
     near = near.join(cores.select("sensor", F.col("id").alias("bid"), F.col("n").alias("bn")), ["sensor", "bid"]).join(cores.select("sensor", F.col("id").alias("aid"), F.col("n").alias("an")), ["sensor", "aid"]).transform(cut)

@@ -72,9 +72,14 @@ def overlap_share(assigned: DataFrame, r: float, d: int) -> DataFrame:
 
 
 def purity(assigned: DataFrame) -> DataFrame:
-    """clusters, rows, pure: rows that carry the most frequent label of their cluster (label is in series_id)."""
-    per = assigned.groupBy("cluster_id", "series_id").agg(F.count("*").alias("c")).groupBy("cluster_id").agg(F.sum("c").alias("n"), F.max("c").alias("m"))
-    return per.agg(F.count("*").alias("clusters"), F.sum("n").alias("rows"), F.sum("m").alias("pure"))
+    """clusters, rows, pure (rows with the most frequent label of their cluster), adjusted_rand. The label is in series_id."""
+    cells = assigned.groupBy("cluster_id", "series_id").agg(F.count("*").alias("c"))
+    pairs = lambda c: F.sum(F.col(c) * (F.col(c) - 1) / 2)
+    per = cells.groupBy("cluster_id").agg(F.sum("c").alias("n"), F.max("c").alias("m"), pairs("c").alias("both")).agg(F.count("*").alias("clusters"), F.sum("n").alias("rows"), F.sum("m").alias("pure"), F.sum("both").alias("both"), pairs("n").alias("a"))
+    other = cells.groupBy("series_id").agg(F.sum("c").alias("n")).agg(pairs("n").alias("b"))
+    expected = F.col("a") * F.col("b") / (F.col("rows") * (F.col("rows") - 1) / 2)
+    rand = F.try_divide(F.col("both") - expected, (F.col("a") + F.col("b")) / 2 - expected)
+    return per.crossJoin(F.broadcast(other)).select("clusters", "rows", "pure", F.round(rand, 6).alias("adjusted_rand"))  # one row each
 
 
 def shifted_distance(a: str, b: str, d: int, shift: int) -> Column:

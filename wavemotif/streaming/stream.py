@@ -128,3 +128,20 @@ def centres(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     stream_windows(stream, m, 20, 4).writeStream.foreachBatch(write).option("checkpointLocation", f"{to}/state").trigger(availableNow=True).start().awaitTermination()
     return spark.read.parquet(f"{to}/out").groupBy("word").agg(F.sum("n").alias("n"), F.sum("v").alias("v"))
+
+
+def resumed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """series_id, steps, total of the run view by a stateful stream that is stopped after half of the input and started again from its checkpoint."""
+    to, steps = folder(spark), V.run_view(spark, sf_dir).select("series_id", "t", "v")
+    half = F.pmod(F.xxhash64("series_id", "t"), F.lit(2))
+
+    def write(batch: DataFrame, number: int) -> None:  # the last batch holds the whole result
+        batch.write.mode("overwrite").parquet(f"{to}/out/batch={number}")
+
+    for part in (0, 1):
+        steps.where(half == part).write.mode("append").parquet(f"{to}/in")
+        sums = spark.readStream.schema(steps.schema).parquet(f"{to}/in").groupBy("series_id").agg(F.count("*").alias("steps"), F.sum("v").alias("total"))
+        sums.writeStream.outputMode("complete").option("checkpointLocation", f"{to}/state").foreachBatch(write).trigger(availableNow=True).start().awaitTermination()
+    out = spark.read.parquet(f"{to}/out")
+    return out.where(F.col("batch") == out.agg(F.max("batch")).first()[0]).drop("batch")
+
