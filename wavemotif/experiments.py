@@ -23,6 +23,8 @@ from wavemotif.sources import views as V
 
 #: Hash settings that are compared: planes a set, sets.
 GRID = ((2, 3), (2, 5), (3, 5), (3, 10), (5, 10), (8, 10))
+#: Families with the width of their cells; cells of 4 are wider than these vectors are long, and then equal the sides.
+FAMILIES = (("sign", 4.0), ("quantised", 4.0), ("quantised", 2.0), ("quantised", 1.0))
 
 
 def _union(parts: list[DataFrame]) -> DataFrame:
@@ -58,27 +60,27 @@ _X = f"SELECT series_id, t, [{', '.join(f'p{j}' for j in range(D))}] AS x FROM (
 
 def _sweep_sql() -> str:
     parts = []
-    for family in ("sign", "quantised"):
+    for family, width in FAMILIES:
         for per_set, sets in GRID:
-            b = O.bucket_rows(O.RUN, family, sets, per_set)
-            parts.append(f"SELECT '{family}' AS family, {per_set} AS per_set, {sets} AS sets, count(*) AS pairs, count(h.t) AS candidates, count(*) FILTER (near)::BIGINT AS near, count(h.t) FILTER (near)::BIGINT AS found FROM p LEFT JOIN (SELECT DISTINCT a.series_id, a.t, b.t AS u FROM ({b}) a JOIN ({b}) b ON a.series_id = b.series_id AND a.set = b.set AND a.bucket = b.bucket AND a.t < b.t) h ON h.series_id = p.series_id AND h.t = p.t AND h.u = p.u")
+            b = O.bucket_rows(O.RUN, family, sets, per_set, width)
+            parts.append(f"SELECT '{family}' AS family, {width}::DOUBLE AS width, {per_set} AS per_set, {sets} AS sets, count(*) AS pairs, count(h.t) AS candidates, count(*) FILTER (near)::BIGINT AS near, count(h.t) FILTER (near)::BIGINT AS found FROM p LEFT JOIN (SELECT DISTINCT a.series_id, a.t, b.t AS u FROM ({b}) a JOIN ({b}) b ON a.series_id = b.series_id AND a.set = b.set AND a.bucket = b.bucket AND a.t < b.t) h ON h.series_id = p.series_id AND h.t = p.t AND h.u = p.u")
     return f"WITH c AS MATERIALIZED ({_X}), p AS MATERIALIZED (SELECT a.series_id, a.t, b.t AS u, {O.sq('a.x', 'b.x')} < 4 AS near FROM c a JOIN c b ON a.series_id = b.series_id AND a.t < b.t) " + " UNION ALL ".join(parts)
 
 
 @query("hash_sweep", _sweep_sql())
 def _hash_sweep(s: SparkSession, d: str) -> DataFrame:
-    """family, per_set, sets, pairs, candidates, near, found: pairs of a run that share a bucket, and those of them within 2, by setting."""
+    """family, width, per_set, sets, pairs, candidates, near, found: pairs of a run that share a bucket, and those of them within 2, by setting."""
     cand = P.candidates(V.run_view(s, d), W, D).select("series_id", "t", "x")
-    settings = [(f, per_set, sets) for f in ("sign", "quantised") for per_set, sets in GRID]
-    keys = [F.array(*[VEC.bucket_key(F.col("x"), p, f) for p in VEC.fixed_planes(sets, per_set, D)]).alias(f"k{i}") for i, (f, per_set, sets) in enumerate(settings)]
+    settings = [(f, width, per_set, sets) for f, width in FAMILIES for per_set, sets in GRID]
+    keys = [F.array(*[VEC.bucket_key(F.col("x"), p, f, width) for p in VEC.fixed_planes(sets, per_set, D)]).alias(f"k{i}") for i, (f, width, per_set, sets) in enumerate(settings)]
     a = C.cut(cand.select("*", *keys))
     names = [f"k{i}" for i in range(len(settings))]
     b = a.select("series_id", F.col("t").alias("u"), F.col("x").alias("y"), *[F.col(n).alias(f"{n}_b") for n in names])
     pairs = a.join(b, "series_id").where("t < u").withColumn("near", VEC.sq_dist("x", "y", D) < 4)
     hit = lambda n: F.exists(F.zip_with(n, f"{n}_b", lambda p, q: p == q), lambda h: h)
     both = pairs.agg(F.count("*").alias("pairs"), F.count_if("near").alias("near"), *[F.struct(F.count_if(hit(n)).alias("candidates"), F.count_if(hit(n) & F.col("near")).alias("found")).alias(n) for n in names])
-    rows = F.array(*[F.struct(F.lit(f).alias("family"), F.lit(per_set).alias("per_set"), F.lit(sets).alias("sets"), F.col(f"k{i}.candidates"), F.col(f"k{i}.found")) for i, (f, per_set, sets) in enumerate(settings)])
-    return both.select("pairs", "near", F.explode(rows).alias("r")).select("r.family", "r.per_set", "r.sets", "pairs", "r.candidates", "near", "r.found")
+    rows = F.array(*[F.struct(F.lit(f).alias("family"), F.lit(width).alias("width"), F.lit(per_set).alias("per_set"), F.lit(sets).alias("sets"), F.col(f"k{i}.candidates"), F.col(f"k{i}.found")) for i, (f, width, per_set, sets) in enumerate(settings)])
+    return both.select("pairs", "near", F.explode(rows).alias("r")).select("r.family", "r.width", "r.per_set", "r.sets", "pairs", "r.candidates", "near", "r.found")
 
 
 # ---------------------------------------------------------------- short sets, with a support of two

@@ -49,7 +49,7 @@ def fixed_planes(sets: int, per_set: int, d: int, seed: int = 20) -> list[list[l
 
 
 def bucket_key(x: Column, planes: list[list[int]], family: str = "sign", width: float = 4.0) -> Column:
-    """A text key of one set: sides of the planes, or cells along their normals."""
+    """A text key of one set: sides of the planes, or cells along their normals. Cells as wide as vectors are long only tell the sides."""
     if family == "sign":
         return F.concat(*[F.when(dot(x, p) >= 0, "1").otherwise("0") for p in planes])
     return F.concat_ws("_", *[F.floor(dot(x, p) / F.lit(width * float(sum(e * e for e in p)) ** 0.5)).cast("string") for p in planes])

@@ -121,11 +121,11 @@ def greedy(clusters: str) -> str:
  SELECT unnest(kept) AS cluster_id FROM (SELECT kept FROM g ORDER BY rn DESC LIMIT 1)"""
 
 
-def bucket_rows(series: str, family: str, sets: int = 5, per_set: int = 3) -> str:
+def bucket_rows(series: str, family: str, sets: int = 5, per_set: int = 3, width: float = 4.0) -> str:
     planes, out = fixed_planes(sets, per_set, D), []
     for i, p in enumerate(planes):
         dots = [" + ".join(["0.0::DOUBLE", *[f"p{j} * {float(c)}::DOUBLE" for j, c in enumerate(n)]]) for n in p]
-        key = " || ".join(f"CASE WHEN {e} >= 0 THEN '1' ELSE '0' END" for e in dots) if family == "sign" else " || '_' || ".join(f"floor(({e}) / {4.0 * float(sum(c * c for c in n)) ** 0.5!r}::DOUBLE)::BIGINT::VARCHAR" for e, n in zip(dots, p, strict=True))
+        key = " || ".join(f"CASE WHEN {e} >= 0 THEN '1' ELSE '0' END" for e in dots) if family == "sign" else " || '_' || ".join(f"floor(({e}) / {width * float(sum(c * c for c in n)) ** 0.5!r}::DOUBLE)::BIGINT::VARCHAR" for e, n in zip(dots, p, strict=True))
         out.append(f"SELECT sensor, series_id, t, {i} AS set, {key} AS bucket FROM c")
     return f"WITH c AS ({candidates(series)}) " + " UNION ALL ".join(out)
 
