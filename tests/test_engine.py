@@ -9,6 +9,7 @@ from wavemotif.functions import vectors as VEC
 from wavemotif.operators import baselines as B
 from wavemotif.operators import cluster as C
 from wavemotif.operators import extract as X
+from wavemotif.operators import matching as M
 from wavemotif.operators import measures as S
 from wavemotif.operators import prep as P
 from wavemotif.operators import relational as R
@@ -323,3 +324,50 @@ def test_time_curve(spark):
 
     rows = runtime_curve(spark, SF, (1, 2)).collect()
     assert len(rows) == 8 and all(r.found > 0 and r.seconds > 0 for r in rows) and {r.windows for r in rows} == {338, 676}
+
+
+def vectors_of(spark, n, seed):
+    """n vectors of ten frames with mean zero, in two sensors; the first third is one vector repeated, a hot cell."""
+    x = np.random.default_rng(seed).normal(size=(n, 10))
+    x[: n // 3] = x[0]
+    x -= x.mean(axis=1, keepdims=True)
+    return [("ab"[i % 2], i // 7, i % 7, v.tolist()) for i, v in enumerate(x)]
+
+
+@pytest.mark.parametrize("limit", [100_000, 0])
+def test_grid_near_is_exact_in_both_forms(spark, limit):
+    a, b = vectors_of(spark, 300, 1), vectors_of(spark, 60, 2) + vectors_of(spark, 300, 1)[:2]
+    left = spark.createDataFrame(a, "sensor string, series_id long, t long, x array<double>")
+    right = spark.createDataFrame([(s, i, v) for i, (s, _, _, v) in enumerate(b)], "sensor string, k long, y array<double>")
+    for eps in (0.5, 2.5):
+        got = sorted((r.sensor, r.series_id, r.t, r.k) for r in C.grid_near(left, right, eps, 10, limit=limit, part_rows=20).collect())
+        want = sorted((s, i, t, k) for s, i, t, x in a for k, (s2, _, _, y) in enumerate(b) if s == s2 and sum((p - q) ** 2 for p, q in zip(x, y, strict=True)) <= eps * eps)
+        assert got == want and got
+
+
+def test_measures_by_grid_equal_all_centres(spark):
+    rows = [(s, i, t, x, 0.0, (i * 7 + t) % 12, 0.0, 0) for s, i, t, x in vectors_of(spark, 240, 3)]
+    rows += [("alone", 0, 0, [1.0, -1.0] + [0.0] * 8, 0.0, 0, 0.0, 0)]
+    assigned = C.cut(spark.createDataFrame(rows, ROW))
+    mean = {(r.sensor, r.cluster_id): np.array(r.centroid) for r in C.centers(assigned, 10).collect()}
+    gaps = {(s, i, t): {c: float(((np.array(x) - m) ** 2).sum()) for (s2, c), m in mean.items() if s2 == s} for s, i, t, x, *_ in rows}
+    wrong = {s: sum(min(gaps[s, i, t], key=lambda c, g=gaps[s, i, t]: (round(g[c], 9), c)) != k for s2, i, t, _, _, k, _, _ in rows if s2 == s) for s in ("a", "b", "alone")}
+    for r in (0.5, 3.0):  # most members beyond r, and none
+        assert {x.sensor: x.misplaced for x in S.misplacement(assigned, 10, r).collect()} == wrong
+    for r in (1.0, 3.0):
+        shared = {s: sum(sum(v < r * r for v in g.values()) > 1 for (s2, _, _), g in gaps.items() if s2 == s) for s in ("a", "b", "alone")}
+        assert {x.sensor: x.shared for x in S.overlap_share(assigned, r, 10).collect()} == shared
+        rare = {k for k, g in gaps.items() if min(v for c, v in g.items()) > r * r}
+        motifs = C.centers(assigned, 10).withColumnRenamed("cluster_id", "motif_id")
+        assert {(x.sensor, x.series_id, x.t) for x in M.rare_windows(assigned, motifs, 10**6, r, 10).collect()} == rare
+        best = {k: min((round(v, 9), c) for c, v in g.items())[1] for k, g in gaps.items() if min(g.values()) < r * r}
+        assert {(x.sensor, x.series_id, x.t): x.motif_id for x in M.match(assigned, motifs, r, 10).collect()} == best
+
+
+def test_numbers_are_gapless_a_sensor(spark):
+    rows = spark.range(5000).select(F.when(F.col("id") % 3 == 0, "a").otherwise("b").alias("sensor"), F.struct(F.col("id").alias("series_id"), (F.col("id") % 5).alias("t")).alias("aid"))
+    got = C.numbered(rows, "aid", "own").collect()
+    for s in ("a", "b"):
+        own = sorted(r.own for r in got if r.sensor == s)
+        assert own == list(range(1, len(own) + 1))
+    assert sorted(map(str, got)) == sorted(map(str, C.numbered(rows.repartition(3), "aid", "own").collect()))

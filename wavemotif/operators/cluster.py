@@ -13,15 +13,18 @@ from collections.abc import Callable
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from wavemotif.functions.vectors import cf_sum, fixed_planes, sq_dist
+from wavemotif.functions.vectors import cf_sum, dot, fixed_planes, sq_dist
 
 #: Rows of a bucket that one task clusters; a larger bucket is dealt in parts, whose centres the merge brings together.
 PART_ROWS = 20_000
 #: Largest number of such buckets whose names are broadcast.
 BROADCAST_HOT = 100_000
+#: Largest number of cells of vectors (some 100 bytes each) that grid_near broadcasts.
+GRID_BROADCAST = 100_000
+NUMBER_BINS = 1024
 ASSIGNED = "sensor string, series_id long, t long, x array<double>, level double, cluster_id long, dist double, evals long"
 
 
@@ -273,6 +276,15 @@ def hash_pairs(a: DataFrame, b: DataFrame, d: int, r: float, sets: int, per_set:
     return near.groupBy("sensor", "aid", "bid").agg(F.min("d2").alias("d2"))
 
 
+def numbered(df: DataFrame, key: str, name: str) -> DataFrame:
+    """df with the numbers 1, 2, .. of its rows a sensor, by a unique key: counts of hashed bins first, so no task sorts more than a bin."""
+    binned = df.withColumn("_bin", F.pmod(F.xxhash64(key), F.lit(NUMBER_BINS)))
+    before = Window.partitionBy("sensor").orderBy("_bin").rowsBetween(Window.unboundedPreceding, -1)
+    offsets = binned.groupBy("sensor", "_bin").agg(F.count("*").alias("_n")).select("sensor", "_bin", F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_before"))
+    place = F.row_number().over(Window.partitionBy("sensor", "_bin").orderBy(key))
+    return binned.withColumn("_place", place).join(offsets, ["sensor", "_bin"]).withColumn(name, F.col("_before") + F.col("_place")).drop("_bin", "_place", "_before")
+
+
 def cluster_parallel(cand: DataFrame, r: float = 1.0, d: int = 10, sets: int = 10, per_set: int = 8, family: str = "quantised", width: float = 4.0, merge: str = "dominating", max_rounds: int = 50) -> DataFrame:
     """ASSIGNED by bucket-local clustering and a merge.
 
@@ -332,7 +344,7 @@ def cluster_parallel(cand: DataFrame, r: float = 1.0, d: int = 10, sets: int = 1
     best = pairs.groupBy("sensor", "aid").agg(F.min(F.struct("d2", "bid")).alias("m")).select("sensor", "aid", F.col("m.d2").alias("d2"), F.col("m.bid").alias("root")).join(final.select("sensor", "root", "cluster_id"), ["sensor", "root"])
     best = best.select("sensor", "aid", "cluster_id", "d2").transform(cut)
     # rows without a cluster count down from -1, so no run is too long for its ids
-    alone = keyed.select("sensor", "aid").join(best, ["sensor", "aid"], "left_anti").withColumn("own", -F.row_number().over(Window.partitionBy("sensor").orderBy("aid")).cast("long"))
+    alone = numbered(keyed.select("sensor", "aid").join(best, ["sensor", "aid"], "left_anti"), "aid", "own").withColumn("own", -F.col("own"))
     out = keyed.join(best, ["sensor", "aid"], "left").join(alone, ["sensor", "aid"], "left")
     return out.select("sensor", "series_id", "t", "x", "level", F.coalesce("cluster_id", "own").alias("cluster_id"), F.sqrt(F.coalesce("d2", F.lit(0.0))).alias("dist"), F.lit(0).cast("long").alias("evals"))
 
@@ -365,23 +377,40 @@ def cluster_cf_shards(cand: DataFrame, r: float = 1.0, d: int = 10, shards: int
     return joined.join(means, ["sensor", "cluster_id"]).select("sensor", "series_id", "t", "x", "level", "cluster_id", F.sqrt(sq_dist("x", "centroid", d)).alias("dist"), (F.col("evals") + F.col("more")).alias("evals"))
 
 
+def haar_cells(x: str, side: float, d: int, q: int) -> list[Column]:
+    """Cells of a side over the first q projections on orthonormal Haar differences; no distance is shorter than its projections."""
+    half = d // 2
+    rows = [[1.0] * m + [-1.0] * m + [0.0] * (d - 2 * m) for m in (half, half // 2)[:q] if m]
+    return [F.floor(dot(F.col(x), [w / sum(v * v for v in row) ** 0.5 for w in row]) / side).cast("long") for row in rows]
+
+
+def grid_near(a: DataFrame, b: DataFrame, eps: float, d: int, q: int = 2, limit: int = GRID_BROADCAST, part_rows: int = PART_ROWS) -> DataFrame:
+    """a(sensor, x, ..) beside b(sensor, y, ..) with d2, for all pairs of a sensor at distance eps or less.
+
+    A row of a meets the rows of b in 3**q cells around it. Cells of b go to the executors while they are at most limit rows;
+    beyond that both sides are shuffled, and rows of a in a cell with more than part_rows are dealt in parts, each beside all of b there.
+    """
+    side = eps * (1 + 1e-9)
+    left, right, on = a, b, ["sensor"]
+    for i, (mine, other) in enumerate(zip(haar_cells("x", side, d, q), haar_cells("y", side, d, q), strict=True)):
+        left = left.withColumn(f"_c{i}", mine)
+        right = right.withColumn("_at", other).withColumn(f"_c{i}", F.explode(F.array(F.col("_at") - 1, F.col("_at"), F.col("_at") + 1))).drop("_at")
+        on.append(f"_c{i}")
+    if limit and right.limit(limit + 1).count() <= limit:
+        pairs = left.join(F.broadcast(right), on)
+    else:
+        hot = left.groupBy(*on).agg(F.ceil(F.count("*") / part_rows).alias("_parts")).where("_parts > 1").transform(cut)
+        hot = F.broadcast(hot) if hot.count() <= BROADCAST_HOT else hot
+        left = left.join(hot, on, "left").withColumn("_part", F.pmod(F.xxhash64(*a.columns), F.coalesce("_parts", F.lit(1)))).drop("_parts")
+        right = right.join(hot, on, "left").withColumn("_part", F.explode(F.sequence(F.lit(0).cast("long"), F.coalesce("_parts", F.lit(1)) - 1))).drop("_parts")
+        on = [*on, "_part"]
+        pairs = left.join(right, on)
+    return pairs.withColumn("d2", sq_dist("x", "y", d)).where(F.col("d2") <= eps * eps).drop(*on[1:])
+
+
 def eps_join(a: DataFrame, eps: float, d: int, method: str = "grid", q: int = 2) -> DataFrame:
-    """(sensor, aid, bid) for pairs aid < bid of one sensor at distance <= eps. grid loses none: cells of side eps over the first
-    q differences of orthonormal Haar type, each vector against 3**q neighbouring cells."""
+    """(sensor, aid, bid) for pairs aid < bid of one sensor at distance <= eps, by grid_near or, as its baseline, by all pairs."""
+    left, right = a.select("sensor", F.col("id").alias("aid"), "x"), a.select("sensor", F.col("id").alias("bid"), F.col("x").alias("y"))
     if method == "brute":
-        b = a.select(F.col("sensor").alias("s2"), F.col("id").alias("bid"), F.col("x").alias("y"))
-        return a.join(b, (F.col("sensor") == F.col("s2")) & (F.col("id") < F.col("bid"))).where(sq_dist("x", "y", d) <= eps * eps).select("sensor", F.col("id").alias("aid"), "bid")
-    half = d // 2
-    up = [1.0] * half + [-1.0] * half + [0.0] * (d - 2 * half)
-    quarter = [1.0] * (half // 2) + [-1.0] * (half // 2) + [0.0] * (d - 2 * (half // 2))
-    cells = []
-    for weights in (up, quarter)[:q]:
-        norm = sum(w * w for w in weights) ** 0.5
-        proj = sum((F.col("x")[i] * F.lit(w / norm) for i, w in list(enumerate(weights))[1:]), F.col("x")[0] * F.lit(weights[0] / norm))
-        cells.append(F.floor(proj / eps).cast("long"))
-    left = a.select("sensor", F.col("id").alias("aid"), "x", *[c.alias(f"c{i}") for i, c in enumerate(cells)])
-    right = a.select("sensor", F.col("id").alias("bid"), F.col("x").alias("y"), *[c.alias(f"b{i}") for i, c in enumerate(cells)])
-    for i in range(len(cells)):
-        right = right.withColumn(f"c{i}", F.explode(F.array(F.col(f"b{i}") - 1, F.col(f"b{i}"), F.col(f"b{i}") + 1)))
-    on = ["sensor", *[f"c{i}" for i in range(len(cells))]]
-    return left.join(right, on).where((F.col("aid") < F.col("bid")) & (sq_dist("x", "y", d) <= eps * eps)).select("sensor", "aid", "bid")
+        return left.join(right, "sensor").where((F.col("aid") < F.col("bid")) & (sq_dist("x", "y", d) <= eps * eps)).select("sensor", "aid", "bid")
+    return grid_near(left, right, eps, d, q, limit=0).where("aid < bid").select("sensor", "aid", "bid")

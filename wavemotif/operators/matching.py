@@ -5,13 +5,12 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from wavemotif.functions.vectors import sq_dist
-from wavemotif.operators.measures import beside_centres
+from wavemotif.operators.cluster import grid_near
 
 
 def match(reduced: DataFrame, motifs: DataFrame, r: float, d: int) -> DataFrame:
     """Windows nearer than r to a motif, with the nearest one: sensor, series_id, t, motif_id, dist."""
-    near = beside_centres(reduced, motifs.select("sensor", "motif_id", "centroid")).withColumn("d2", sq_dist("x", "centroid", d)).where(F.col("d2") < r * r)
+    near = grid_near(reduced.select("sensor", "series_id", "t", "x"), motifs.select("sensor", "motif_id", F.col("centroid").alias("y")), r, d).where(F.col("d2") < r * r)
     best = near.groupBy("sensor", "series_id", "t").agg(F.min(F.struct("d2", "motif_id")).alias("m"))
     return best.select("sensor", "series_id", "t", "m.motif_id", F.sqrt("m.d2").alias("dist"))
 
@@ -83,8 +82,8 @@ def rare_windows(assigned: DataFrame, motifs: DataFrame, max_support: int, min_d
     """Members of clusters of at most max_support members that lie farther than min_dist from every motif."""
     rare = assigned.groupBy("sensor", "cluster_id").agg(F.count("*").alias("n")).where(F.col("n") <= max_support).drop("n")
     rows = assigned.join(rare, ["sensor", "cluster_id"], "left_semi").select("sensor", "series_id", "t", "x")
-    near = beside_centres(rows, motifs.select("sensor", "centroid"), "left").groupBy("sensor", "series_id", "t").agg(F.min(sq_dist("x", "centroid", d)).alias("d2"))
-    return near.where(F.col("d2").isNull() | (F.col("d2") > min_dist**2)).select("sensor", "series_id", "t")
+    near = grid_near(rows, motifs.select("sensor", F.col("centroid").alias("y")), min_dist, d).select("sensor", "series_id", "t")
+    return rows.select("sensor", "series_id", "t").join(near, ["sensor", "series_id", "t"], "left_anti")
 
 
 def train_fault_classifier(features: DataFrame, columns: list[str]):

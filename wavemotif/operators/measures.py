@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from wavemotif.functions.vectors import sq_dist
-from wavemotif.operators.cluster import centers
+from wavemotif.operators.cluster import centers, grid_near
 
 CLUSTER = ["sensor", "cluster_id"]
 #: Largest number of centres (some 100 bytes each) that is broadcast; beyond it rows and centres meet in salted parts of a sensor.
@@ -40,12 +40,20 @@ def cluster_diameter(assigned: DataFrame, r: float, d: int) -> DataFrame:
     return pairs.groupBy(*CLUSTER).agg(F.count_if(F.col("k") == F.col("k2")).alias("n"), F.round(F.sqrt(F.max("d2")), 6).alias("diameter"), (F.max("d2") <= 4 * r * r).alias("within"))
 
 
-def misplacement(assigned: DataFrame, d: int) -> DataFrame:
-    """sensor, members, misplaced: members whose own centroid is not the nearest one of the sensor."""
-    c = centers(assigned, d)
-    near = beside_centres(assigned.select("sensor", "series_id", "t", "x", "cluster_id"), c.select("sensor", F.col("cluster_id").alias("other"), "centroid"))
-    best = near.groupBy("sensor", "series_id", "t", "cluster_id").agg(F.min(F.struct(sq_dist("x", "centroid", d).alias("d2"), "other")).alias("m"))
-    return best.groupBy("sensor").agg(F.count("*").alias("members"), F.count_if(F.col("m.other") != F.col("cluster_id")).alias("misplaced"))
+def misplacement(assigned: DataFrame, d: int, r: float = 1.0) -> DataFrame:
+    """sensor, members, misplaced: members whose own centroid is not the nearest one of the sensor (of equal ones the least id).
+
+    Exact for any r: members within r of their centroid meet the centroids of the grid cells around them, which hold all that are
+    nearer; only the others, few in bounded spheres, meet all centroids of the sensor.
+    """
+    c = centers(assigned, d).select("sensor", F.col("cluster_id").alias("other"), F.col("centroid").alias("y"))
+    own = with_centroid(assigned, d).select("sensor", "series_id", "t", "x", "cluster_id", F.col("d2").alias("own"))
+    near = grid_near(own.where(F.col("own") <= r * r), c, r, d).select("sensor", "series_id", "t", "cluster_id", "own", "other", "d2")
+    far = beside_centres(own.where(F.col("own") > r * r), c).select("sensor", "series_id", "t", "cluster_id", "own", "other", sq_dist("x", "y", d).alias("d2"))
+    better = (F.col("d2") < F.col("own")) | ((F.col("d2") == F.col("own")) & (F.col("other") < F.col("cluster_id")))
+    wrong = near.unionByName(far).where(better).select("sensor", "series_id", "t").distinct().groupBy("sensor").agg(F.count("*").alias("misplaced"))
+    members = assigned.groupBy("sensor").agg(F.count("*").alias("members"))
+    return members.join(wrong, "sensor", "left").select("sensor", "members", F.coalesce("misplaced", F.lit(0)).alias("misplaced"))
 
 
 def match_quality(occurrences: DataFrame, truth: DataFrame, max_shift: int = 10) -> DataFrame:
@@ -65,10 +73,10 @@ def tightness(assigned: DataFrame, d: int) -> DataFrame:
 
 
 def overlap_share(assigned: DataFrame, r: float, d: int) -> DataFrame:
-    """sensor, members, shared: members within r of more than one centroid."""
-    near = beside_centres(assigned.select("sensor", "series_id", "t", "x"), centers(assigned, d).select("sensor", "centroid"))
-    per = near.groupBy("sensor", "series_id", "t").agg(F.count_if(sq_dist("x", "centroid", d) < r * r).alias("c"))
-    return per.groupBy("sensor").agg(F.count("*").alias("members"), F.count_if(F.col("c") > 1).alias("shared"))
+    """sensor, members, shared: members within r of more than one centroid, by grid cells."""
+    near = grid_near(assigned.select("sensor", "series_id", "t", "x"), centers(assigned, d).select("sensor", F.col("centroid").alias("y")), r, d)
+    per = near.where(F.col("d2") < r * r).groupBy("sensor", "series_id", "t").agg(F.count("*").alias("c")).groupBy("sensor").agg(F.count_if(F.col("c") > 1).alias("shared"))
+    return assigned.groupBy("sensor").agg(F.count("*").alias("members")).join(per, "sensor", "left").select("sensor", "members", F.coalesce("shared", F.lit(0)).alias("shared"))
 
 
 def purity(assigned: DataFrame) -> DataFrame:
