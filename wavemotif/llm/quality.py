@@ -1,8 +1,8 @@
 """Quality of documents by an interpolated modified Kneser-Ney n-gram model of trusted text.
 
-The model reads words letter by letter: an n-gram is up to five symbols of a word framed by start marks and an end mark, a
-word equal to the one before it is a symbol of its own, and digits are one symbol. Symbols take 12 bits, so an n-gram is an integer
-and contexts and suffixes are shifts and masks; counting, continuation counts, discounts and interpolation are DataFrame
+The model reads words letter by letter: an n-gram is up to five symbols of a word framed by start marks and an end mark, and a
+word equal to the one before it is a symbol of its own. Each digit and letter of any script is told apart; those beyond U+07BF are
+two symbols. Symbols take 12 bits, so an n-gram is an integer and contexts and suffixes are shifts and masks; counting, continuation counts, discounts and interpolation are DataFrame
 aggregations and joins over all trusted text. Tasks sum words and then n-grams before anything is shuffled.
 
 Scoring is a join of the n-grams that the corpus holds with the count tables, dealt by n-gram: each asks for its
@@ -38,19 +38,30 @@ BROADCAST_GRAMS = 4_000_000
 SALTS = 32
 FLUSH_WORDS = 200_000
 KNOWN_WORDS = 400_000
-REPEAT = b"\x03"
+#: Stands for a word that equals the one before; no valid UTF-8.
+REPEAT = b"\xff"
+#: First of the lead and of the trail symbols of letters that take two: 1984 + 1088 + 1024 symbols fill the 12 bits.
+LEAD, TRAIL = np.uint64(1984), np.uint64(3072)
+MARKS = {m: chr(0xD800 + m) for m in (START, END, SAME)}
 QUANTILE = 0.995
 
 
 def symbols(words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    """(codes, lengths): for each word START marks, its letters, END; length counts letters and END."""
-    raw = b"".join(words)
-    if b"\x01" in raw or b"\x02" in raw:  # the marks themselves, inside a word
-        words = [w.replace(b"\x01", b"?").replace(b"\x02", b"?") for w in words]
-    text = "".join("\x01" * (ORDER - 1) + w.decode("utf-8", "replace") + "\x02" for w in words)
-    code = np.frombuffer(text.encode("utf-32-le", "replace"), np.uint32).astype(np.uint64)
-    code = np.where((code >= 48) & (code <= 57), np.uint64(48), code)
-    code = np.where(code < 3072, code, 3072 + code % 1024)  # rare scripts share symbols
+    """(codes, lengths): for each word START marks, its letters, END; length counts letters and END.
+
+    No two letters share a symbol: code points below LEAD are one, the others, and those with the numbers of the marks, are a lead
+    (their upper bits) and a trail (the lower ten). The marks are lone surrogates until then, which no text holds."""
+    text = "".join(MARKS[START] * (ORDER - 1) + (MARKS[SAME] if w == REPEAT else w.decode("utf-8", "replace")) + MARKS[END] for w in words)
+    code = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
+    mark = (code > 0xD800) & (code <= 0xD800 + SAME)
+    long = ((code >= LEAD) | ((code >= START) & (code <= SAME))) & ~mark
+    code[mark] -= np.uint64(0xD800)
+    if long.any():
+        first = np.cumsum(1 + long) - 1 - long
+        wide = np.empty(len(code) + int(long.sum()), np.uint64)
+        wide[first] = np.where(long, LEAD + (code >> np.uint64(10)), code)
+        wide[first[long] + 1] = TRAIL + (code[long] & np.uint64(1023))
+        code = wide
     ends = np.flatnonzero(code == END)
     return code, np.diff(np.concatenate([[-1], ends])) - (ORDER - 1)
 
