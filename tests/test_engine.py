@@ -172,6 +172,19 @@ def test_nearest_by_products_is_the_first_exact_one():
     assert (got[:1000] == np.concatenate(plain)).all()
 
 
+def test_closest_pair_meets_in_blocks(spark):
+    """No task holds all windows of a sensor, and blocks of any size give the pair of all pairs, ties to the smaller keys."""
+    rng = np.random.default_rng(6)
+    x = rng.integers(0, 4, (400, 3)).astype(float)
+    rows = [("s", i // 40, i % 40, v) for i, v in enumerate(x.tolist())]
+    win = spark.createDataFrame([(*r, 0.0, 0.0) for r in rows], "sensor string, series_id long, t long, x array<double>, g double, bound double")
+    want = min((sum((p - q) ** 2 for p, q in zip(a[3], b[3], strict=True)), *a[1:3], *b[1:3]) for a in rows for b in rows if a[1] < b[1] or (a[1] == b[1] and b[2] - a[2] >= 5))
+    got = B.least_pairs(win, win, ["sensor"], 3, 5, block=64).collect()
+    assert len(got) > 30 and min((r.d2, r.series_a, r.t_a, r.series_b, r.t_b) for r in got) == want
+    for method in ("brute", "reference"):
+        assert [tuple(r)[1:] for r in B.closest_pair(win, 3, 5, method).collect()] == [(*want[1:], want[0])]
+
+
 def test_asof_ties_and_tolerance(spark):
     left = spark.createDataFrame([(1, 5), (1, 50)], "k long, t long")
     right = spark.createDataFrame([(1, 3, "a"), (1, 7, "b")], "k long, t long, name string")
