@@ -473,3 +473,22 @@ def test_nearest_later_rows_are_the_first_exact_ones():
             free = [j for j in range(i + 1, 120) if s[j] != s[i] or t[j] - t[i] >= 5]
             d2 = [((x[j, 0] - x[i, 0]) ** 2 + (x[j, 1] - x[i, 1]) ** 2) + (x[j, 2] - x[i, 2]) ** 2 for j in free]
             assert (gap[i], partner[i]) == ((min(d2), free[d2.index(min(d2))]) if free else (np.inf, -1))
+
+
+def test_density_clusters_in_blocks_equal_brute_force(spark, monkeypatch):
+    monkeypatch.setattr(B.near_blocks, "__defaults__", (16,))
+    rng = np.random.default_rng(6)
+    x = np.round(np.concatenate([rng.normal(c, 0.5, (50, 4)) for c in (0, 3, 9)]), 2)
+    x[:4] = x[4]  # equal rows
+    cand = spark.createDataFrame([("s", i, v.tolist()) for i, v in enumerate(x)], "sensor string, id long, x array<double>")
+    for min_pts in (1, 2, 5):
+        near = ((x[:, None] - x[None]) ** 2).sum(axis=2) <= 0.64
+        core = near.sum(axis=1) >= min_pts
+        root = np.where(core, np.arange(len(x)), len(x))
+        for _ in x:
+            root = np.where(core, np.where(near & core, root, len(x)).min(axis=1), len(x))
+        want = np.where(core, root, np.where(near & core, root, len(x)).min(axis=1))
+        got = {r.id: r.cluster_id for r in B.dbscan(cand, 0.8, min_pts, 4).collect()}
+        assert [len(x) if got[i] is None else got[i] for i in range(len(x))] == want.tolist()
+    pairs = B.near_blocks(cand.transform(C.cut), 0.8, 4, lambda near, u, v, self: u.select([]).append_column("n", [[int(near.sum())] * len(u)]).slice(0, 1), "n long")
+    assert pairs.count() > 10  # many blocks
