@@ -86,24 +86,25 @@ class BlockIndex:
             keys = ((prints >> shift) & mask).astype(np.int64)
             order = np.argsort(keys, kind="stable")
             ends = np.searchsorted(keys[order], np.arange(int(mask) + 2))
-            self.tables.append((order, ends))
+            self.tables.append((order, ends, ends[1:] > ends[:-1]))
 
     def near(self, queries: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(query, print) numbers of all pairs within the radius, once each."""
         q, p = [np.empty(0, np.int64)], [np.empty(0, np.int64)]
-        for (shift, mask), (order, ends) in zip(self.blocks, self.tables, strict=True):
+        for (shift, mask), (order, ends, held) in zip(self.blocks, self.tables, strict=True):
             key = ((queries >> shift) & mask).astype(np.int64)
-            lo, n = ends[key], ends[key + 1] - ends[key]
-            hit = np.flatnonzero(n)
+            hit = np.flatnonzero(held[key])
             if not len(hit):
                 continue
-            rep = np.repeat(hit, n[hit])
-            at = order[np.arange(len(rep)) - np.repeat(np.cumsum(n[hit]) - n[hit], n[hit]) + np.repeat(lo[hit], n[hit])]
+            lo = ends[key[hit]]
+            n = ends[key[hit] + 1] - lo
+            rep = np.repeat(hit, n)
+            at = order[np.arange(len(rep)) + np.repeat(lo - np.cumsum(n) + n, n)]
             good = np.bitwise_count(queries[rep] ^ self.prints[at]) <= self.radius
             q.append(rep[good])
             p.append(at[good])
-        pairs = np.unique(np.stack([np.concatenate(q), np.concatenate(p)]), axis=1)
-        return pairs[0], pairs[1]
+        pairs = np.unique(np.concatenate(q) * len(self.prints) + np.concatenate(p))  # one number a pair
+        return pairs // len(self.prints), pairs % len(self.prints)
 
 
 class Weights:
