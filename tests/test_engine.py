@@ -492,3 +492,56 @@ def test_density_clusters_in_blocks_equal_brute_force(spark, monkeypatch):
         assert [len(x) if got[i] is None else got[i] for i in range(len(x))] == want.tolist()
     pairs = B.near_blocks(cand.transform(C.cut), 0.8, 4, lambda near, u, v, self: u.select([]).append_column("n", [[int(near.sum())] * len(u)]).slice(0, 1), "n long")
     assert pairs.count() > 10  # many blocks
+
+
+@pytest.mark.parametrize("method", ["all", "cftree"])
+def test_rows_of_a_sensor_pass_through_its_task(spark, method):
+    """Ids as by insertion in order, over batches smaller than a sensor; no task is handed all rows of a sensor at once."""
+    rng = np.random.default_rng(7)
+    rows = [("ab"[i % 2], int(i % 7), i, (rng.normal(0, 0.3, 4) + rng.integers(0, 3, 4)).tolist(), 0.0) for i in range(400)]
+    cand = spark.createDataFrame(rows, "sensor string, series_id long, t long, x array<double>, level double").repartition(5)
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", 30)
+    try:
+        out = C.cluster(cand, 1.0, method)
+        got = {(r.sensor, r.series_id, r.t): r for r in out.collect()}
+        hashed = {(r.sensor, r.series_id, r.t): r.cluster_id for r in C.cluster(cand, 1.0, method, order="hash").collect()}
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    assert "FlatMapGroups" not in out._jdf.queryExecution().toString() and C.streams(method)
+    for s in "ab":
+        own = sorted((r for r in rows if r[0] == s), key=lambda r: r[1:3])
+        x = np.array([r[3] for r in own])
+        ids, evals = C.METHODS[method](x, 1.0)
+        c = C.means_of(x, ids)
+        assert [got[r[:3]].cluster_id for r in own] == ids.tolist() and {got[r[:3]].evals for r in own} == {evals}
+        assert np.allclose([got[r[:3]].dist for r in own], np.sqrt(((x - c[ids]) ** 2).sum(axis=1)))
+        own.sort(key=lambda r: ((r[2] * 7919 + 13) % 104_729, r[2], r[1]))
+        assert [hashed[r[:3]] for r in own] == C.METHODS[method](np.array([r[3] for r in own]), 1.0)[0].tolist()
+
+
+@pytest.mark.parametrize("min_pts", [1, 2, 4])
+def test_levels_of_large_clusters_take_one_pass(spark, min_pts):
+    """Levels as by comparing all rows; no window frame is read again for each row."""
+    rng = np.random.default_rng(8)
+    level = np.round(rng.uniform(0, 8, 120), 1)
+    out = X.split_levels(members(spark, [(1, i, lv) for i, lv in enumerate(level)]), 0.2, min_pts)
+    plan = out._jdf.queryExecution().toString()
+    assert "RangeFrame, -" not in plan and "unboundedfollowing$" not in plan.split("Physical Plan")[-1]
+    lv = np.round(level * 1e9).astype(int)
+    near = np.abs(lv[:, None] - lv) <= 200_000_000
+    core = near.sum(axis=1) >= min_pts
+    steps = np.unique(lv[core])
+    ids = dict(zip(steps.tolist(), np.cumsum(np.diff(steps, prepend=steps[:1]) > 200_000_000).tolist(), strict=True))
+    want = {i: ids[min(steps.tolist(), key=lambda c: (abs(c - v), c))] for i, v in enumerate(lv.tolist()) if near[i][core].any()}
+    assert {r.t: r.level_id for r in out.collect()} == want
+
+
+def test_segments_of_members_repeat_no_window(spark):
+    rng = np.random.default_rng(9)
+    win = spark.createDataFrame([("s", i // 60, i % 60, rng.normal(0, 2, 3).tolist()) for i in range(180)], "sensor string, series_id long, t long, x array<double>")
+    m = win.where("t % 5 = 0").withColumn("cluster_id", F.pmod("t", F.lit(3))).withColumn("c", F.array(*[F.lit(0.1)] * 3))
+    got, keys = X.member_segments(m, win, 0.3, 3)
+    want, _, same = X._segments(m, win, 0.3, 3)
+    cols = [*keys, "t"]
+    assert keys == same and sorted(got.select(*cols).collect()) == sorted(want.select(*cols).collect())
+    assert got.select("segment").distinct().count() > 1 and "Window" not in got._jdf.queryExecution().toString()
