@@ -545,3 +545,37 @@ def test_segments_of_members_repeat_no_window(spark):
     cols = [*keys, "t"]
     assert keys == same and sorted(got.select(*cols).collect()) == sorted(want.select(*cols).collect())
     assert got.select("segment").distinct().count() > 1 and "Window" not in got._jdf.queryExecution().toString()
+
+
+def test_centres_meet_without_pairs(spark, monkeypatch):
+    """Centres that stay, links and nearest centres as by brute force; near centres that share no bucket are merged too."""
+    monkeypatch.setattr(C.dominating, "__defaults__", (8,))
+    rng = np.random.default_rng(10)
+    x, n = np.round(rng.normal(0, 1, (150, 3)), 1), rng.integers(1, 9, 150)
+    x = np.unique(x, axis=0)
+    n, r2 = n[: len(x)], 0.81
+    d2 = sum((x[:, None, c] - x[None, :, c]) ** 2 for c in range(3))
+    cores = spark.createDataFrame([("s", i, int(n[i]), v.tolist(), "b") for i, v in enumerate(x)], "sensor string, id long, n long, c array<double>, bucket string")
+    kept: list[int] = []
+    for i in sorted(range(len(x)), key=lambda i: (-n[i], i)):
+        if not (d2[i, kept] < r2).any():
+            kept.append(i)
+    got = sorted(C.dominating(cores, 0.9).collect(), key=lambda r: r.cluster_id)
+    assert [r.cluster_id for r in got] == list(range(len(kept))) and [r.c for r in got] == x[kept].tolist()
+    links, root = C.bucket_forest(cores, 0.9, 3, 8).collect(), np.arange(len(x))
+    assert all(d2[r.aid, r.bid] < r2 for r in links)
+    for r in links:
+        root[root == root[r.aid]] = root[r.bid]
+    want = np.arange(len(x))
+    for _ in x:
+        want = np.where(d2 < r2, want, len(x)).min(axis=1)
+    assert len(set(root)) == len(set(want)) == len(x) - len(links) and len(set(zip(root, want, strict=True))) == len(set(want))
+    hot = spark.createDataFrame([("s", "b", 2)], "sensor string, bucket string, parts long")
+    rows = spark.createDataFrame([("s", "b", i % 2, 0, i, v.tolist()) for i, v in enumerate(x + 0.05)], "sensor string, bucket string, part long, series_id long, t long, x array<double>")
+    gap = ((x + 0.05)[:, None, 0] - x[None, :, 0]) ** 2 + ((x + 0.05)[:, None, 1] - x[None, :, 1]) ** 2 + ((x + 0.05)[:, None, 2] - x[None, :, 2]) ** 2
+    assert {r.t: r.root for r in C.bucket_nearest(rows, cores, hot, 0.9, 3).collect()} == {i: int(g.argmin()) for i, g in enumerate(gap) if g.min() < r2}
+    side = np.array(VEC.fixed_planes(1, 1, 4)[0][0], float)
+    side /= np.linalg.norm(side)
+    apart = [("s", 0, i, (side * (0.05 if i % 2 else -0.05)).tolist(), 0.0) for i in range(6)]
+    out = C.cluster_parallel(spark.createDataFrame(apart, "sensor string, series_id long, t long, x array<double>, level double"), 1.0, 4, sets=1, per_set=1)
+    assert {r.cluster_id for r in out.collect()} == {0}
