@@ -579,3 +579,11 @@ def test_centres_meet_without_pairs(spark, monkeypatch):
     apart = [("s", 0, i, (side * (0.05 if i % 2 else -0.05)).tolist(), 0.0) for i in range(6)]
     out = C.cluster_parallel(spark.createDataFrame(apart, "sensor string, series_id long, t long, x array<double>, level double"), 1.0, 4, sets=1, per_set=1)
     assert {r.cluster_id for r in out.collect()} == {0}
+
+
+def test_windows_outside_of_joined_shard_clusters_are_clustered_again(spark):
+    x = np.random.default_rng(11).uniform(0, 4, (1500, 2))
+    cand = spark.createDataFrame([("ab"[i % 2], 0, i, v.tolist(), 0.0) for i, v in enumerate(x)], "sensor string, series_id long, t long, x array<double>, level double")
+    rows = C.cluster_cf_shards(cand, 1.0, 2, shards=4)
+    assert rows.count() == rows.select("sensor", "series_id", "t").distinct().count() == 1500
+    assert all(r.outliers < 2 * r.clusters for r in S.radius_outliers(rows, 1.0, 2).collect())
