@@ -1,5 +1,7 @@
 """Worked examples and properties."""
 
+import tracemalloc
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -9,6 +11,7 @@ from wavemotif.functions import vectors as VEC
 from wavemotif.operators import baselines as B
 from wavemotif.operators import cluster as C
 from wavemotif.operators import extract as X
+from wavemotif.operators import linkage as L
 from wavemotif.operators import matching as M
 from wavemotif.operators import measures as S
 from wavemotif.operators import prep as P
@@ -281,6 +284,44 @@ def test_agglomeration_joins_runs_of_a_sensor(spark, linkage):
     assert got == np.unique(ids, return_inverse=True)[1].tolist() and got[-1] == got[-2]
 
 
+def plain_agglomeration(x, cutoff, linkage):
+    """Clusters by a dense matrix, the least pair first, ties to the least rows."""
+    gap = np.sqrt(((x[:, None] - x[None]) ** 2).sum(axis=2))
+    np.fill_diagonal(gap, np.inf)
+    ids = np.arange(len(x))
+    while gap.min() < cutoff:
+        a, b = sorted(np.unravel_index(gap.argmin(), gap.shape))
+        gap[a] = gap[:, a] = (np.maximum if linkage == "complete" else np.minimum)(gap[a], gap[b])
+        gap[a, a] = gap[b] = gap[:, b] = np.inf
+        ids[ids == b] = a
+    return ids
+
+
+@pytest.mark.parametrize("keep", [1, 3, 16])
+def test_linkage_with_ties_and_short_lists(monkeypatch, keep):
+    """Rows with many ties and copies, lists shorter than what is near, blocks smaller than the rows: clusters as by a dense matrix."""
+    monkeypatch.setattr(L, "OWN", 16)
+    monkeypatch.setattr(L, "COLUMNS", 32)
+    monkeypatch.setattr(L, "CELLS", 64)
+    rng = np.random.default_rng(keep)
+    for trial in range(8):
+        x = rng.integers(0, 4, (120 + trial, 3)) + (trial % 2) * rng.normal(0, 0.3, (120 + trial, 3))
+        for cutoff in (0.0, 1.2, 2.0, 2.9):
+            assert L.complete_linkage(x, cutoff, keep)[0].tolist() == plain_agglomeration(x, cutoff, "complete").tolist()
+            assert L.single_linkage(x, cutoff)[0].tolist() == plain_agglomeration(x, cutoff, "single").tolist()
+
+
+@pytest.mark.parametrize("linkage", [L.complete_linkage, L.single_linkage])
+def test_linkage_keeps_no_pairs(linkage):
+    """4,000 rows that are all near each other: 8 million links below the cutoff, but some numbers a row are kept."""
+    x = np.random.default_rng(5).normal(0, 0.3, (4000, 4))
+    tracemalloc.start()
+    ids, _ = linkage(x, 6.0)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert not ids.any() and peak < 120e6
+
+
 def test_variants_over_a_sensor(spark):
     q, cand = catalog.queries(), C.cut(catalog._cand(spark, SF))
     rows = [((r.series_id, r.t), np.array(r.x)) for r in cand.orderBy("series_id", "t").collect()]
