@@ -59,3 +59,39 @@ def test_nearest_rows_of_a_block(monkeypatch, keep):
     for a in range(u.n):
         near = sorted((sum((p - q) * (p - q) for p, q in zip(v.x[b], u.x[a], strict=True)), b) for b in range(start[a], end[a]))
         assert list(zip(d2[i == a].tolist(), j[i == a].tolist(), strict=True)) == [n for n in near if n[0] < 0.5][:keep]
+
+
+def test_links_of_blocks_connect_what_is_near(monkeypatch):
+    """Components as by a dense matrix, of one block and of two, without cycles; rows that are near none are met a few together."""
+    import pyarrow as pa
+
+    monkeypatch.setattr(K, "OWN", 16)
+    asked, call = [], K.Near.__call__
+    monkeypatch.setattr(K.Near, "__call__", lambda self, i, j: asked.append(len(i)) or call(self, i, j))
+    rng = np.random.default_rng(2)
+    x = np.round(np.concatenate([rng.normal(0, 0.4, (150, 3)), rng.uniform(-9, 9, (150, 3))])[rng.permutation(300)], 2)
+
+    def roots(n, pairs):
+        to = list(range(n))
+        for a, b in pairs:
+            while to[a] != a:
+                a = to[a]
+            while to[b] != b:
+                b = to[b]
+            to[max(a, b)] = min(a, b)
+        for a in range(n):
+            to[a] = to[to[a]]
+        return to
+
+    u, v = (K.Block(pa.table({"x": pa.array(list(p), pa.list_(pa.float64()))})) for p in (x[:160], x[160:]))
+    near = ((x[:, None] - x[None]) ** 2).sum(axis=2) <= 0.25
+    label, i, j = K.connected(K.Near(u, u, 0.5), np.arange(u.n))
+    want = roots(u.n, zip(*np.nonzero(near[:160, :160]), strict=True))
+    assert roots(u.n, zip(i, j, strict=True)) == want and len(i) == u.n - len(set(want))
+    assert all((label == label[a]).tolist() == [w == want[a] for w in want] for a in range(u.n))
+    assert len(asked) < u.n
+    forward = K.Near(u, v, 0.5)
+    i, j = K.forest(forward, forward.turned(v, u), np.arange(u.n), np.arange(v.n))
+    a, b = np.nonzero(near[:160, 160:])
+    want = roots(300, zip(a, b + 160, strict=True))
+    assert roots(300, zip(i, j + 160, strict=True)) == want and len(i) == 300 - len(set(want))
